@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallywalk.llm import bpe, langid, quality, records, secrets
+from tallywalk.llm import bpe, chat, html, langid, quality, records, secrets, urls
 from tallywalk.llm._frame import fresh_path
 
 
@@ -25,6 +25,18 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", secrets.spans_text(F.col("spans")).alias("spans"), count("live").alias("n_live"), count("example").alias("n_example"))
 
 
+# fixed values: the rules that the url query is given
+URL_RULES = [urls.Rule.of(*r) for r in (("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/"))]
+
+
+def op3_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The urls that a rule judges are the labelled ones; the trees learn from a bounded sample of them and judge the rest."""
+    pages = table(spark, sf_dir, "pages").select("page_id", "url")
+    _, verdict = urls.longest_rule(urls.host_of(F.col("url")), urls.path_of(F.col("url")), URL_RULES)
+    model = urls.fit(pages.withColumn("verdict", verdict))
+    return urls.judge(pages, URL_RULES, model, keep=["page_id"]).withColumn("p_block", F.round("p_block", 6))
+
+
 def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest(table(spark, sf_dir, "documents"), vocabulary(), ["doc_id"])
 
@@ -36,12 +48,20 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held_out.alias("held_out"), "language.*")
 
 
+def op7_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return chat.rotate(table(spark, sf_dir, "conversations"))
+
+
 def op8_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = fresh_path(spark, "records")
     listing = records.write(table(spark, sf_dir, "documents"), folder, vocabulary(), end_id=2)
     return records.read(listing, folder, digests=True)
 
 
+def op9_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.extract(table(spark, sf_dir, "pages").select("page_id", "html")).select("page_id", "text")
+
+
 def op10_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     ledger = quality.apply_policy(quality.ledger(table(spark, sf_dir, "documents"), ["doc_id"]), "web-1")
     base = F.col("failed").bitwiseAND(F.lit(quality.mask("base-1")).cast("bigint")) != 0
@@ -49,7 +69,7 @@ def op10_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_secret_scan, op4_bpe_round_trip, op6_language_id, op8_token_records, op10_quality_ledger)}
+    return {f.__name__: f for f in (op1_secret_scan, op3_url_filter, op4_bpe_round_trip, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
 
 
 def oracle_sql() -> dict[str, str]:
