@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallywalk.llm import bpe, chat, html, langid, quality, records, secrets, urls
+from tallywalk.llm import bpe, chat, decontaminate, html, langid, quality, records, secrets, urls
 from tallywalk.llm._frame import fresh_path
 
 
@@ -41,6 +41,11 @@ def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.digest(table(spark, sf_dir, "documents"), vocabulary(), ["doc_id"])
 
 
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = decontaminate.search(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+    return found.select("doc_id", (F.size("found") > 0).alias("contaminated"), F.transform("found", lambda x: x["item_id"]).alias("item_ids"), F.coalesce(F.array_max(F.transform("found", lambda x: x["similarity"])), F.lit(0.0)).alias("similarity"))
+
+
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     held_out = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
@@ -69,7 +74,7 @@ def op10_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_secret_scan, op3_url_filter, op4_bpe_round_trip, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
+    return {f.__name__: f for f in (op1_secret_scan, op3_url_filter, op4_bpe_round_trip, op5_decontaminate, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
 
 
 def oracle_sql() -> dict[str, str]:
