@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tallywalk.llm import bpe, chat, decontaminate, html, langid, quality, records, secrets, urls
+from tallywalk.llm import bpe, chat, decontaminate, html, jaccard, langid, quality, records, secrets, urls
 from tallywalk.llm._frame import fresh_path
 
 
@@ -25,6 +25,10 @@ def op1_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", secrets.spans_text(F.col("spans")).alias("spans"), count("live").alias("n_live"), count("example").alias("n_example"))
 
 
+def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join(table(spark, sf_dir, "documents"))
+
+
 # fixed values: the rules that the url query is given
 URL_RULES = [urls.Rule.of(*r) for r in (("allow", "com/"), ("block", "example.com/en/"), ("allow", "www.example.com/en/"), ("block", "net/es/"), ("block", "net/fr/"))]
 
@@ -74,7 +78,7 @@ def op10_quality_ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict:
-    return {f.__name__: f for f in (op1_secret_scan, op3_url_filter, op4_bpe_round_trip, op5_decontaminate, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
+    return {f.__name__: f for f in (op1_secret_scan, op2_jaccard_join, op3_url_filter, op4_bpe_round_trip, op5_decontaminate, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
 
 
 def oracle_sql() -> dict[str, str]:
