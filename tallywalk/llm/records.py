@@ -20,17 +20,21 @@ table gives no shard. Other columns are not read. Ids need not be unique.
 
 from __future__ import annotations
 
+import json
 import uuid
 import zlib
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import pyarrow.fs as pafs
+import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from tallywalk.llm._frame import Memo, in_parts
+from tallywalk.llm.bpe import is_latin
 
 MASK_DELTA = 0xA282EAD8  # of the TFRecord framing
 POLYNOMIAL = 0x82F63B78  # CRC-32C, reflected
@@ -149,7 +153,10 @@ def opened(payload_: bytes) -> tuple[int | None, np.ndarray]:
 
 
 class LibraryEncoder:
-    """Ids of texts as the tokenizers library gives them, kept per word as little-endian bytes: no rule of a vocabulary of this kind joins pieces over white space."""
+    """Ids of texts as the tokenizers library gives them, as little-endian bytes.
+
+    Words repeat, and no rule of a vocabulary of this kind joins pieces over white space, so a batch of Latin texts is cut at white space, each distinct
+    word goes to the library once while it is remembered, and the ids are put together by array arithmetic. All other texts go to the library whole."""
 
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -158,20 +165,60 @@ class LibraryEncoder:
         self.own.no_truncation()
         self.own.no_padding()
         self.wide = self.own.get_vocab_size() > 1 << 16
-        self.kind = "<u4" if self.wide else "<u2"
+        self.kind = np.dtype("<u4" if self.wide else "<u2")
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
+        self.pieces = regex.compile(split + r"|\n")
+        self.special = [t["content"] for t in spec["added_tokens"]]
+        vocab = self.own.get_vocab(with_added_tokens=True)
+        self.ends = np.zeros(max(vocab.values()) + 1, bool)
+        self.ends[[i for t, i in vocab.items() if t.endswith(spec["model"]["end_of_word_suffix"])]] = True
         self.words = Memo(1 << 18)
 
+    def plain(self, text: str | None) -> bool:
+        return bool(text) and is_latin(text) and not any(c in text for c in "\x1c\x1d\x1e\x1f") and not any(s in text for s in self.special)
+
+    def learn(self, pieces: list[str]) -> None:
+        """The library's ids of words; it gets them as one text, in which every word ends with a token of its own kind."""
+        for a in range(0, len(pieces), 20_000):
+            part = pieces[a : a + 20_000]
+            ids = np.array(self.own.encode(" ".join(part), add_special_tokens=False).ids, np.int64)
+            ends = np.flatnonzero(self.ends[ids]) + 1
+            if len(ends) != len(part):
+                raise ValueError("the vocabulary does not end each word with a token of its own")
+            raw, width = ids.astype(self.kind).tobytes(), self.kind.itemsize
+            self.words.update(zip(part, (raw[i * width : j * width] for i, j in zip([0, *ends[:-1].tolist()], ends.tolist()))))
+
+    def encode_plain(self, texts: list[str]) -> list[bytes]:
+        cut = pc.utf8_split_whitespace(pa.array(texts, pa.string()))
+        coded = cut.flatten().dictionary_encode()
+        stream = self.pieces.findall("\n".join(coded.dictionary.to_pylist()).lower())
+        self.learn(self.words.make_room(set(stream) - {"\n"}))
+        self.words["\n"] = b""
+        flat = list(map(self.words.__getitem__, stream))
+        width = self.kind.itemsize
+        # ids of each distinct word: the pieces between line ends
+        sizes = np.fromiter(map(len, flat), np.int64, len(flat)) // width
+        breaks = np.fromiter((p == "\n" for p in stream), bool, len(stream))
+        group = np.cumsum(breaks)
+        lengths = np.bincount(group, sizes, minlength=len(coded.dictionary)).astype(np.int64)
+        ids = np.frombuffer(b"".join(flat), self.kind)
+        where = np.cumsum(lengths) - lengths
+        which = coded.indices.to_numpy()
+        counts = lengths[which]
+        ends = np.cumsum(counts)
+        at = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(where[which] - (ends - counts), counts)
+        out = ids[at]
+        bounds = np.concatenate([[0], ends])[cut.offsets.to_numpy()].tolist()
+        return [out[i:j].tobytes() for i, j in zip(bounds, bounds[1:])]
+
     def encode_all(self, texts: list[str | None]):
-        for some in in_parts(texts, 1 << 21):
-            lists = [None if t and any(c in t for c in "\x1c\x1d\x1e\x1f") else (t or "").split() for t in some]
-            new = self.words.make_room(set().union(*(x for x in lists if x is not None)))
-            ids = [np.array(e.ids, self.kind).tobytes() for e in self.own.encode_batch(new, add_special_tokens=False)]
-            self.words.update(zip(new, ids))
-            for text, words in zip(some, lists):
-                if words is None:
-                    yield np.array(self.own.encode(text, add_special_tokens=False).ids, self.kind).tobytes()
-                else:
-                    yield b"".join(map(self.words.__getitem__, words))
+        for some in in_parts(texts, 1 << 22):
+            plain = [self.plain(t) for t in some]
+            fast = iter(self.encode_plain([t for t, p in zip(some, plain) if p]))
+            for text, p in zip(some, plain):
+                yield next(fast) if p else np.array(self.own.encode(text, add_special_tokens=False).ids if text else [], self.kind).tobytes()
 
 
 @lru_cache(maxsize=2)
