@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
 _made: list[tuple[SparkSession, str]] = []
 
 
@@ -50,7 +51,12 @@ def written(df: DataFrame, name: str) -> DataFrame:
     """The rows of df, computed once and kept as Parquet in the shared folder: lineage ends there, so a lost executor costs a re-read."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    df.write.parquet(path)
+    before = spark.conf.get(BATCH_ROWS)
+    spark.conf.set(BATCH_ROWS, min(int(before), 2000))  # texts are long: smaller batches keep the Python workers small
+    try:
+        df.write.parquet(path)
+    finally:
+        spark.conf.set(BATCH_ROWS, before)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -88,24 +94,21 @@ def join_counted(rows: DataFrame, table: DataFrame, key: str, weight: str, share
     return first.where("__heavy").drop("__heavy").unionByName(rest)
 
 
-class Memo(dict):
-    """Values by key for keys that repeat. Two generations of about `size` are held; the older goes when the younger is full."""
+class Memo:
+    """Values by key for keys that repeat, in the dict `now`. Two generations of about `size` are held; the older goes when the younger is full."""
 
     def __init__(self, size: int):
-        super().__init__()
-        self.size, self.old = size, {}
+        self.size, self.now, self.old = size, {}, {}
 
     def make_room(self, keys: Iterable) -> list:
-        """The keys that have no value yet, for the caller to fill; all others stay at least until the next call."""
-        new = [k for k in keys if k not in self]
-        if len(self) + len(new) > self.size:
-            self.old = dict(self)
-            self.clear()
-            new = list(keys)
-        if self.old:
-            held = [(k, self.old[k]) for k in new if k in self.old]
-            self.update(held)
-            new = [k for k in new if k not in self]
+        """The keys that have no value yet, for the caller to fill; all others stay in `now` at least until the next call."""
+        keys = list(keys)
+        new = [k for k in keys if k not in self.now]
+        if len(self.now) + len(new) > self.size:
+            self.old, self.now, new = self.now, {}, keys
+        if self.old and new:
+            self.now.update((k, self.old[k]) for k in new if k in self.old)
+            new = [k for k in new if k not in self.now]
         return new
 
 

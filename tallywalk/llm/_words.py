@@ -20,13 +20,13 @@ MIX = np.uint64(0xBF58476D1CE4E5B9)
 class WordHashes:
     """64-bit hashes of words, kept while they repeat."""
 
-    def __init__(self, size: int = 1 << 18):
+    def __init__(self, size: int = 1 << 15):
         self.memo = Memo(size)
 
     def of(self, lists: list[list[str]]) -> list[np.ndarray]:
         new = self.memo.make_room(set().union(*lists))
-        self.memo.update((w, xxhash.xxh3_64_intdigest(w)) for w in new)
-        return [np.fromiter(map(self.memo.__getitem__, words), np.uint64, len(words)) for words in lists]
+        self.memo.now.update((w, xxhash.xxh3_64_intdigest(w)) for w in new)
+        return [np.fromiter(map(self.memo.now.__getitem__, words), np.uint64, len(words)) for words in lists]
 
 
 @lru_cache(maxsize=1)

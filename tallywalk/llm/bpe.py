@@ -212,11 +212,11 @@ class WordBpe:
         return out
 
     def learn(self, lists: list[list[str | int]]) -> None:
-        """From now until the next call self.words has every word of the lists: ids, ids in decimal, decoded."""
+        """From now until the next call self.words.now has every word of the lists: ids, ids in decimal, decoded."""
         new = self.words.make_room(set().union(*lists))
         plain = [w for w in new if isinstance(w, str)]
         for word, ids in itertools.chain(zip(plain, self.encode_words([w.encode() for w in plain])), ((w, (w,)) for w in new if isinstance(w, int))):
-            self.words[word] = ids, " ".join(map(str, ids)), self.decode(ids)
+            self.words.now[word] = ids, " ".join(map(str, ids)), self.decode(ids)
 
     def over(self, texts: list[str | None], part: int = 1 << 21):
         """The values of the words of each text, learned a few million characters at a time."""
@@ -224,7 +224,7 @@ class WordBpe:
             lists = list(map(self.split, some))
             self.learn(lists)
             for words in lists:
-                yield list(map(self.words.__getitem__, words))
+                yield list(map(self.words.now.__getitem__, words))
 
     def encode(self, text: str | None) -> list[int]:
         return self.encode_all([text])[0]

@@ -30,8 +30,9 @@ from tallywalk.llm._words import LEAST, shingles, word_hashes, words_of
 
 COORDINATES = 64
 BRANCHES = 2.0
-BUCKET = 48  # sets of a bucket that is compared by brute force
+BUCKET = 10  # sets of a bucket that is compared by brute force
 LEVELS = 6
+RUNS = 32  # most runs
 SEEDS = np.random.default_rng(20).integers(1, 1 << 63, COORDINATES, dtype=np.uint64)
 
 
@@ -58,7 +59,7 @@ def min_hashes(grams: np.ndarray) -> np.ndarray:
 
 
 def _sets(texts: list[str | None]) -> dict:
-    out: dict[str, list] = {"set_a": [], "set_b": [], "n": [], "paths": [], "grams": []}
+    out: dict[str, list] = {"set_a": [], "set_b": [], "n": [], "tops": [], "paths": [], "grams": []}
     for some in in_parts(texts, 1 << 21):
         for h in word_hashes().of(list(map(words_of, some))):
             g = np.unique(shingles(h))
@@ -66,7 +67,9 @@ def _sets(texts: list[str | None]) -> dict:
                 out["set_a"].append(int(g.sum(dtype=np.uint64).view(np.int64)))
                 out["set_b"].append(int(((g ^ (g >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)).sum(dtype=np.uint64).view(np.int64)))
             out["n"].append(len(g))
-            out["paths"].append(min_hashes(g) if len(g) else None)
+            values = min_hashes(g) if len(g) else None
+            out["tops"].append(None if values is None else values[:RUNS])
+            out["paths"].append(None if values is None else values.astype(np.int16))
             out["grams"].append(np.unique(g.astype(np.uint32)).tobytes())
     return out
 
@@ -77,12 +80,34 @@ def jaccard(a: bytes, b: bytes) -> float:
     return both / (len(x) + len(y) - both)
 
 
-def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """Pairs (a, b) of set keys with the exact similarity of their sets."""
+def sets_of(first: DataFrame, reps: DataFrame) -> DataFrame:
+    """(rep, grams) of the given sets alone. A bit filter of bounded size keeps most others' sets out of the shuffle; the join that follows is exact."""
+    reps = written(reps.distinct(), "reps")
+    bits = 1 << max(16, min(26, (16 * reps.count()).bit_length()))
+    both = F.explode(F.array(F.xxhash64("rep"), F.xxhash64("rep", F.lit(1)))).alias("h")
+    words = reps.select(both).select(F.pmod("h", F.lit(bits)).alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("b")).collect()
+    table = np.zeros(bits // 64, np.int64)
+    for w, b in words:
+        table[w] = b
+    sent = first.sparkSession.sparkContext.broadcast(table.view(np.uint64))
+
+    def run(p, q):
+        x, y = np.array(p, np.int64), np.array(q, np.int64)
+        hit = lambda z: sent.value[z >> 6] >> (z & 63).astype(np.uint64) & np.uint64(1)
+        return {"v": (hit(x) & hit(y)).astype(bool).tolist()}
+
+    at = lambda *x: F.pmod(F.xxhash64("rep", *x), F.lit(bits))
+    fat = first.where("n > 0").select(F.col("__row").alias("rep"), "grams").where(struct_udf(run, "v boolean")(at(), at(F.lit(1)))["v"])
+    return written(fat.join(reps, "rep", "left_semi"), "some-sets")
+
+
+def verified(pairs: DataFrame, first: DataFrame) -> DataFrame:
+    """Pairs (a, b) of set keys, a written table, with the exact similarity of their sets."""
 
     def run(left, right):
         return {"v": list(map(jaccard, left, right))}
 
+    sets = sets_of(first, pairs.select(F.col("a").alias("rep")).union(pairs.select("b")))
     one = lambda side: sets.select(F.col("rep").alias(side), F.col("grams").alias(f"g{side}"))
     both = pairs.join(one("a"), "a").join(one("b"), "b")
     return both.select("a", "b", struct_udf(run, "v double")("ga", "gb")["v"].alias("similarity"))
@@ -106,12 +131,12 @@ def sizes(rows: DataFrame) -> DataFrame:
     return balls.groupBy("path").agg(F.sum("k").alias("n"), F.sum(F.col("k") * F.col("k")).alias("own")).select("path", "n", (F.col("n") * F.col("n") - F.col("own")).alias("cross"))
 
 
-def ball_hubs(rows: DataFrame, sets: DataFrame, least: float) -> DataFrame:
+def ball_hubs(rows: DataFrame, first: DataFrame, least: float) -> DataFrame:
     """(rep, hub) for sets within half the threshold's distance of a large bucket's first set; each set has one hub at most."""
     large = rows.groupBy("path").agg(F.count(F.lit(1)).alias("n"), F.min_by(F.struct("rep", "paths"), "rep").alias("hub")).where(F.col("n") > BUCKET)
     near = rows.join(large, "path").where((F.col("rep") != F.col("hub.rep")) & (agreement(F.col("paths"), F.col("hub.paths")) >= (1 + least) / 2 - 0.1))
-    pairs = near.select(F.col("rep").alias("a"), F.col("hub.rep").alias("b")).distinct()
-    sure = verified(pairs, sets).where(F.col("similarity") >= (1 + least) / 2)
+    pairs = written(near.select(F.col("rep").alias("a"), F.col("hub.rep").alias("b")).distinct(), "hub-pairs")
+    sure = verified(pairs, first).where(F.col("similarity") >= (1 + least) / 2)
     # a hub that lies in another's ball stands for nothing itself
     return sure.groupBy(F.col("a").alias("rep")).agg(F.min("b").alias("hub"))
 
@@ -152,22 +177,20 @@ def join(df: DataFrame, key: str = "doc_id", text: str = "text", least: float =
 
 def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> DataFrame:
     """For rows (key, text, and others, which are kept but for text): class_id, copy_id, n_links, and first, true for one row of each class."""
-    made = struct_udf(_sets, "set_a bigint, set_b bigint, n int, paths array<int>, grams binary")
+    made = struct_udf(_sets, "set_a bigint, set_b bigint, n int, tops array<int>, paths array<smallint>, grams binary")
     others = [c for c in rows.columns if c != "text"]
     first = written(with_row_key(rows.select(*others, made(F.col("text")).alias("made")).select(*others, "made.*")), "sets")
     docs = first.where("n > 0").select("__row", "key", "set_a", "set_b", "n")
     same = ["set_a", "set_b", "n"]
     copies = written(docs.groupBy(*same).agg(F.min("__row").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min("key").alias("copy_id")), "copies")
-    reps = first.join(copies.select("rep"), F.col("__row") == F.col("rep"), "left_semi").select(F.col("__row").alias("rep"), "paths", "grams")
-    sets = reps.select("rep", "grams")
-
-    runs = min(COORDINATES, runs_for(recall))
-    top = reps.select("rep", "paths", F.posexplode(F.slice("paths", 1, runs)).alias("i", "value"))
-    level = top.select(F.xxhash64("i", "value").alias("path"), "rep", "paths")
-    # a set that is alone in a bucket has nothing to do with it
-    shared = level.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("path")
-    level = written(level.join(shared, "path"), "level")
-    hubs = written(ball_hubs(level, sets, least), "hubs")
+    reps = written(first.where("n > 0").select(F.col("__row").alias("rep"), "tops", "paths").join(copies.select("rep"), "rep", "left_semi"), "paths")
+
+    runs = min(RUNS, runs_for(recall))
+    top = reps.select("rep", F.posexplode(F.slice("tops", 1, runs)).alias("i", "value")).select(F.xxhash64("i", "value").alias("path"), "rep")
+    # a set that is alone in a bucket has nothing to do with it: counted on slim rows, before the coordinates come along
+    shared = top.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("path")
+    level = written(top.join(shared, "path").join(reps.select("rep", "paths"), "rep"), "level")
+    hubs = written(ball_hubs(level, first, least), "hubs")
     level = level.join(hubs, "rep", "left").select("path", "rep", F.coalesce("hub", "rep").alias("ball"), "paths")
     pairs = []
     for depth in range(LEVELS):
@@ -182,7 +205,7 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     found = pairs[0]
     for p in pairs[1:]:
         found = found.union(p)
-    links = written(verified(written(found.distinct(), "pairs"), sets).where(F.col("similarity") >= least - 1e-12), "links")
+    links = written(verified(written(found.distinct(), "pairs"), first).where(F.col("similarity") >= least - 1e-12), "links")
 
     weight = copies.select("rep", "copies")
     balls = written(hubs.select("rep", "hub").union(hubs.select(F.col("hub").alias("rep"), "hub").distinct()).groupBy("rep").agg(F.min("hub").alias("hub")), "balls")
@@ -195,7 +218,7 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     told = written(told.select(*same, "rep", "root", "copy_id", "n_links"), "told")
     least_id = told.groupBy("root").agg(F.min("copy_id").alias("class_id"))
     told = told.join(least_id, "root").select(*same, "copy_id", "n_links", "class_id", (F.col("rep") == F.col("root")).alias("is_root"), "rep")
-    out = first.drop("grams", "paths").join(told, same, "left")
+    out = first.drop("grams", "paths", "tops").join(told, same, "left")
     alone = F.col("rep").isNull()
     return out.select(
         *others,

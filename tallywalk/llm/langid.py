@@ -59,12 +59,12 @@ class Model:
         for some in in_parts(texts, 1 << 21):
             lists = [WORD.findall((t or "").lower()) for t in some]
             new = self.memo.make_room(set().union(*lists))
-            self.memo.update(zip(new, map(self.score_word, new)))
+            self.memo.now.update(zip(new, map(self.score_word, new)))
             for words in lists:
                 if not words or not self.languages:
                     out.append(("und", 0.0))
                     continue
-                sums = np.array(list(map(self.memo.__getitem__, words))).mean(axis=0)
+                sums = np.array(list(map(self.memo.now.__getitem__, words))).mean(axis=0)
                 best = int(sums.argmax())
                 out.append((self.languages[best], float(1 / np.exp(sums - sums[best]).sum())))
         return out

@@ -39,7 +39,6 @@ from tallywalk.llm.bpe import is_latin
 MASK_DELTA = 0xA282EAD8  # of the TFRecord framing
 POLYNOMIAL = 0x82F63B78  # CRC-32C, reflected
 BLOCK = 64
-HEAD = np.dtype([("length", "<u8"), ("check", "<u4")])
 
 
 @lru_cache(maxsize=1)
@@ -50,97 +49,86 @@ def byte_table() -> np.ndarray:
     return t
 
 
+def through_zeros(state: np.ndarray, n: int) -> np.ndarray:
+    for _ in range(n):
+        state = byte_table()[state & 255] ^ (state >> 8)
+    return state
+
+
 @lru_cache(maxsize=64)
-def shift_tables(level: int) -> np.ndarray:
-    """For BLOCK * 2**level zero bytes: what each byte of a CRC state becomes."""
-    if level:
-        half = shift_tables(level - 1)
-        return shifted(half.ravel(), level - 1).reshape(4, 256)
-    out = (np.arange(256, dtype=np.uint32)[None, :] << (8 * np.arange(4, dtype=np.uint32))[:, None]).astype(np.uint32)
-    for _ in range(BLOCK):
-        out = byte_table()[out & 255] ^ (out >> 8)
-    return out
+def shift_tables(level: int) -> tuple[np.ndarray, np.ndarray]:
+    """For BLOCK * 2**level zero bytes (level -1: for 4): what each half of a CRC state becomes."""
+    halves = np.arange(1 << 16, dtype=np.uint32), np.arange(1 << 16, dtype=np.uint32) << np.uint32(16)
+    if level > 0:
+        return tuple(shifted(shifted(h, level - 1), level - 1) for h in halves)
+    return tuple(through_zeros(h, BLOCK if level == 0 else 4) for h in halves)
 
 
 def shifted(state: np.ndarray, level: int) -> np.ndarray:
-    t = shift_tables(level)
-    return t[0][state & 255] ^ t[1][state >> 8 & 255] ^ t[2][state >> 16 & 255] ^ t[3][state >> 24]
+    low, high = shift_tables(level)
+    return low[state & 0xFFFF] ^ high[state >> 16]
 
 
-def masked_crc32c(buffer: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
-    """Masked CRC-32C of many pieces of a byte array at once: 64-byte blocks side by side, then pairs of them, level by level."""
-    n = len(starts)
+def masked_crc32c(pieces: list[bytes]) -> np.ndarray:
+    """Masked CRC-32C of many pieces at once: their 64-byte blocks side by side, four bytes in a step, then pairs of blocks, level by level."""
+    n = len(pieces)
     if not n:
         return np.zeros(0, np.uint32)
+    lengths = np.fromiter(map(len, pieces), np.int64, n)
     blocks = np.maximum(1, -(-lengths // BLOCK))
     first = np.concatenate([[0], np.cumsum(blocks)])
     # zero bytes in front do not change a CRC that starts from 0
-    padded = np.zeros(int(first[-1]) * BLOCK, np.uint8)
-    to = first[1:] * BLOCK - lengths
-    total = int(lengths.sum())
-    within = np.arange(total) - np.repeat(np.cumsum(lengths) - lengths, lengths)
-    padded[np.repeat(to, lengths) + within] = buffer[np.repeat(starts, lengths) + within]
+    zeros = b"\0" * BLOCK
+    padded = np.frombuffer(bytearray().join(x for p in pieces for x in (zeros[: -len(p) % BLOCK] if p else zeros, p)), np.uint8).copy()
     # the usual start of all ones is the same as turning the first four bytes over
+    to = first[1:] * BLOCK - lengths
     for i in range(4):
-        turned = (to + i)[lengths > i]
-        padded[turned] ^= 255
-    columns = np.ascontiguousarray(padded.reshape(-1, BLOCK).T)
-    table, state = byte_table(), np.zeros(int(first[-1]), np.uint32)
-    for column in columns:
-        state = table[(state ^ column) & 255] ^ (state >> 8)
+        padded[(to + i)[lengths > i]] ^= 255
+    state = np.zeros(int(first[-1]), np.uint32)
+    for column in np.ascontiguousarray(padded.view("<u4").reshape(-1, BLOCK // 4).T):
+        state = shifted(state ^ column, -1)
     level = 0
     while blocks.max() > 1:
         halves = (blocks + 1) // 2
         where = np.concatenate([[0], np.cumsum(halves)])
-        odd = blocks % 2
         # an odd block in front stays alone
-        pos = np.arange(int(first[-1])) - np.repeat(first[:-1], blocks) + np.repeat(odd, blocks)
+        pos = np.arange(int(first[-1])) - np.repeat(first[:-1] - blocks % 2, blocks)
         target = np.repeat(where[:-1], blocks) + pos // 2
         merged = np.zeros(int(where[-1]), np.uint32)
         left = pos % 2 == 0
         merged[target[left]] = shifted(state[left], level)
         merged[target[~left]] ^= state[~left]
         state, blocks, first, level = merged, halves, where, level + 1
-    short = lengths < 4  # fewer bytes to turn over than the state has
     crc = state ^ np.uint32(0xFFFFFFFF)
-    for i in np.flatnonzero(short):
-        c = 0xFFFFFFFF
-        for b in buffer[starts[i] : starts[i] + lengths[i]].tolist():
-            c = int(table[(c ^ b) & 255]) ^ (c >> 8)
-        crc[i] = c ^ 0xFFFFFFFF
+    for i in np.flatnonzero(lengths < 4):  # fewer bytes to turn over than the state has
+        c = np.array([0xFFFFFFFF], np.uint32)
+        for b in pieces[i]:
+            c = byte_table()[(c ^ np.uint32(b)) & 255] ^ (c >> 8)
+        crc[i] = c[0] ^ np.uint32(0xFFFFFFFF)
     return ((crc >> 15 | crc << 17) + np.uint32(MASK_DELTA)).astype(np.uint32)
 
 
 def frame(payloads: list[bytes]) -> tuple[bytes, list[int]]:
     """The records of these payloads, and their lengths in the file."""
-    lengths = np.fromiter(map(len, payloads), np.int64, len(payloads))
-    heads = np.zeros(len(payloads), HEAD)
-    heads["length"] = lengths
-    raw = np.frombuffer(heads["length"].astype("<u8").tobytes(), np.uint8)
-    eights = np.full(len(payloads), 8, np.int64)
-    heads["check"] = masked_crc32c(raw, np.arange(len(payloads)) * 8, eights)
-    body = np.frombuffer(b"".join(payloads), np.uint8)
-    tails = masked_crc32c(body, np.cumsum(lengths) - lengths, lengths).astype("<u4")
-    head_bytes, tail_bytes = heads.tobytes(), tails.tobytes()
-    out = []
-    for i, p in enumerate(payloads):
-        out += [head_bytes[12 * i : 12 * i + 12], p, tail_bytes[4 * i : 4 * i + 4]]
-    return b"".join(out), (lengths + 16).tolist()
+    lengths = [len(p).to_bytes(8, "little") for p in payloads]
+    heads, tails = (masked_crc32c(x).astype("<u4").tobytes() for x in (lengths, payloads))
+    parts = (x for i, p in enumerate(payloads) for x in (lengths[i], heads[4 * i : 4 * i + 4], p, tails[4 * i : 4 * i + 4]))
+    return b"".join(parts), [len(p) + 16 for p in payloads]
 
 
 def unframe(data: bytes, lengths: np.ndarray) -> list[bytes]:
     """The payloads of whole records of these lengths in the file. Raises ValueError where a length or a checksum does not fit."""
-    starts = np.cumsum(lengths) - lengths
-    raw = np.frombuffer(data, np.uint8)
-    if len(raw) != int(lengths.sum()):
+    ends = np.cumsum(lengths).tolist()
+    if len(data) != (ends[-1] if ends else 0):
         raise ValueError("the file is shorter than its index says")
-    heads = np.stack([raw[starts + i] for i in range(12)], axis=1).copy().view(HEAD).ravel() if len(starts) else np.zeros(0, HEAD)
-    tails = np.stack([raw[starts + lengths - 4 + i] for i in range(4)], axis=1).copy().view("<u4").ravel() if len(starts) else np.zeros(0, "<u4")
-    if (heads["length"] != lengths - 16).any() or (heads["check"] != masked_crc32c(raw, starts, np.full(len(starts), 8))).any():
+    starts = [0, *ends[:-1]]
+    heads = [data[a : a + 8] for a in starts]
+    if any(int.from_bytes(h, "little") != b - a - 16 for h, a, b in zip(heads, starts, ends)) or b"".join(data[a + 8 : a + 12] for a in starts) != masked_crc32c(heads).astype("<u4").tobytes():
         raise ValueError("a record's length does not fit its checksum or the index")
-    if (tails != masked_crc32c(raw, starts + 12, lengths - 16)).any():
+    payloads = [data[a + 12 : b - 4] for a, b in zip(starts, ends)]
+    if b"".join(data[b - 4 : b] for b in ends) != masked_crc32c(payloads).astype("<u4").tobytes():
         raise ValueError("a record's payload does not fit its checksum")
-    return [data[a + 12 : b] for a, b in zip(starts.tolist(), (starts + lengths - 4).tolist())]
+    return payloads
 
 
 def payload(doc_id: int | None, ids: bytes, wide: bool) -> bytes:
@@ -183,26 +171,30 @@ class LibraryEncoder:
         """The library's ids of words; it gets them as one text, in which every word ends with a token of its own kind."""
         for a in range(0, len(pieces), 20_000):
             part = pieces[a : a + 20_000]
-            ids = np.array(self.own.encode(" ".join(part), add_special_tokens=False).ids, np.int64)
+            ids = np.array(self.own.encode_batch_fast([" ".join(part)], add_special_tokens=False)[0].ids, np.int64)
             ends = np.flatnonzero(self.ends[ids]) + 1
             if len(ends) != len(part):
                 raise ValueError("the vocabulary does not end each word with a token of its own")
             raw, width = ids.astype(self.kind).tobytes(), self.kind.itemsize
-            self.words.update(zip(part, (raw[i * width : j * width] for i, j in zip([0, *ends[:-1].tolist()], ends.tolist()))))
+            self.words.now.update(zip(part, (raw[i * width : j * width] for i, j in zip([0, *ends[:-1].tolist()], ends.tolist()))))
 
     def encode_plain(self, texts: list[str]) -> list[bytes]:
         cut = pc.utf8_split_whitespace(pa.array(texts, pa.string()))
         coded = cut.flatten().dictionary_encode()
-        stream = self.pieces.findall("\n".join(coded.dictionary.to_pylist()).lower())
-        self.learn(self.words.make_room(set(stream) - {"\n"}))
-        self.words["\n"] = b""
-        flat = list(map(self.words.__getitem__, stream))
+        distinct = pa.ListArray.from_arrays(pa.array([0, len(coded.dictionary)], pa.int32()), coded.dictionary)
+        text = pc.binary_join(distinct, "\n")[0].as_py()
+        pieces = pa.array(self.pieces.findall(text.lower()), pa.string()).dictionary_encode()
+        words = pieces.dictionary.to_numpy(zero_copy_only=False).tolist()
+        self.learn(self.words.make_room(w for w in words if w != "\n"))
+        known_ids = self.words.now
+        known = [b"" if w == "\n" else known_ids[w] for w in words]
         width = self.kind.itemsize
         # ids of each distinct word: the pieces between line ends
-        sizes = np.fromiter(map(len, flat), np.int64, len(flat)) // width
-        breaks = np.fromiter((p == "\n" for p in stream), bool, len(stream))
-        group = np.cumsum(breaks)
+        stream = pieces.indices.to_numpy()
+        sizes = (np.fromiter(map(len, known), np.int64, len(known)) // width)[stream]
+        group = np.cumsum(stream == (words.index("\n") if "\n" in words else -1))
         lengths = np.bincount(group, sizes, minlength=len(coded.dictionary)).astype(np.int64)
+        flat = map(known.__getitem__, stream.tolist())
         ids = np.frombuffer(b"".join(flat), self.kind)
         where = np.cumsum(lengths) - lengths
         which = coded.indices.to_numpy()
@@ -214,7 +206,7 @@ class LibraryEncoder:
         return [out[i:j].tobytes() for i, j in zip(bounds, bounds[1:])]
 
     def encode_all(self, texts: list[str | None]):
-        for some in in_parts(texts, 1 << 22):
+        for some in in_parts(texts, 1 << 24):
             plain = [self.plain(t) for t in some]
             fast = iter(self.encode_plain([t for t, p in zip(some, plain) if p]))
             for text, p in zip(some, plain):
