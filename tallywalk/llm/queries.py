@@ -58,7 +58,9 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chat.rotate(table(spark, sf_dir, "conversations"))
+    """The mask as text: run lengths, "+" where the loss counts."""
+    mask = F.array_join(F.transform("mask", lambda x: F.concat(x["length"].cast("string"), F.when(x["target"], "+").otherwise("-"))), ",")
+    return chat.rotate(table(spark, sf_dir, "conversations")).withColumn("mask", mask)
 
 
 def op8_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -81,5 +83,43 @@ def queries() -> dict:
     return {f.__name__: f for f in (op1_secret_scan, op2_jaccard_join, op3_url_filter, op4_bpe_round_trip, op5_decontaminate, op6_language_id, op7_perspectives, op8_token_records, op9_html_text, op10_quality_ledger)}
 
 
+OP2_SQL = r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '[\pL\pN_]+') AS ws FROM documents),
+g AS MATERIALIZED (SELECT DISTINCT doc_id, array_to_string(ws[i : i + 4], ' ') AS gram FROM (SELECT doc_id, ws, unnest(range(1, greatest(2, len(ws) - 3))) AS i FROM w WHERE len(ws) > 0)),
+n AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+c AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM g a JOIN g b ON a.gram = b.gram AND a.doc_id <> b.doc_id GROUP BY ALL),
+links AS MATERIALIZED (SELECT a, b, CAST(k AS DOUBLE) / (x.n + y.n - k) AS similarity FROM c JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE CAST(k AS DOUBLE) / (x.n + y.n - k) >= 0.8 - 1e-12),
+reach AS (SELECT doc_id AS a, doc_id AS b FROM documents UNION SELECT reach.a, links.b FROM reach JOIN links ON links.a = reach.b)
+SELECT d.doc_id, (SELECT min(b) FROM reach WHERE reach.a = d.doc_id) AS class_id, least(d.doc_id, coalesce((SELECT min(b) FROM links WHERE links.a = d.doc_id AND similarity = 1), d.doc_id)) AS copy_id,
+    (SELECT count(*) FROM links WHERE links.a = d.doc_id) AS n_links FROM documents d
+"""
+
+OP7_SQL = r"""
+WITH r AS (SELECT DISTINCT conv_id, CAST(coalesce(floor(turn / 256), -1) AS BIGINT) AS chunk, turn, coalesce(role, 'unknown') AS who, regexp_replace(coalesce(text, ''), '<\|(im_start|im_end)\|>', '<| \1|>', 'g') AS said FROM conversations),
+p AS (SELECT DISTINCT conv_id, who AS participant FROM r WHERE who <> 'system'),
+t AS (SELECT conv_id, participant, chunk, turn, who, said, '<|im_start|>' || CASE WHEN who = participant THEN 'assistant' WHEN who = 'system' THEN who ELSE 'user name=' || who END || chr(10) AS head FROM r JOIN p USING (conv_id))
+SELECT conv_id, participant, chunk, CAST(count(*) AS INTEGER) AS n_turns, string_agg(head || said || '<|im_end|>' || chr(10), '' ORDER BY turn, who, said) AS rendered,
+    string_agg(CASE WHEN who = participant THEN length(head) || '-,' || (length(said) + 10) || '+,1-' ELSE (length(head) + length(said) + 11) || '-' END, ',' ORDER BY turn, who, said) AS mask
+FROM t GROUP BY ALL
+"""
+
+
+def op10_sql() -> str:
+    bits = " | ".join(f"(CASE WHEN {rule} THEN {quality.BIT[name]} ELSE 0 END)" for name, rule in quality.RULES)
+    return rf"""
+WITH d AS (SELECT doc_id, coalesce(text, '') AS t, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+f AS (SELECT doc_id, ws[i : i + 2] AS win, i FROM (SELECT doc_id, ws, unnest(range(1, len(ws) - 1)) AS i FROM d)),
+again AS (SELECT doc_id, win FROM f GROUP BY ALL HAVING count(*) > 1),
+rep AS (SELECT doc_id, count(DISTINCT i + j) AS n FROM f JOIN again USING (doc_id, win), (SELECT unnest([0, 1, 2]) AS j) GROUP BY doc_id),
+m AS (SELECT doc_id, CAST(len(ws) AS BIGINT) AS n_words, CAST(coalesce(list_sum(list_transform(ws, lambda w: length(w))), 0) AS BIGINT) AS word_chars,
+    CAST(length(regexp_replace(t, '[^#*$%&|<>]', '', 'g')) AS BIGINT) AS n_symbols, list_filter(string_split(t, chr(10)), lambda x: regexp_matches(x, '[^\x20\x09-\x0D]')) AS ls,
+    coalesce(rep.n, 0) AS n_repeat_words, length(regexp_replace(t, '[^\pL\p{{Nl}}\p{{No}}]', '', 'g')) AS n_letters, length(regexp_replace(t, '[^A-ZÀ-ÖØ-Þ]', '', 'g')) AS n_upper,
+    len(list_filter(ws, lambda w: regexp_matches(w, '[#*$%&|<>!]{{2,}}$'))) AS n_marked_words, coalesce(list_max(list_transform(ws, lambda w: strlen(w))), 0) AS longest_word FROM d LEFT JOIN rep USING (doc_id)),
+l AS (SELECT *, CAST(len(ls) AS BIGINT) AS n_lines, CAST(len(ls) - len(list_distinct(ls)) AS BIGINT) AS n_dup_lines FROM m),
+b AS (SELECT *, CAST({bits} AS BIGINT) AS failed FROM l)
+SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (failed & {quality.mask('base-1')}) <> 0 AS base_failed, (failed & {quality.mask('web-1')}) = 0 AS kept, failed FROM b
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op2_jaccard_join": OP2_SQL, "op7_perspectives": OP7_SQL, "op10_quality_ledger": op10_sql()}
