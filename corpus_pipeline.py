@@ -14,13 +14,12 @@ from tallywalk.llm._frame import with_row_key, written
 from tallywalk.llm.queries import vocabulary
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
-LEAST_SCORE = 0.3  # of the language, where four even shares would be 0.25
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or whose words are as likely in every language, go. The model learns from the documents that name a language."""
+    """Documents in which no language is found go. The model learns from the documents that name their language."""
     model = langid.fit(docs)
-    return langid.predict(docs, model).where((F.col("language.lang_pred") != "und") & (F.col("language.score") >= LEAST_SCORE)).select(*COLUMNS)
+    return langid.predict(docs, model).where(F.col("language.lang_pred") != "und").select(*COLUMNS)
 
 
 def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
+import ctypes
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable
@@ -74,7 +76,9 @@ def struct_udf(fn: Callable[..., dict[str, Iterable]], fields: str):
 
     def run(*columns: pa.Array) -> pa.Array:
         got = fn(*(c.to_pylist() for c in columns))
-        return pa.StructArray.from_arrays([pa.array(got[n], k) for n, k in kinds.items()], names=list(kinds))
+        out = pa.StructArray.from_arrays([pa.array(got[n], k) for n, k in kinds.items()], names=list(kinds))
+        give_back()
+        return out
 
     run.__annotations__ = {}
     return F.arrow_udf(run, schema, functionType=F.ArrowUDFType.SCALAR) if hasattr(F, "ArrowUDFType") else F.arrow_udf(run, schema)
@@ -94,6 +98,13 @@ def join_counted(rows: DataFrame, table: DataFrame, key: str, weight: str, share
     return first.where("__heavy").drop("__heavy").unionByName(rest)
 
 
+def give_back() -> None:
+    """Freed memory goes back to the system: Python workers live long, and share their executor's memory with others."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(AttributeError, OSError):  # not every C library has it
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 class Memo:
     """Values by key for keys that repeat, in the dict `now`. Two generations of about `size` are held; the older goes when the younger is full."""
 

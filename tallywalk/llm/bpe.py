@@ -171,7 +171,7 @@ class WordBpe:
         split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.pieces = regex.compile(split)
         self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
-        self.words = Memo(1 << 18)
+        self.words = Memo(1 << 17)
 
     def split(self, text: str | None) -> list[str | int]:
         """The words of a text, and its special tokens as their ids."""

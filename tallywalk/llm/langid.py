@@ -54,7 +54,7 @@ class Model:
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
         if self.memo is None:
-            self.memo = Memo(1 << 17)
+            self.memo = Memo(1 << 16)
         out = []
         for some in in_parts(texts, 1 << 21):
             lists = [WORD.findall((t or "").lower()) for t in some]
