@@ -83,7 +83,8 @@ def build_sketch(
 
     streams: "as_is", the input's partitions, without a shuffle of data (their number is the number of sketches: set spark.sql.files.maxPartitionBytes to
     gigabytes at large scale); "by_source", the values of the column source; "by_label", labels dealt to the shuffle's partitions, which loses nothing
-    when merged; or a number, in blocks of the order. If the pairs have `ord`, each stream is walked in that order."""
+    when merged; or a number, in blocks of the order (whose bounds Spark samples for each
+    run: `stored` fixes a result that is used more than once). If the pairs have `ord`, each stream is walked in that order."""
     CounterTable(kind=kind, s=s, m=m, counter=counter, min_search=min_search)  # checks the arguments
     exact = counter == "exact"
     hashed = with_hashes(pairs, m, hash, gate_on, seed)
