@@ -53,15 +53,17 @@ def written(df: DataFrame, name: str) -> DataFrame:
     """The rows of df, computed once and kept as Parquet in the shared folder: lineage ends there, so a lost executor costs a re-read."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    before = spark.conf.get(BATCH_ROWS)
-    spark.conf.set(BATCH_ROWS, min(int(before), 2000))  # texts are long: smaller batches keep the Python workers small
-    try:
-        df.write.parquet(path)
-    finally:
-        spark.conf.set(BATCH_ROWS, before)
+    df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def small_batches() -> None:
+    """At most 2000 rows in an Arrow batch of this session from now on: texts are long, and a batch is held several times, in the JVM and in Python."""
+    spark = SparkSession.getActiveSession()
+    if spark is not None and not 0 < int(spark.conf.get(BATCH_ROWS)) <= 2000:
+        spark.conf.set(BATCH_ROWS, 2000)
+
+
 def with_row_key(df: DataFrame, key: str = "__row") -> DataFrame:
     """A key of each row that does not depend on the caller's ids, which may be null or repeat. Fixed only once the result is written."""
     return df.withColumn(key, F.monotonically_increasing_id())
@@ -71,6 +73,7 @@ def struct_udf(fn: Callable[..., dict[str, Iterable]], fields: str):
     """An Arrow function that takes lists of values (one list for each argument) and gives the columns of `fields`, a DDL string."""
     from pyspark.sql.pandas.types import to_arrow_type
 
+    small_batches()
     schema = T.StructType.fromDDL(fields)
     kinds = {f.name: to_arrow_type(f.dataType) for f in schema.fields}
 

@@ -1,17 +1,17 @@
 """Similarity join of documents on sets of five-word shingles, by chosen paths.
 
 Documents with equal sets are copies; one of them stands for all. Each set is embedded in COORDINATES min-hash values, and so for every coordinate two sets agree
-with the probability of their Jaccard similarity: agreeing means sharing the sampled token. A run splits all sets by one coordinate; a bucket that is still large splits again by
-coordinates drawn for its path, about BRANCHES of them, and so on down; small buckets are compared by brute force. A pair at the threshold survives a run with a
-probability of at least `survival(levels)`, and runs are repeated until the chance to miss it is below 1 - recall.
+with the probability of their Jaccard similarity: agreeing means sharing the sampled token. A run splits all sets by one coordinate. Small buckets are
+compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs; those that are like none of them split again by coordinates drawn for their path,
+about BRANCHES of them, and so on down. A pair at the threshold survives a run with a probability of at least `survival(levels)`, and runs are repeated until the chance to miss
+it is below 1 - recall.
 
-Large groups of near copies would never split. In a large bucket all sets are compared with one hub; those within half the threshold's distance form its ball. Jaccard
-distance is a metric, so two sets of one ball are linked for sure: such links are counted, not listed, and a bucket needs comparing only across balls.
-
-Whatever the paths propose is verified on the sets themselves (32-bit shingle hashes). Classes are the connected components of the links.
+What was found alike makes candidate groups: the connected components. Within a group all sets are compared exactly (32-bit shingle hashes), so that links are complete there and counted once. A
+group of M sets is cut into blocks of about 1.5 * sqrt(M), and every two blocks meet in a task of their own: no task holds a large group, and what leaves it are numbers of links and a spanning
+forest, never pairs. Classes are the connected components of the links.
 
 Result: a row for each document: class_id (the least document id of its class), copy_id (the least id among its copies), n_links (other documents with similarity of at
-least 0.8 that were found).
+least 0.8).
 
 Defined results: null and empty texts link to nothing and are classes of their own. Texts of fewer than five words have one shingle of all words. Documents with a null id take part; a class
 without any id has a null class_id. Repeated rows are copies. Other columns are not read; texts are used whole. An empty table gives an empty table.
@@ -22,10 +22,11 @@ from __future__ import annotations
 import math
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import in_parts, struct_udf, with_row_key, written
+from tallywalk.llm._frame import in_parts, join_counted, struct_udf, with_row_key, written
 from tallywalk.llm._words import LEAST, shingles, word_hashes, words_of
 
 COORDINATES = 64
@@ -33,6 +34,8 @@ BRANCHES = 2.0
 BUCKET = 10  # sets of a bucket that is compared by brute force
 LEVELS = 6
 RUNS = 32  # most runs
+HUBS = 3
+ALIKE = 0.4  # agreement with a hub that makes a candidate group; far below the threshold, so that the likes of a member are members
 SEEDS = np.random.default_rng(20).integers(1, 1 << 63, COORDINATES, dtype=np.uint64)
 
 
@@ -74,12 +77,6 @@ def _sets(texts: list[str | None]) -> dict:
     return out
 
 
-def jaccard(a: bytes, b: bytes) -> float:
-    x, y = np.frombuffer(a, np.uint32), np.frombuffer(b, np.uint32)
-    both = len(np.intersect1d(x, y, assume_unique=True))
-    return both / (len(x) + len(y) - both)
-
-
 def sets_of(first: DataFrame, reps: DataFrame) -> DataFrame:
     """(rep, grams) of the given sets alone. A bit filter of bounded size keeps most others' sets out of the shuffle; the join that follows is exact."""
     reps = written(reps.distinct(), "reps")
@@ -101,73 +98,150 @@ def sets_of(first: DataFrame, reps: DataFrame) -> DataFrame:
     return written(fat.join(reps, "rep", "left_semi"), "some-sets")
 
 
-def verified(pairs: DataFrame, first: DataFrame) -> DataFrame:
-    """Pairs (a, b) of set keys, a written table, with the exact similarity of their sets."""
-
-    def run(left, right):
-        return {"v": list(map(jaccard, left, right))}
-
-    sets = sets_of(first, pairs.select(F.col("a").alias("rep")).union(pairs.select("b")))
-    one = lambda side: sets.select(F.col("rep").alias(side), F.col("grams").alias(f"g{side}"))
-    both = pairs.join(one("a"), "a").join(one("b"), "b")
-    return both.select("a", "b", struct_udf(run, "v double")("ga", "gb")["v"].alias("similarity"))
-
-
 def agreement(x: Column, y: Column) -> Column:
     """The share of coordinates on which two sets agree."""
     return F.aggregate(F.zip_with(x, y, lambda a, b: (a == b).cast("int")), F.lit(0), lambda n, m: n + m) / F.lit(float(COORDINATES))
 
 
 def split(rows: DataFrame) -> DataFrame:
-    """The rows (path, rep, ball, paths) of large buckets at the next level."""
+    """The rows (path, rep, paths) of large buckets at the next level."""
     chosen = F.filter(F.sequence(F.lit(0), F.lit(COORDINATES - 1)), lambda i: F.pmod(F.xxhash64(F.col("path"), i), F.lit(1 << 20)) < F.lit(int(BRANCHES / COORDINATES * (1 << 20))))
     deeper = rows.withColumn("i", F.explode(chosen))
-    return deeper.select(F.xxhash64("path", "i", F.get("paths", F.col("i"))).alias("path"), "rep", "ball", "paths")
-
-
-def sizes(rows: DataFrame) -> DataFrame:
-    """For each path: n sets, and cross, twice the number of pairs that are not of one ball."""
-    balls = rows.groupBy("path", "ball").agg(F.count(F.lit(1)).alias("k"))
-    return balls.groupBy("path").agg(F.sum("k").alias("n"), F.sum(F.col("k") * F.col("k")).alias("own")).select("path", "n", (F.col("n") * F.col("n") - F.col("own")).alias("cross"))
-
-
-def ball_hubs(rows: DataFrame, first: DataFrame, least: float) -> DataFrame:
-    """(rep, hub) for sets within half the threshold's distance of a large bucket's first set; each set has one hub at most."""
-    large = rows.groupBy("path").agg(F.count(F.lit(1)).alias("n"), F.min_by(F.struct("rep", "paths"), "rep").alias("hub")).where(F.col("n") > BUCKET)
-    near = rows.join(large, "path").where((F.col("rep") != F.col("hub.rep")) & (agreement(F.col("paths"), F.col("hub.paths")) >= (1 + least) / 2 - 0.1))
-    pairs = written(near.select(F.col("rep").alias("a"), F.col("hub.rep").alias("b")).distinct(), "hub-pairs")
-    sure = verified(pairs, first).where(F.col("similarity") >= (1 + least) / 2)
-    # a hub that lies in another's ball stands for nothing itself
-    return sure.groupBy(F.col("a").alias("rep")).agg(F.min("b").alias("hub"))
+    return deeper.select(F.xxhash64("path", "i", F.get("paths", F.col("i"))).alias("path"), "rep", "paths")
 
 
 def compared(rows: DataFrame, least: float) -> DataFrame:
-    """Pairs of different balls in the same small bucket whose coordinates agree about as often as the threshold asks."""
-    groups = rows.select("path", "ball").distinct()
-    met = groups.alias("x").join(groups.alias("y"), (F.col("x.path") == F.col("y.path")) & (F.col("x.ball") < F.col("y.ball"))).select(F.col("x.path").alias("path"), F.col("x.ball").alias("ball"), F.col("y.ball").alias("other"))
-    left = met.join(rows.select("path", "ball", F.col("rep").alias("ra"), F.col("paths").alias("pa")), ["path", "ball"])
-    both = left.join(rows.select("path", F.col("ball").alias("other"), F.col("rep").alias("rb"), F.col("paths").alias("pb")), ["path", "other"])
+    """Edges (a, b) between sets of one bucket whose coordinates agree about as often as the threshold asks."""
     # six deviations below the threshold: not a filter that a true link fails
     slack = 6 * math.sqrt(least * (1 - least) / COORDINATES)
-    return both.where(agreement(F.col("pa"), F.col("pb")) >= least - slack).select(F.least("ra", "rb").alias("a"), F.greatest("ra", "rb").alias("b")).distinct()
+    x, y = (rows.select("path", F.col("rep").alias(r), F.col("paths").alias(p)) for r, p in (("a", "pa"), ("b", "pb")))
+    return x.join(y, "path").where((F.col("a") < F.col("b")) & (agreement(F.col("pa"), F.col("pb")) >= least - slack)).select("a", "b")
 
 
-def components(edges: DataFrame, rounds: int = 40) -> DataFrame:
-    """(rep, root) for all ends of the edges: the least key of each connected component, by alternating large and small stars."""
+def candidate_edges(level: DataFrame, least: float) -> DataFrame:
+    """Edges that connect all sets which a path has brought together and which may be alike."""
+    edges = []
+    for depth in range(LEVELS):
+        level = written(level, "level")
+        pick = [F.min_by(F.struct("rep", "paths"), F.xxhash64("rep", F.lit(k))).alias(f"h{k}") for k in range(HUBS)]
+        counts = written(level.groupBy("path").agg(F.count(F.lit(1)).alias("k")).where("k > 1"), "counts")
+        sized = written(join_counted(level, counts, "path", "k").where("k is not null"), "sized")
+        edges.append(compared(sized.where(F.col("k") <= BUCKET), least))
+        inside = sized.where(F.col("k") > BUCKET).select("path", "rep", "paths")
+        if not inside.limit(1).count():
+            break
+        hubs = written(inside.groupBy("path").agg(F.count(F.lit(1)).alias("n"), *pick), "bucket-hubs")
+        met = join_counted(inside, hubs, "path", "n")
+        near = [F.when(agreement(F.col("paths"), F.col(f"h{k}.paths")) >= ALIKE, F.col(f"h{k}.rep")) for k in range(HUBS)]
+        met = written(met.select("path", "rep", "paths", F.array_compact(F.array(*near)).alias("near")), "met")
+        ends = met.select(F.col("rep").alias("x"), F.explode("near").alias("y")).where("x <> y")
+        edges.append(ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
+        rest = met.where(F.size("near") == 0).select("path", "rep", "paths")
+        if depth == LEVELS - 1:
+            edges.append(compared(rest, least))  # whatever could not be split
+        level = split(rest)
+    found = edges[0]
+    for e in edges[1:]:
+        found = found.union(e)
+    return found.distinct()
+
+
+def compare_cell(sets: list[bytes], left: int, copies: np.ndarray, least: float) -> tuple[np.ndarray, np.ndarray]:
+    """For the sets of a cell, the first `left` of them against the others (all against all, if there are no others): how many documents each links to, and the
+    least place that links lead to from it."""
+    n, arrays = len(sets), [np.frombuffer(x, np.uint32) for x in sets]
+    sizes = np.fromiter(map(len, arrays), np.int64, n)
+    _, at, counts = np.unique(np.concatenate(arrays), return_inverse=True, return_counts=True)
+    shared = counts > 1  # the others are in no intersection
+    column = np.cumsum(shared) - 1
+    rows, at = np.repeat(np.arange(n), sizes), at
+    rows, at = rows[shared[at]], column[at[shared[at]]]
+    order = np.argsort(at, kind="stable")
+    rows, at = rows[order], at[order]
+    cross = left < n
+    a, b = (left, n - left) if cross else (n, n)
+    both = np.zeros((a, b), np.float32)
+    for low in range(0, int(shared.sum()), 8192):
+        i, j = np.searchsorted(at, [low, low + 8192])
+        part = np.zeros((n, min(8192, int(shared.sum()) - low)), np.float32)
+        part[rows[i:j], at[i:j] - low] = 1
+        both += part[:a] @ part[n - b :].T
+    either = sizes[:a, None] + sizes[None, n - b :] - both
+    linked = both >= least * either - 1e-6
+    if not cross:
+        np.fill_diagonal(linked, False)
+    links = np.zeros(n, np.int64)
+    links[:a] += linked @ copies[n - b :]
+    if cross:
+        links[a:] += copies[:a] @ linked
+    lead = np.arange(n)
+    while True:
+        before = lead.copy()
+        if linked.any():
+            lead[:a] = np.minimum(lead[:a], np.where(linked, lead[None, n - b :], n).min(axis=1))
+            lead[n - b :] = np.minimum(lead[n - b :], np.where(linked, lead[:a, None], n).min(axis=0))
+        if (lead == before).all():
+            return links, lead
+
+
+def group_links(members: DataFrame, first: DataFrame, least: float) -> DataFrame:
+    """(rep, links, lead) from the exact comparison of candidate groups; members: rep, root, copies. A set has a row for each cell in which it links."""
+    size = written(members.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "group-sizes")
+    told = join_counted(members, size, "root", "n")
+    blocks = F.ceil(F.col("n") / F.greatest(F.lit(32.0), 1.5 * F.sqrt("n"))).cast("int")
+    placed = told.select("rep", "root", "copies", blocks.alias("nb"), F.pmod(F.xxhash64("rep"), blocks).cast("int").alias("block"))
+    fat = written(placed.join(sets_of(first, members.select("rep")), "rep"), "group-sets")
+    other = F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("other")
+    spread = fat.select("root", "block", other, "rep", "copies", "grams").select("root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "copies", "grams")
+    dealt = spread.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "block")
+
+    def run(batches):
+        key, rows = None, []
+
+        def done():
+            if len(rows) < 2:
+                return None
+            blocks_, reps, copies, grams = zip(*rows)
+            left = blocks_.count(blocks_[0])
+            if key[1] != key[2] and left == len(rows):  # one of the two blocks is empty
+                return None
+            links, lead = compare_cell(list(grams), left, np.array(copies, np.int64), least)
+            keep = np.flatnonzero(links)
+            if not len(keep):
+                return None
+            reps = np.array(reps, np.int64)
+            return pa.RecordBatch.from_pydict({"rep": reps[keep], "links": links[keep], "lead": reps[lead[keep]]})
+
+        for batch in batches:
+            for root, i, j, *row in zip(*(c.to_pylist() for c in batch.columns)):
+                if key != (root, i, j):
+                    if (out := done()) is not None:
+                        yield out
+                    key, rows = (root, i, j), []
+                rows.append(row)
+        if (out := done()) is not None:
+            yield out
+
+    return dealt.mapInArrow(run, "rep bigint, links bigint, lead bigint")
+
+
+def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
+    """(rep, root) for all ends of the edges (a, b): the least key of each connected component, by alternating large and small stars."""
     now = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), "edges")
     before = None
     for _ in range(rounds):
         both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.first("u")).alias("m"))
-        large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct()
-        smaller = large.groupBy("u").agg(F.min("v").alias("m"))
-        rest = large.join(smaller, "u").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+        least = written(both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).withColumn("m", F.least("m", "u")), "least")
+        large = written(join_counted(both, least, "u", "n").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct(), "large-star")
+        smaller = written(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "smaller")
+        rest = join_counted(large, smaller, "u", "n").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
         now = written(rest.union(smaller.select("u", F.col("m").alias("v"))).distinct(), "edges")
         state = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             break
         before = state
-    return now.groupBy(F.col("u").alias("rep")).agg(F.min("v").alias("root"))
+    ends = now.groupBy(F.col("u").alias("rep")).agg(F.min("v").alias("root"))
+    return ends.union(ends.select(F.col("root").alias("rep"), "root").distinct())
 
 
 def join(df: DataFrame, key: str = "doc_id", text: str = "text", least: float = LEAST, recall: float = 0.9999) -> DataFrame:
@@ -188,36 +262,20 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     runs = min(RUNS, runs_for(recall))
     top = reps.select("rep", F.posexplode(F.slice("tops", 1, runs)).alias("i", "value")).select(F.xxhash64("i", "value").alias("path"), "rep")
     # a set that is alone in a bucket has nothing to do with it: counted on slim rows, before the coordinates come along
-    shared = top.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("path")
-    level = written(top.join(shared, "path").join(reps.select("rep", "paths"), "rep"), "level")
-    hubs = written(ball_hubs(level, first, least), "hubs")
-    level = level.join(hubs, "rep", "left").select("path", "rep", F.coalesce("hub", "rep").alias("ball"), "paths")
-    pairs = []
-    for depth in range(LEVELS):
-        level = written(level, "level")
-        size = written(sizes(level).where("cross > 0"), "sizes")
-        last = depth == LEVELS - 1
-        small = F.lit(True) if last else F.col("cross") <= BUCKET * BUCKET
-        pairs.append(compared(level.join(size.where(small).select("path"), "path"), least))
-        if last or not size.where(~small).limit(1).count():
-            break
-        level = split(level.join(size.where(~small).select("path"), "path"))
-    found = pairs[0]
-    for p in pairs[1:]:
-        found = found.union(p)
-    links = written(verified(written(found.distinct(), "pairs"), first).where(F.col("similarity") >= least - 1e-12), "links")
-
+    shared = written(top.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "shared")
+    met = join_counted(top, shared, "path", "n").where("n is not null").select("path", "rep")
+    level = written(met.join(reps.select("rep", "paths"), "rep"), "level")
     weight = copies.select("rep", "copies")
-    balls = written(hubs.select("rep", "hub").union(hubs.select(F.col("hub").alias("rep"), "hub").distinct()).groupBy("rep").agg(F.min("hub").alias("hub")), "balls")
-    inside = balls.join(weight, "rep").groupBy("hub").agg(F.sum("copies").alias("in_ball"))
-    both = links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    across = both.join(weight.select(F.col("rep").alias("b"), "copies"), "b").groupBy(F.col("a").alias("rep")).agg(F.sum("copies").alias("across"))
-    root = components(links.select("a", "b").union(hubs.select(F.col("rep").alias("a"), F.col("hub").alias("b"))))
-    told = copies.join(root, "rep", "left").join(across, "rep", "left").join(balls, "rep", "left").join(inside, "hub", "left")
-    told = told.withColumn("root", F.coalesce("root", "rep")).withColumn("n_links", F.col("copies") - 1 + F.coalesce("across", F.lit(0)) + F.coalesce(F.col("in_ball") - F.col("copies"), F.lit(0)))
+    groups = components(candidate_edges(level, least))
+    members = written(groups.join(weight, "rep"), "members")
+    found = written(group_links(members, first, least), "links")
+    across = found.groupBy("rep").agg(F.sum("links").alias("across"))
+    root = components(found.select(F.col("rep").alias("a"), F.col("lead").alias("b")))
+    told = copies.join(root, "rep", "left").join(across, "rep", "left")
+    told = told.withColumn("root", F.coalesce("root", "rep")).withColumn("n_links", F.col("copies") - 1 + F.coalesce("across", F.lit(0)))
     told = written(told.select(*same, "rep", "root", "copy_id", "n_links"), "told")
-    least_id = told.groupBy("root").agg(F.min("copy_id").alias("class_id"))
-    told = told.join(least_id, "root").select(*same, "copy_id", "n_links", "class_id", (F.col("rep") == F.col("root")).alias("is_root"), "rep")
+    least_id = written(told.groupBy("root").agg(F.min("copy_id").alias("class_id"), F.count(F.lit(1)).alias("members")), "classes")
+    told = join_counted(told, least_id, "root", "members").select(*same, "copy_id", "n_links", "class_id", (F.col("rep") == F.col("root")).alias("is_root"), "rep")
     out = first.drop("grams", "paths", "tops").join(told, same, "left")
     alone = F.col("rep").isNull()
     return out.select(

@@ -33,7 +33,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import Memo, in_parts
+from tallywalk.llm._frame import Memo, in_parts, small_batches
 from tallywalk.llm.bpe import is_latin
 
 MASK_DELTA = 0xA282EAD8  # of the TFRecord framing
@@ -218,8 +218,24 @@ def encoder(path: str) -> LibraryEncoder:
     return LibraryEncoder(path)
 
 
+def gathered(batches, chars: int = 1 << 24):
+    """Keys and texts of several batches at a time: more texts share more words."""
+    keys, texts, total = [], [], 0
+    for batch in batches:
+        keys += batch.column(0).to_pylist()
+        more = batch.column(1).to_pylist()
+        texts += more
+        total += sum(len(t) for t in more if t)
+        if total >= chars:
+            yield keys, texts
+            keys, texts, total = [], [], 0
+    if keys:
+        yield keys, texts
+
+
 def write(df: DataFrame, folder: str, vocabulary: str, end_id: int, text: str = "text", key: str = "doc_id", shards: int | None = None) -> DataFrame:
     """Writes shards and indexes below folder, and gives a row for each shard: shard, path, first_key, n_records, n_ids (a few numbers a file)."""
+    small_batches()
     spark = df.sparkSession
     slim = df.select(F.col(key).cast("bigint").alias("key"), F.col(text).alias("text"), F.xxhash64(text).alias("tie"))  # many rows of one id still make many shards
     dealt = slim.repartitionByRange(*([shards] if shards else []), F.col("key").asc_nulls_first(), "tie").sortWithinPartitions(F.col("key").asc_nulls_first(), "tie").drop("tie")
@@ -234,10 +250,7 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int, text: str =
         own = f"{base}/.{part:06d}-{uuid.uuid4().hex}"
         out, offset, index, first, n_ids = None, 0, [], None, 0
         try:
-            for batch in batches:
-                keys, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-                if not keys:
-                    continue
+            for keys, texts in gathered(batches):
                 if out is None:
                     store.create_dir(base, recursive=True)
                     out, first = store.open_output_stream(own), keys[0]
