@@ -65,25 +65,25 @@ def same_width(spark: SparkSession, sf_dir: str, width: int = 500, m: int = 256)
         yield scored("word_conversations", method, pairs, truth, width, m, {"cell_grid": 4, "shared_grid": m}.get(method))
 
 
-def counter_sizes(spark: SparkSession, sf_dir: str, limit: int = 256 * KIB) -> Iterator[dict]:
+def counter_sizes(spark: SparkSession, sf_dir: str, limit: int = 256 * KIB, sizes=(64, 128, 256, 512, 1024, 2048, 4096)) -> Iterator[dict]:
     """More counters against better counters under one limit."""
     pairs, truth = loaded(spark, sf_dir, "word_conversations")
-    for m in (64, 128, 256, 512, 1024, 2048, 4096):
+    for m in sizes:
         yield scored("word_conversations", "gated", pairs, truth, bounds.size_for("gated", limit, m), m)
 
 
-def ablation(spark: SparkSession, sf_dir: str, sizes=(400, 2000), m: int = 256) -> Iterator[dict]:
+def ablation(spark: SparkSession, sf_dir: str, sizes=(400, 2000), m: int = 256, workloads=("word_conversations", "word_docs", "customer_parts")) -> Iterator[dict]:
     """What the gate and the recycling are good for."""
-    for w in ("word_conversations", "word_docs", "customer_parts"):
+    for w in workloads:
         pairs, truth = loaded(spark, sf_dir, w)
         for s in sizes:
             for kind in ("offset", "recycled", "gated"):
                 yield scored(w, kind, pairs, truth, s, m)
 
 
-def merging(spark: SparkSession, sf_dir: str, s: int = 500, m: int = 256, streams: int = 64) -> Iterator[dict]:
+def merging(spark: SparkSession, sf_dir: str, s: int = 500, m: int = 256, streams: int = 64, workloads=("word_conversations", "customer_parts")) -> Iterator[dict]:
     """The price of cutting the stream into pieces."""
-    for w in ("word_conversations", "customer_parts"):
+    for w in workloads:
         pairs, truth = loaded(spark, sf_dir, w)
         for n in (1, streams):
             yield scored(w, "gated", pairs, truth, s, m, streams=n) | {"streams": n}

@@ -7,11 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from tallywalk.functions import bounds
+from tallywalk.functions import bounds, sqlapi
 from tallywalk.functions.hashing import draw, gate_pass_probability, hash52
-from tallywalk.operators import exact, grids
-from tallywalk.operators.sketches import Sketches, build_sketch, estimate, merge_pair, merge_sketches, over, roll_up, top_k
-from tallywalk.plans import metrics, twins
+from tallywalk.functions.registers import estimate_registers
+from tallywalk.operators import exact, grids, neighbours
+from tallywalk.operators.sketches import Sketches, build_sketch, estimate, merge_pair, merge_sketches, over, recount, roll_up, top_k
+from tallywalk.plans import experiments, metrics, twins
 from tallywalk.sources.pairs import LINE_ORDER, WORKLOADS, pairs, table, word_pairs
 from tallywalk.streaming import panes
 
@@ -561,3 +562,88 @@ def invariants_recycled(spark: SparkSession, d: str) -> DataFrame:
 def invariants_gated(spark: SparkSession, d: str) -> DataFrame:
     p = WORKLOADS["customer_parts"](spark, d)
     return metrics.check_invariants(build_sketch(p, kind="gated", s=200, counter="exact", streams=1), exact.exact_sizes(p), 0.0)
+
+
+# ---- neighbours of the walks
+
+
+@query("size_bands", f"SELECT name, count(*) AS labels FROM ({twins.sizes(twins.PAIRS['word_docs'])}) JOIN (VALUES ('once', 1, 2), ('few', 2, 10), ('many', 10, 1000000)) b(name, low, high) ON d >= low AND d < high GROUP BY name")
+def size_bands(spark: SparkSession, d: str) -> DataFrame:
+    bands = values(spark, [("once", 1, 2), ("few", 2, 10), ("many", 10, 1_000_000)], "name string, low int, high int")
+    return neighbours.size_bands(exact.exact_sizes(WORKLOADS["word_docs"](spark, d)), bands)
+
+
+@query("reported_false_positives", f"WITH {_scored[100]} SELECT label_key FROM (SELECT label_key FROM answer ORDER BY estimate DESC, label_key LIMIT 100) WHERE label_key NOT IN (SELECT label_key FROM truth ORDER BY d DESC, label_key LIMIT 100)")
+def reported_false_positives(spark: SparkSession, d: str) -> DataFrame:
+    return neighbours.false_positives(*contender(spark, d), 100).select("label_key")
+
+
+@query(
+    "views_then_clicks",
+    "SELECT a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts < a.ts + INTERVAL 6 HOUR AND a.event_type < b.event_type",
+)
+def views_then_clicks(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of events of one user within six hours, of types in order of name."""
+    e = table(spark, d, "events").select("event_id", "user_id", "event_type", F.col("ts").cast("timestamp").alias("ts"))
+    got = panes.within(e, e, "user_id", "6 hours").where(F.col("a.event_type") < F.col("b.event_type"))
+    return got.select(F.col("a.event_id").alias("first_id"), F.col("b.event_id").alias("second_id"))
+
+
+@query("pre_gated_walk_equals_walk", "SELECT CAST(0 AS BIGINT) AS differences")
+def pre_gated_walk_equals_walk(spark: SparkSession, d: str) -> DataFrame:
+    """Rows that the first walk's last threshold refuses anyway change nothing when the stream's members and floor are known beforehand: a second look finds no row of
+    a member missing."""
+    p = prefix(spark, d)
+    sk = walked(spark, d, "gated")
+    kept = neighbours.pre_gate(p, sk)
+    members = p.join(sk.counters.select("label_key"), "label_key", "left_semi")
+    return members.exceptAll(kept).agg(F.count(F.lit(1)).alias("differences"))
+
+
+@query("verified_top_words")
+def verified_top_words(spark: SparkSession, d: str) -> DataFrame:
+    """The flagship's answer, recounted exactly for the labels it reports."""
+    p = WORKLOADS["word_docs"](spark, d)
+    return recount(top_k(build_sketch(p, s=1000, m=256, streams=1), 20), p)
+
+
+query("merge_uncertainty")(lambda spark, d: (lambda sk: neighbours.merge_uncertainty(sk, merge_sketches(sk)))(build_sketch(WORKLOADS["word_docs"](spark, d), s=500, m=64, streams="by_source")))
+query("theta_overlaps")(lambda spark, d: neighbours.theta_overlap(WORKLOADS["supplier_parts"](spark, d), values(spark, [("1", "2"), ("3", "4")], "first string, second string")))
+query("size_quantiles")(lambda spark, d: neighbours.size_quantiles(exact.exact_sizes(WORKLOADS["word_docs"](spark, d)), [0.5, 0.9, 0.99]))
+query("work_counters")(lambda spark, d: build_sketch(WORKLOADS["word_docs"](spark, d), s=400, m=64, streams=1).meta.unionByName(build_sketch(WORKLOADS["word_docs"](spark, d), kind="gated_eager", s=400, m=64, streams=1).meta))
+query("measured_bytes")(lambda spark, d: metrics.measured_bytes(build_sketch(WORKLOADS["word_docs"](spark, d), s=400, m=256, streams=1)))
+
+
+@query("sql_heavy_labels")
+def sql_heavy_labels(spark: SparkSession, d: str) -> DataFrame:
+    """The walk as a table function of SQL."""
+    sqlapi.register(spark)
+    WORKLOADS["supplier_parts"](spark, d).selectExpr("label_key AS label", "item_key AS item", "ord", "cast(ord.l_orderkey % 2 AS int) AS shard").createOrReplaceTempView("tallywalk_pairs")
+    return spark.sql("SELECT * FROM heavy_labels(TABLE(tallywalk_pairs) PARTITION BY (shard) ORDER BY (ord), 5, 20, 256, 'gated')")
+
+
+@query("sql_merged_registers", f"SELECT label_key, round(estimate, 6) AS estimate FROM ({twins.estimates(_regs, M)})")
+def sql_merged_registers(spark: SparkSession, d: str) -> DataFrame:
+    """Registers of two streams, merged and estimated by the SQL aggregates."""
+    sk = build_sketch(WORKLOADS["supplier_parts"](spark, d), s=2000, m=M, streams=2, hash="portable")
+    merged = sk.counters.groupBy("label_key").agg(sqlapi.merge_registers_udf()("registers").alias("registers"))
+    return merged.select("label_key", F.round(estimate_registers()("registers"), 6).alias("estimate"))
+
+
+# ---- experiments, each on one workload of a size that a query may take
+
+
+def experiment(rows, spark: SparkSession) -> DataFrame:
+    got = list(rows)
+    return spark.createDataFrame([{k: float(v) if isinstance(v, float) else v for k, v in r.items()} for r in got])
+
+
+query("experiment_ablation")(lambda spark, d: experiment(experiments.ablation(spark, d, sizes=(400,), workloads=("customer_parts",)), spark))
+query("experiment_same_width")(lambda spark, d: experiment(experiments.same_width(spark, d, 100, 64), spark))
+query("experiment_counter_sizes")(lambda spark, d: experiment(experiments.counter_sizes(spark, d, 128 << 10, (64, 256, 1024)), spark))
+query("experiment_memory_sweep")(lambda spark, d: experiment(experiments.memory_sweep(spark, d, ("customer_parts",), (64 << 10,)), spark))
+query("experiment_merging")(lambda spark, d: experiment(experiments.merging(spark, d, 200, 64, 8, ("customer_parts",)), spark))
+query("experiment_overlap")(lambda spark, d: experiment(experiments.overlap(spark, d, 1000, sizes=(100_000,)), spark))
+query("experiment_slow_tail")(lambda spark, d: experiment(experiments.slow_tail(spark, d, 1000, 100_000, 64 << 10), spark))
+query("experiment_query_time")(lambda spark, d: experiment(experiments.query_time(spark, d, 100), spark))
+query("experiment_throughput")(lambda spark, d: experiment(experiments.throughput(spark, d, ("customer_parts",)), spark))

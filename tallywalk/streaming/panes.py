@@ -104,3 +104,15 @@ def ranks(panes: DataFrame, k: int) -> DataFrame:
     """The k largest labels of every pane."""
     best = Window.partitionBy("pane").orderBy(F.desc("d"), "label_key")
     return panes.withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
+
+
+def deduplicated(pairs: DataFrame, id: str, watermark: str = "1 hour") -> DataFrame:
+    """For agents that deliver at least once: a row's id counts once within the watermark."""
+    return pairs.withWatermark("ts", watermark).dropDuplicatesWithinWatermark([id])
+
+
+def within(left: DataFrame, right: DataFrame, key: str, span: str = "10 minutes", watermark: str = "1 hour") -> DataFrame:
+    """Interval join of two streams (or tables): rows of one key where the right one's ts follows the left one's within the span."""
+    a = left.withWatermark("ts", watermark).alias("a")
+    b = right.withWatermark("ts", watermark).alias("b")
+    return a.join(b, (F.col(f"a.{key}") == F.col(f"b.{key}")) & (F.col("b.ts") >= F.col("a.ts")) & (F.col("b.ts") < F.col("a.ts") + F.expr(f"interval {span}")))
