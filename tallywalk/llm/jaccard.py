@@ -2,8 +2,8 @@
 
 Documents with equal sets are copies; one of them stands for all. Each set is embedded in COORDINATES min-hash values, and so for every coordinate two sets agree
 with the probability of their Jaccard similarity: agreeing means sharing the sampled token. A run splits all sets by one coordinate. Small buckets are
-compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs; those that are like none of them split again by coordinates drawn for their path,
-about BRANCHES of them, and so on down. A pair at the threshold survives a run with a probability of at least `survival(levels)`, and runs are repeated until the chance to miss
+compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs; those that are like none of them, and whose other buckets do not suffice for the recall, split again by
+coordinates drawn for their path, about BRANCHES of them, and so on down. A pair at the threshold survives a run with a probability of at least `survival(levels)`, and runs are repeated until the chance to miss
 it is below 1 - recall.
 
 What was found alike makes candidate groups: the connected components. Within a group all sets are compared exactly (32-bit shingle hashes), so that links are complete there and counted once. A
@@ -51,6 +51,18 @@ def runs_for(recall: float, levels: int = LEVELS, similarity: float = LEAST) ->
     return max(1, math.ceil(math.log(1 - recall) / math.log(1 - survival(levels, similarity))))
 
 
+def settled(runs: int, recall: float, similarity: float = LEAST) -> int:
+    """How many of a set's first-level buckets must be small for its links to be found in them with this recall.
+
+    If k of the runs end in small buckets, about 1 - k / runs of the set's tokens are common ones. Even where all of those are shared with a partner, the two agree on each of the k others with a chance
+    of at least 1 - (1 - similarity) * runs / k, and one agreement is enough."""
+    for k in range(1, runs + 1):
+        miss = min(1.0, (1 - similarity) * runs / k)
+        if miss**k <= 1 - recall:
+            return k
+    return runs + 1
+
+
 def min_hashes(grams: np.ndarray) -> np.ndarray:
     """COORDINATES min-hash values of a set of 64-bit hashes, as signed 32-bit numbers."""
     out = np.full(COORDINATES, 0xFFFFFFFF, np.uint64)
@@ -118,7 +130,7 @@ def compared(rows: DataFrame, least: float) -> DataFrame:
     return x.join(y, "path").where((F.col("a") < F.col("b")) & (agreement(F.col("pa"), F.col("pb")) >= least - slack)).select("a", "b")
 
 
-def candidate_edges(level: DataFrame, least: float) -> DataFrame:
+def candidate_edges(level: DataFrame, least: float, runs: int, recall: float) -> DataFrame:
     """Edges that connect all sets which a path has brought together and which may be alike."""
     edges = []
     for depth in range(LEVELS):
@@ -137,6 +149,10 @@ def candidate_edges(level: DataFrame, least: float) -> DataFrame:
         ends = met.select(F.col("rep").alias("x"), F.explode("near").alias("y")).where("x <> y")
         edges.append(ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
         rest = met.where(F.size("near") == 0).select("path", "rep", "paths")
+        if depth == 0:
+            # sets that enough small buckets have settled need no split: see `settled`
+            crowded = inside.groupBy("rep").agg(F.count(F.lit(1)).alias("crowded"))
+            rest = rest.join(crowded.where(F.lit(runs) - F.col("crowded") < settled(runs, recall, least)).select("rep"), "rep", "left_semi").select("path", "rep", "paths")
         if depth == LEVELS - 1:
             edges.append(compared(rest, least))  # whatever could not be split
         level = split(rest)
@@ -266,7 +282,7 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     met = join_counted(top, shared, "path", "n").where("n is not null").select("path", "rep")
     level = written(met.join(reps.select("rep", "paths"), "rep"), "level")
     weight = copies.select("rep", "copies")
-    groups = components(candidate_edges(level, least))
+    groups = components(candidate_edges(level, least, runs, recall))
     members = written(groups.join(weight, "rep"), "members")
     found = written(group_links(members, first, least), "links")
     across = found.groupBy("rep").agg(F.sum("links").alias("across"))
