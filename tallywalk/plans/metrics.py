@@ -52,7 +52,7 @@ def rmae() -> Column:
 
 
 def rrmse() -> Column:
-    """As printed: the count outside the root, the size to the first power inside."""
+    """The count outside the root, the size to the first power inside; rrmse_usual is the common form."""
     return F.sqrt(F.sum(F.pow(F.col("d") - F.col("estimate"), F.lit(2.0)) / F.col("d"))) / F.count(F.lit(1))
 
 

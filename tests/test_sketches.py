@@ -52,7 +52,7 @@ def test_registers_in_the_walk_are_those_of_the_plan(spark, customers):
         assert abs(r["e"] - r["estimate"]) < 1e-6
 
 
-def test_variants_order_as_published(spark, customers):
+def test_variants_order(spark, customers):
     p, truth = customers
     q = {}
     for kind in ("offset", "recycled", "gated"):
