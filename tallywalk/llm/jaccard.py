@@ -7,7 +7,7 @@ coordinates drawn for their path, about BRANCHES of them, and so on down. A pair
 it is below 1 - recall.
 
 What was found alike makes candidate groups: the connected components. Within a group all sets are compared exactly (32-bit shingle hashes), so that links are complete there and counted once. A
-group of M sets is cut into blocks of about 1.5 * sqrt(M), and every two blocks meet in a task of their own: no task holds a large group, and what leaves it are numbers of links and a spanning
+group of M sets is cut into blocks of about 2 * sqrt(M), and every two blocks meet in a task of their own: no task holds a large group, and what leaves it are numbers of links and a spanning
 forest, never pairs. Classes are the connected components of the links.
 
 Result: a row for each document: class_id (the least document id of its class), copy_id (the least id among its copies), n_links (other documents with similarity of at
@@ -33,7 +33,6 @@ COORDINATES = 64
 BRANCHES = 2.0
 BUCKET = 10  # sets of a bucket that is compared by brute force
 LEVELS = 6
-RUNS = 32  # most runs
 HUBS = 3
 ALIKE = 0.4  # agreement with a hub that makes a candidate group; far below the threshold, so that the likes of a member are members
 SEEDS = np.random.default_rng(20).integers(1, 1 << 63, COORDINATES, dtype=np.uint64)
@@ -73,8 +72,8 @@ def min_hashes(grams: np.ndarray) -> np.ndarray:
     return out.astype(np.uint32).view(np.int32)
 
 
-def _sets(texts: list[str | None]) -> dict:
-    out: dict[str, list] = {"set_a": [], "set_b": [], "n": [], "tops": [], "paths": [], "grams": []}
+def _sets(texts: list[str | None], runs: int) -> dict:
+    out: dict[str, list] = {"set_a": [], "set_b": [], "n": [], "tops": [], "paths": []}
     for some in in_parts(texts, 1 << 21):
         for h in word_hashes().of(list(map(words_of, some))):
             g = np.unique(shingles(h))
@@ -83,31 +82,37 @@ def _sets(texts: list[str | None]) -> dict:
                 out["set_b"].append(int(((g ^ (g >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)).sum(dtype=np.uint64).view(np.int64)))
             out["n"].append(len(g))
             values = min_hashes(g) if len(g) else None
-            out["tops"].append(None if values is None else values[:RUNS])
+            out["tops"].append(None if values is None else values[:runs])
             out["paths"].append(None if values is None else values.astype(np.int16))
-            out["grams"].append(np.unique(g.astype(np.uint32)).tobytes())
     return out
 
 
-def sets_of(first: DataFrame, reps: DataFrame) -> DataFrame:
-    """(rep, grams) of the given sets alone. A bit filter of bounded size keeps most others' sets out of the shuffle; the join that follows is exact."""
-    reps = written(reps.distinct(), "reps")
-    bits = 1 << max(16, min(26, (16 * reps.count()).bit_length()))
-    both = F.explode(F.array(F.xxhash64("rep"), F.xxhash64("rep", F.lit(1)))).alias("h")
-    words = reps.select(both).select(F.pmod("h", F.lit(bits)).alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("b")).collect()
+def _grams(texts: list[str | None]) -> dict:
+    out = []
+    for some in in_parts(texts, 1 << 21):
+        out += [np.unique(shingles(h).astype(np.uint32)).tobytes() for h in word_hashes().of(list(map(words_of, some)))]
+    return {"v": out}
+
+
+def sets_of(texts: DataFrame, members: DataFrame) -> DataFrame:
+    """(rep, grams) of the given sets alone, by a second look at the texts; members: rep, print. A bit filter of bounded size keeps most other texts out of the shuffle; the join that follows is exact."""
+    bits = 1 << max(16, min(26, (16 * members.count()).bit_length()))
+    both = F.explode(F.array(F.xxhash64("print"), F.xxhash64("print", F.lit(1)))).alias("h")
+    words = members.select(both).select(F.pmod("h", F.lit(bits)).alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("b")).collect()
     table = np.zeros(bits // 64, np.int64)
     for w, b in words:
         table[w] = b
-    sent = first.sparkSession.sparkContext.broadcast(table.view(np.uint64))
+    sent = texts.sparkSession.sparkContext.broadcast(table.view(np.uint64))
 
     def run(p, q):
         x, y = np.array(p, np.int64), np.array(q, np.int64)
         hit = lambda z: sent.value[z >> 6] >> (z & 63).astype(np.uint64) & np.uint64(1)
         return {"v": (hit(x) & hit(y)).astype(bool).tolist()}
 
-    at = lambda *x: F.pmod(F.xxhash64("rep", *x), F.lit(bits))
-    fat = first.where("n > 0").select(F.col("__row").alias("rep"), "grams").where(struct_udf(run, "v boolean")(at(), at(F.lit(1)))["v"])
-    return written(fat.join(reps, "rep", "left_semi"), "some-sets")
+    at = lambda *x: F.pmod(F.xxhash64("print", *x), F.lit(bits))
+    some = texts.select(F.xxhash64("text").alias("print"), "text").where(struct_udf(run, "v boolean")(at(), at(F.lit(1)))["v"])
+    one = some.groupBy("print").agg(F.first("text").alias("text")).join(members.select("rep", "print"), "print")
+    return one.select("rep", struct_udf(_grams, "v binary")("text")["v"].alias("grams"))
 
 
 def agreement(x: Column, y: Column) -> Column:
@@ -131,13 +136,14 @@ def compared(rows: DataFrame, least: float) -> DataFrame:
 
 
 def candidate_edges(level: DataFrame, least: float, runs: int, recall: float) -> DataFrame:
-    """Edges that connect all sets which a path has brought together and which may be alike."""
+    """Edges that connect all sets which a path has brought together and which may be alike. level: path, rep, paths, and k, the sets of the path."""
     edges = []
+    pick = [F.min_by(F.struct("rep", "paths"), F.xxhash64("rep", F.lit(k))).alias(f"h{k}") for k in range(HUBS)]
     for depth in range(LEVELS):
-        level = written(level, "level")
-        pick = [F.min_by(F.struct("rep", "paths"), F.xxhash64("rep", F.lit(k))).alias(f"h{k}") for k in range(HUBS)]
-        counts = written(level.groupBy("path").agg(F.count(F.lit(1)).alias("k")).where("k > 1"), "counts")
-        sized = written(join_counted(level, counts, "path", "k").where("k is not null"), "sized")
+        sized = written(level, "level")
+        if depth:
+            counts = written(sized.groupBy("path").agg(F.count(F.lit(1)).alias("k")).where("k > 1"), "counts")
+            sized = written(join_counted(sized, counts, "path", "k").where("k is not null"), "sized")
         edges.append(compared(sized.where(F.col("k") <= BUCKET), least))
         inside = sized.where(F.col("k") > BUCKET).select("path", "rep", "paths")
         if not inside.limit(1).count():
@@ -200,13 +206,13 @@ def compare_cell(sets: list[bytes], left: int, copies: np.ndarray, least: float)
             return links, lead
 
 
-def group_links(members: DataFrame, first: DataFrame, least: float) -> DataFrame:
-    """(rep, links, lead) from the exact comparison of candidate groups; members: rep, root, copies. A set has a row for each cell in which it links."""
+def group_links(members: DataFrame, texts: DataFrame, least: float) -> DataFrame:
+    """(rep, links, lead) from the exact comparison of candidate groups; members: rep, root, copies, print. A set has a row for each cell in which it links."""
     size = written(members.groupBy("root").agg(F.count(F.lit(1)).alias("n")), "group-sizes")
     told = join_counted(members, size, "root", "n")
-    blocks = F.ceil(F.col("n") / F.greatest(F.lit(32.0), 1.5 * F.sqrt("n"))).cast("int")
+    blocks = F.ceil(F.col("n") / F.greatest(F.lit(32.0), 2 * F.sqrt("n"))).cast("int")
     placed = told.select("rep", "root", "copies", blocks.alias("nb"), F.pmod(F.xxhash64("rep"), blocks).cast("int").alias("block"))
-    fat = written(placed.join(sets_of(first, members.select("rep")), "rep"), "group-sets")
+    fat = written(placed.join(sets_of(texts, members), "rep"), "group-sets")
     other = F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("other")
     spread = fat.select("root", "block", other, "rep", "copies", "grams").select("root", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "block", "rep", "copies", "grams")
     dealt = spread.repartition("root", "i", "j").sortWithinPartitions("root", "i", "j", "block")
@@ -267,24 +273,24 @@ def join(df: DataFrame, key: str = "doc_id", text: str = "text", least: float =
 
 def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> DataFrame:
     """For rows (key, text, and others, which are kept but for text): class_id, copy_id, n_links, and first, true for one row of each class."""
-    made = struct_udf(_sets, "set_a bigint, set_b bigint, n int, tops array<int>, paths array<smallint>, grams binary")
+    runs = min(COORDINATES, runs_for(recall))
+    made = struct_udf(lambda texts: _sets(texts, runs), "set_a bigint, set_b bigint, n int, tops array<int>, paths array<smallint>")
     others = [c for c in rows.columns if c != "text"]
-    first = written(with_row_key(rows.select(*others, made(F.col("text")).alias("made")).select(*others, "made.*")), "sets")
-    docs = first.where("n > 0").select("__row", "key", "set_a", "set_b", "n")
+    first = written(with_row_key(rows.select(*others, F.xxhash64("text").alias("print"), made(F.col("text")).alias("made")).select(*others, "print", "made.*")), "sets")
+    docs = first.where("n > 0").select("__row", "key", "print", "set_a", "set_b", "n")
     same = ["set_a", "set_b", "n"]
-    copies = written(docs.groupBy(*same).agg(F.min("__row").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min("key").alias("copy_id")), "copies")
+    copies = written(docs.groupBy(*same).agg(F.min("__row").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min("key").alias("copy_id"), F.min_by("print", "__row").alias("print")), "copies")
     reps = written(first.where("n > 0").select(F.col("__row").alias("rep"), "tops", "paths").join(copies.select("rep"), "rep", "left_semi"), "paths")
 
-    runs = min(RUNS, runs_for(recall))
-    top = reps.select("rep", F.posexplode(F.slice("tops", 1, runs)).alias("i", "value")).select(F.xxhash64("i", "value").alias("path"), "rep")
+    top = reps.select("rep", F.posexplode("tops").alias("i", "value")).select(F.xxhash64("i", "value").alias("path"), "rep")
     # a set that is alone in a bucket has nothing to do with it: counted on slim rows, before the coordinates come along
     shared = written(top.groupBy("path").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "shared")
-    met = join_counted(top, shared, "path", "n").where("n is not null").select("path", "rep")
-    level = written(met.join(reps.select("rep", "paths"), "rep"), "level")
-    weight = copies.select("rep", "copies")
+    met = join_counted(top, shared, "path", "n").where("n is not null").select("path", "rep", F.col("n").alias("k"))
+    level = met.join(reps.select("rep", "paths"), "rep")
+    weight = copies.select("rep", "copies", "print")
     groups = components(candidate_edges(level, least, runs, recall))
     members = written(groups.join(weight, "rep"), "members")
-    found = written(group_links(members, first, least), "links")
+    found = written(group_links(members, rows.select("text"), least), "links")
     across = found.groupBy("rep").agg(F.sum("links").alias("across"))
     root = components(found.select(F.col("rep").alias("a"), F.col("lead").alias("b")))
     told = copies.join(root, "rep", "left").join(across, "rep", "left")
@@ -292,7 +298,7 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     told = written(told.select(*same, "rep", "root", "copy_id", "n_links"), "told")
     least_id = written(told.groupBy("root").agg(F.min("copy_id").alias("class_id"), F.count(F.lit(1)).alias("members")), "classes")
     told = join_counted(told, least_id, "root", "members").select(*same, "copy_id", "n_links", "class_id", (F.col("rep") == F.col("root")).alias("is_root"), "rep")
-    out = first.drop("grams", "paths", "tops").join(told, same, "left")
+    out = first.drop("print", "paths", "tops").join(told, same, "left")
     alone = F.col("rep").isNull()
     return out.select(
         *others,

@@ -31,25 +31,26 @@ BACK_OFF = math.log(0.4)
 
 @dataclass
 class Model:
-    """Log frequencies: words and pieces (of each length) to a tuple with a number for each language."""
+    """Log frequencies: words and pieces (of each length) to a row of the matrix, which has a column for each language."""
 
     languages: list[str]
-    words: dict[str, tuple[float, ...]]
-    grams: list[dict[str, tuple[float, ...]]]
+    words: dict[str, int]
+    grams: list[dict[str, int]]
+    rows: np.ndarray
     memo: Memo | None = field(default=None, repr=False)
 
     def __getstate__(self):
-        return {"languages": self.languages, "words": self.words, "grams": self.grams, "memo": None}
+        return {"languages": self.languages, "words": self.words, "grams": self.grams, "rows": self.rows, "memo": None}
 
     def score_word(self, word: str) -> tuple[float, ...]:
         if word in self.words:
-            return self.words[word]
+            return tuple(self.rows[self.words[word]].tolist())
         marked = f"^{word}$"
         for n in range(LONGEST, 0, -1):
             table = self.grams[n]
             got = [table[g] for g in (marked[i : i + n] for i in range(len(marked) - n + 1)) if g in table]
             if got:
-                return tuple((LONGEST + 1 - n) * BACK_OFF + sum(x) / len(got) for x in zip(*got))
+                return tuple((self.rows[got].mean(axis=0) + (LONGEST + 1 - n) * BACK_OFF).tolist())
         return (0.0,) * len(self.languages)
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
@@ -83,7 +84,7 @@ def fit(df: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_i
     rows = df.where(F.col(lang).isNotNull() & F.col(text).isNotNull()).select(F.col(lang).alias("lang"), F.col(text).alias("text"), F.col(key).alias("key"))
     sizes = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
     if not sizes:
-        return Model([], {}, [{} for _ in range(LONGEST + 1)])
+        return Model([], {}, [{} for _ in range(LONGEST + 1)], np.zeros((0, 0)))
     languages = sorted(sizes)
     rate = F.create_map(*(F.lit(x) for k in languages for x in (k, min(1.0, per_language / sizes[k]))))
     draw = F.pmod(F.xxhash64(F.col("key").cast("string")), F.lit(1 << 20)) / F.lit(float(1 << 20))
@@ -105,13 +106,15 @@ def fit(df: DataFrame, text: str = "text", lang: str = "lang", key: str = "doc_i
 
 def tables(languages: list[str], counts: dict[str, dict[str, int]]) -> Model:
     """Log frequencies from counts; a part that one language lacks counts there as half of one occurrence."""
-    out: dict[str, dict[str, tuple[float, ...]]] = {}
+    out: dict[str, dict[str, int]] = {}
+    rows: list[tuple[float, ...]] = []
     for kind in ["w", *map(str, range(1, LONGEST + 1))]:
         own = [{k[1:]: n for k, n in counts.get(l, {}).items() if k[0] == kind} for l in languages]
         totals = [math.log(sum(c.values()) + 1) for c in own]
-        keys = set().union(*own)
-        out[kind] = {k: tuple(math.log(c.get(k, 0.5)) - t for c, t in zip(own, totals)) for k in keys}
-    return Model(languages, out["w"], [{}, *(out[str(n)] for n in range(1, LONGEST + 1))])
+        keys = sorted(set().union(*own))
+        out[kind] = {k: len(rows) + i for i, k in enumerate(keys)}
+        rows += [tuple(math.log(c.get(k, 0.5)) - t for c, t in zip(own, totals)) for k in keys]
+    return Model(languages, out["w"], [{}, *(out[str(n)] for n in range(1, LONGEST + 1))], np.array(rows))
 
 
 def predict(df: DataFrame, model: Model, text: str = "text", out: str = "language") -> DataFrame:

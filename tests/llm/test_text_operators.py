@@ -257,7 +257,7 @@ def test_language_word_first_then_pieces(spark):
     got = model.predict(["THE dog", "hunde katzen", "chiennes avec", None, "", "123 !!", "ö" * 100_000, "\u4e2d\u6587"])
     assert [g[0] for g in got[:6]] == ["en", "de", "fr", "und", "und", "und"]
     assert got[6][0] == "de" and all(0 <= s <= 1 for _, s in got)
-    assert model.score_word("the") == model.words["the"]
+    assert model.score_word("the") == tuple(model.rows[model.words["the"]])
     assert model.score_word("zzz") != (0.0, 0.0, 0.0) or "z" not in model.grams[1]
     empty = langid.fit(spark.createDataFrame([], SCHEMA))
     assert empty.predict(["the dog"]) == [("und", 0.0)]
