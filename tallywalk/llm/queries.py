@@ -47,7 +47,7 @@ def op4_bpe_round_trip(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontaminate.search(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
-    return found.select("doc_id", (F.size("found") > 0).alias("contaminated"), F.transform("found", lambda x: x["item_id"]).alias("item_ids"), F.coalesce(F.array_max(F.transform("found", lambda x: x["similarity"])), F.lit(0.0)).alias("similarity"))
+    return found.select("doc_id", (F.size("found") > 0).alias("contaminated"), F.array_join(F.transform("found", lambda x: x["item_id"].cast("string")), ",").alias("item_ids"), F.coalesce(F.array_max(F.transform("found", lambda x: x["similarity"])), F.lit(0.0)).alias("similarity"))
 
 
 def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -94,6 +94,22 @@ SELECT d.doc_id, (SELECT min(b) FROM reach WHERE reach.a = d.doc_id) AS class_id
     (SELECT count(*) FROM links WHERE links.a = d.doc_id) AS n_links FROM documents d
 """
 
+OP5_SQL = r"""
+WITH items AS (SELECT item_id, ws, len(ws) AS l FROM (SELECT item_id, regexp_extract_all(lower(text), '[\pL\pN_]+') AS ws FROM benchmark) WHERE len(ws) > 0),
+ig AS MATERIALIZED (SELECT item_id, array_to_string(ws[i : i + 4], ' ') AS g, count(*) AS k FROM (SELECT item_id, ws, unnest(range(1, greatest(2, l - 3))) AS i FROM items) GROUP BY ALL),
+w AS MATERIALIZED (SELECT g, 1 + ln((SELECT CAST(count(*) AS DOUBLE) FROM items) / count(DISTINCT item_id)) AS wt FROM ig GROUP BY g),
+d AS MATERIALIZED (SELECT doc_id, ws, len(ws) AS n FROM (SELECT doc_id, regexp_extract_all(lower(coalesce(text, '')), '[\pL\pN_]+') AS ws FROM documents) WHERE len(ws) > 0),
+dg AS MATERIALIZED (SELECT doc_id, i, array_to_string(ws[i : i + 4], ' ') AS g FROM (SELECT doc_id, ws, unnest(range(1, greatest(2, n - 3))) AS i FROM d)),
+near AS (SELECT DISTINCT doc_id, item_id FROM dg JOIN ig USING (g)),
+wins AS (SELECT doc_id, item_id, greatest(1, least(l, n) - 4) AS span, unnest(range(1, greatest(2, n - l + 2))) AS s FROM near JOIN d USING (doc_id) JOIN items USING (item_id)),
+wg AS MATERIALIZED (SELECT wins.doc_id, item_id, s, g, count(*) AS k FROM wins JOIN dg ON dg.doc_id = wins.doc_id AND dg.i >= s AND dg.i < s + span GROUP BY ALL),
+b AS (SELECT doc_id, item_id, s, sum(wt * least(ig.k, wg.k)) AS b FROM wg JOIN ig USING (item_id, g) JOIN w USING (g) GROUP BY ALL),
+t AS (SELECT doc_id, item_id, s, sum(k * coalesce(wt, 1 + ln((SELECT CAST(count(*) AS DOUBLE) FROM items)))) AS t FROM wg LEFT JOIN w USING (g) GROUP BY ALL),
+it AS (SELECT item_id, sum(k * wt) AS own FROM ig JOIN w USING (g) GROUP BY item_id),
+hits AS (SELECT doc_id, item_id, max(b / (t + own - b)) AS similarity FROM b JOIN t USING (doc_id, item_id, s) JOIN it USING (item_id) GROUP BY ALL HAVING max(b / (t + own - b)) >= 0.8 - 1e-12)
+SELECT doc_id, count(item_id) > 0 AS contaminated, coalesce(string_agg(CAST(item_id AS VARCHAR), ',' ORDER BY item_id), '') AS item_ids, coalesce(round(max(similarity), 6), 0.0) AS similarity FROM documents LEFT JOIN hits USING (doc_id) GROUP BY doc_id
+"""
+
 OP7_SQL = r"""
 WITH r AS (SELECT DISTINCT conv_id, CAST(coalesce(floor(turn / 256), -1) AS BIGINT) AS chunk, turn, coalesce(role, 'unknown') AS who, regexp_replace(coalesce(text, ''), '<\|(im_start|im_end)\|>', '<| \1|>', 'g') AS said FROM conversations),
 p AS (SELECT DISTINCT conv_id, who AS participant FROM r WHERE who <> 'system'),
@@ -122,4 +138,4 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, (fai
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op2_jaccard_join": OP2_SQL, "op7_perspectives": OP7_SQL, "op10_quality_ledger": op10_sql()}
+    return {"op2_jaccard_join": OP2_SQL, "op5_decontaminate": OP5_SQL, "op7_perspectives": OP7_SQL, "op10_quality_ledger": op10_sql()}
