@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallywalk.llm import bpe, decontaminate, jaccard, langid, secrets
-from tallywalk.llm._frame import with_row_key, written
+from tallywalk.llm._frame import may_hold, with_row_key, written
 from tallywalk.llm.queries import vocabulary
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -25,8 +25,10 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The first document of each class of near copies stays."""
     kept = written(with_row_key(docs, "__id"), "rows")
-    first = jaccard.labelled(kept.select(F.col("__id").alias("key"), "text")).where("first").select(F.col("key").alias("__id"))
-    return kept.join(first, "__id", "left_semi").select(*COLUMNS)
+    others = written(jaccard.labelled(kept.select(F.col("__id").alias("key"), "text")).where(~F.col("first")).select(F.col("key").alias("__id")), "others")
+    told = kept.withColumn("__maybe", may_hold(others, "__id")(F.col("__id")))
+    some = told.where("__maybe").join(others, "__id", "left_anti")
+    return told.where(~F.col("__maybe")).select(*COLUMNS).unionByName(some.select(*COLUMNS))
 
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -38,10 +40,12 @@ def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Live secrets are replaced by a mark; examples that many owners copied stay."""
     kept = written(with_row_key(docs, "__id"), "rows")
-    spans = secrets.scan(kept, ["__id"]).where(F.exists("spans", lambda s: s["verdict"] == "live")).select("__id", "spans")
-    cleaned = secrets.redact(kept.join(spans, "__id"), "text", "spans").withColumn("n_chars", F.length("text").cast("bigint"))
-    rest = kept.join(spans.select("__id"), "__id", "left_anti")
-    return rest.select(*COLUMNS).unionByName(cleaned.select(*COLUMNS))
+    spans = written(secrets.scan(kept, ["__id"]).where(F.exists("spans", lambda s: s["verdict"] == "live")).select("__id", "spans"), "spans")
+    told = kept.withColumn("__maybe", may_hold(spans, "__id")(F.col("__id")))
+    some = told.where("__maybe").join(spans, "__id", "left")
+    changed = F.col("spans").isNotNull()
+    cleaned = secrets.redact(some.withColumn("changed", changed), "text", "spans").withColumn("n_chars", F.when(F.col("changed"), F.length("text").cast("bigint")).otherwise(F.col("n_chars")))
+    return told.where(~F.col("__maybe")).select(*COLUMNS).unionByName(cleaned.select(*COLUMNS))
 
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

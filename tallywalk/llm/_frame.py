@@ -9,8 +9,9 @@ import tempfile
 import uuid
 from collections.abc import Callable, Iterable
 
+import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -108,6 +109,24 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def may_hold(keys: DataFrame, key: str) -> Callable[[Column], Column]:
+    """A test that is true for all of the keys (longs, a written table), and false for most others: a bit filter of bounded size. It keeps the wide rows of other keys out
+    of a shuffle; the join that follows is exact."""
+    bits = 1 << max(16, min(26, (16 * keys.count()).bit_length()))
+    both = F.explode(F.array(F.xxhash64(key), F.xxhash64(key, F.lit(1)))).alias("h")
+    words = keys.select(both).select(F.pmod("h", F.lit(bits)).alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("b")).collect()
+    table = np.zeros(bits // 64, np.int64)
+    for w, b in words:
+        table[w] = b
+    sent = keys.sparkSession.sparkContext.broadcast(table.view(np.uint64))
+
+    def run(p, q):
+        hit = lambda z: sent.value[z >> 6] >> (z & 63).astype(np.uint64) & np.uint64(1)
+        return {"v": (hit(np.array(p, np.int64)) & hit(np.array(q, np.int64))).astype(bool).tolist()}
+
+    return lambda c: struct_udf(run, "v boolean")(F.pmod(F.xxhash64(c), F.lit(bits)), F.pmod(F.xxhash64(c, F.lit(1)), F.lit(bits)))["v"]
+
+
 class Memo:
     """Values by key for keys that repeat, in the dict `now`. Two generations of about `size` are held; the older goes when the younger is full."""
 

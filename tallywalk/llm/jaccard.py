@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import in_parts, join_counted, struct_udf, with_row_key, written
+from tallywalk.llm._frame import in_parts, join_counted, may_hold, struct_udf, with_row_key, written
 from tallywalk.llm._words import LEAST, shingles, word_hashes, words_of
 
 COORDINATES = 64
@@ -95,22 +95,9 @@ def _grams(texts: list[str | None]) -> dict:
 
 
 def sets_of(texts: DataFrame, members: DataFrame) -> DataFrame:
-    """(rep, grams) of the given sets alone, by a second look at the texts; members: rep, print. A bit filter of bounded size keeps most other texts out of the shuffle; the join that follows is exact."""
-    bits = 1 << max(16, min(26, (16 * members.count()).bit_length()))
-    both = F.explode(F.array(F.xxhash64("print"), F.xxhash64("print", F.lit(1)))).alias("h")
-    words = members.select(both).select(F.pmod("h", F.lit(bits)).alias("p")).groupBy(F.shiftright("p", 6).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("b")).collect()
-    table = np.zeros(bits // 64, np.int64)
-    for w, b in words:
-        table[w] = b
-    sent = texts.sparkSession.sparkContext.broadcast(table.view(np.uint64))
-
-    def run(p, q):
-        x, y = np.array(p, np.int64), np.array(q, np.int64)
-        hit = lambda z: sent.value[z >> 6] >> (z & 63).astype(np.uint64) & np.uint64(1)
-        return {"v": (hit(x) & hit(y)).astype(bool).tolist()}
-
-    at = lambda *x: F.pmod(F.xxhash64("print", *x), F.lit(bits))
-    some = texts.select(F.xxhash64("text").alias("print"), "text").where(struct_udf(run, "v boolean")(at(), at(F.lit(1)))["v"])
+    """(rep, grams) of the given sets alone, by a second look at the texts; members: rep, print. A bit filter keeps most other texts out of the shuffle."""
+    test = may_hold(members, "print")
+    some = texts.select(F.xxhash64("text").alias("print"), "text").where(test(F.col("print")))
     one = some.groupBy("print").agg(F.first("text").alias("text")).join(members.select("rep", "print"), "print")
     return one.select("rep", struct_udf(_grams, "v binary")("text")["v"].alias("grams"))
 

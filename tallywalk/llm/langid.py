@@ -55,9 +55,9 @@ class Model:
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
         if self.memo is None:
-            self.memo = Memo(1 << 16)
+            self.memo = Memo(1 << 15)
         out = []
-        for some in in_parts(texts, 1 << 21):
+        for some in in_parts(texts, 1 << 20):
             lists = [WORD.findall((t or "").lower()) for t in some]
             new = self.memo.make_room(set().union(*lists))
             self.memo.now.update(zip(new, map(self.score_word, new)))
