@@ -22,11 +22,12 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import Memo, in_parts, struct_udf
+from tallywalk.llm._frame import in_parts, struct_udf
 
 LONGEST = 4
 WORD = re.compile(r"[^\W\d_]+")
 BACK_OFF = math.log(0.4)
+REMEMBERED = 1 << 17  # words whose scores a worker keeps
 
 
 @dataclass
@@ -37,35 +38,59 @@ class Model:
     words: dict[str, int]
     grams: list[dict[str, int]]
     rows: np.ndarray
-    memo: Memo | None = field(default=None, repr=False)
+    index: dict[str, int] = field(default_factory=dict, repr=False)
+    bank: np.ndarray | None = field(default=None, repr=False)
 
     def __getstate__(self):
-        return {"languages": self.languages, "words": self.words, "grams": self.grams, "rows": self.rows, "memo": None}
+        return {"languages": self.languages, "words": self.words, "grams": self.grams, "rows": self.rows, "index": {}, "bank": None}
+
+    def score_words(self, words: list[str]) -> np.ndarray:
+        """A row for each word: its log frequencies, or the mean of its longest known pieces' with a penalty for each step of back-off, or zeros."""
+        flat, counts, steps = [], [], []
+        for word in words:
+            row = self.words.get(word)
+            if row is not None:
+                flat.append(row)
+                counts.append(1)
+                steps.append(0)
+                continue
+            marked, got, n = f"^{word}$", [], LONGEST + 1
+            while not got and n > 1:
+                n -= 1
+                table = self.grams[n]
+                got = [r for r in map(table.get, [marked[i : i + n] for i in range(len(marked) - n + 1)]) if r is not None]
+            flat += got or [len(self.rows)]
+            counts.append(len(got) or 1)
+            steps.append(LONGEST + 1 - n if got else 0)
+        if not words:
+            return np.zeros((0, len(self.languages)))
+        per = np.array(counts)
+        table = np.vstack([self.rows, np.zeros((1, len(self.languages)))])
+        return np.add.reduceat(table[flat], np.cumsum(per) - per) / per[:, None] + np.array(steps)[:, None] * BACK_OFF
 
     def score_word(self, word: str) -> tuple[float, ...]:
-        if word in self.words:
-            return tuple(self.rows[self.words[word]].tolist())
-        marked = f"^{word}$"
-        for n in range(LONGEST, 0, -1):
-            table = self.grams[n]
-            got = [table[g] for g in (marked[i : i + n] for i in range(len(marked) - n + 1)) if g in table]
-            if got:
-                return tuple((self.rows[got].mean(axis=0) + (LONGEST + 1 - n) * BACK_OFF).tolist())
-        return (0.0,) * len(self.languages)
+        return tuple(self.score_words([word])[0].tolist())
 
     def predict(self, texts: list[str | None]) -> list[tuple[str, float]]:
-        if self.memo is None:
-            self.memo = Memo(1 << 15)
         out = []
         for some in in_parts(texts, 1 << 20):
             lists = [WORD.findall((t or "").lower()) for t in some]
-            new = self.memo.make_room(set().union(*lists))
-            self.memo.now.update(zip(new, map(self.score_word, new)))
+            if not self.languages:
+                out += [("und", 0.0)] * len(lists)
+                continue
+            every = set().union(*lists)
+            new = [w for w in every if w not in self.index]
+            if self.bank is None or len(self.index) + len(new) > len(self.bank):  # begin anew
+                self.index, new = {}, list(every)
+                self.bank = np.zeros((max(REMEMBERED, len(new)), len(self.languages)))
+            at = len(self.index)
+            self.bank[at : at + len(new)] = self.score_words(new)
+            self.index.update(zip(new, range(at, at + len(new))))
             for words in lists:
-                if not words or not self.languages:
+                if not words:
                     out.append(("und", 0.0))
                     continue
-                sums = np.array(list(map(self.memo.now.__getitem__, words))).mean(axis=0)
+                sums = self.bank[np.fromiter(map(self.index.__getitem__, words), np.int64, len(words))].mean(axis=0)
                 best = int(sums.argmax())
                 out.append((self.languages[best], float(1 / np.exp(sums - sums[best]).sum())))
         return out
