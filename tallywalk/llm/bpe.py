@@ -171,7 +171,7 @@ class WordBpe:
         split = next(p["pattern"]["Regex"] for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self.pieces = regex.compile(split)
         self.cut = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
-        self.words = Memo(1 << 17)
+        self.words = Memo(1 << 16)
 
     def split(self, text: str | None) -> list[str | int]:
         """The words of a text, and its special tokens as their ids."""
@@ -218,7 +218,7 @@ class WordBpe:
         for word, ids in itertools.chain(zip(plain, self.encode_words([w.encode() for w in plain])), ((w, (w,)) for w in new if isinstance(w, int))):
             self.words.now[word] = ids, " ".join(map(str, ids)), self.decode(ids)
 
-    def over(self, texts: list[str | None], part: int = 1 << 21):
+    def over(self, texts: list[str | None], part: int = 1 << 19):
         """The values of the words of each text, learned a few million characters at a time."""
         for some in in_parts(texts, part):
             lists = list(map(self.split, some))
