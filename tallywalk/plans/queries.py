@@ -296,7 +296,12 @@ def small_cells(spark: SparkSession, d: str, p: DataFrame | None = None, m: int
     return grids.cell_grid(WORKLOADS["supplier_parts"](spark, d) if p is None else p, DEPTH, WIDTH, m, hash="portable")
 
 
-REG_INTS = ["row", "col", "bucket", F.col("rank").cast("int").alias("rank")]
+def ints(*names: str) -> list:
+    """Columns as they are, and the last one as int."""
+    return [*names[:-1], F.col(names[-1]).cast("int").alias(names[-1])]
+
+
+REG_INTS = ("row", "col", "bucket", "rank")
 
 
 def reg_sql(sql: str, bucket: bool = True) -> str:
@@ -307,10 +312,10 @@ def label_sql(sql: str) -> str:
     return f"SELECT CAST(row AS INTEGER) AS row, CAST(col AS INTEGER) AS col, label_key, CAST(level AS INTEGER) AS level FROM ({sql})"
 
 
-LABEL_INTS = ["row", "col", "label_key", F.col("level").cast("int").alias("level")]
+LABEL_INTS = ("row", "col", "label_key", "level")
 
-query("cell_grid_registers", reg_sql(_cell))(lambda spark, d: small_cells(spark, d).registers.select(*REG_INTS))
-query("cell_grid_labels", label_sql(_cell_labels))(lambda spark, d: small_cells(spark, d).labels.select(*LABEL_INTS))
+query("cell_grid_registers", reg_sql(_cell))(lambda spark, d: small_cells(spark, d).registers.select(*ints(*REG_INTS)))
+query("cell_grid_labels", label_sql(_cell_labels))(lambda spark, d: small_cells(spark, d).labels.select(*ints(*LABEL_INTS)))
 _all_est = twins.cell_estimates(_cell, twins.LINES, DEPTH, WIDTH, CELL)
 query("cell_grid_estimates", f"SELECT label_key, round(estimate, 6) AS estimate FROM ({_all_est})")(lambda spark, d: grids.grid_estimate(small_cells(spark, d), WORKLOADS["supplier_parts"](spark, d)).select("label_key", *r6("estimate")))
 _top_est = twins.cell_estimates(_cell, _cell_labels, DEPTH, WIDTH, CELL)
@@ -324,8 +329,8 @@ def halves(spark: SparkSession, d: str) -> list[DataFrame]:
     return [pairs(lines.where(F.col("l_orderkey") % 2 == i), "l_suppkey", "l_partkey") for i in (0, 1)]
 
 
-query("cell_grid_merge", reg_sql(_cell))(lambda spark, d: grids.merge_grids(*(small_cells(spark, d, p) for p in halves(spark, d))).registers.select(*REG_INTS))
-query("cell_grid_merge_labels", label_sql(_cell_labels))(lambda spark, d: grids.merge_grids(*(small_cells(spark, d, p) for p in halves(spark, d))).labels.select(*LABEL_INTS))
+query("cell_grid_merge", reg_sql(_cell))(lambda spark, d: grids.merge_grids(*(small_cells(spark, d, p) for p in halves(spark, d))).registers.select(*ints(*REG_INTS)))
+query("cell_grid_merge_labels", label_sql(_cell_labels))(lambda spark, d: grids.merge_grids(*(small_cells(spark, d, p) for p in halves(spark, d))).labels.select(*ints(*LABEL_INTS)))
 _cell438 = twins.cell_registers(twins.LINES, DEPTH, WIDTH, 438)
 query("cell_grid_m438", f"SELECT label_key, round(estimate, 6) AS estimate FROM ({twins.cell_estimates(_cell438, twins.LINES, DEPTH, WIDTH, 438)})")(
     lambda spark, d: grids.grid_estimate(small_cells(spark, d, m=438), WORKLOADS["supplier_parts"](spark, d)).select("label_key", *r6("estimate"))
@@ -339,9 +344,9 @@ def small_shared(spark: SparkSession, d: str, p: DataFrame | None = None, labels
     return grids.shared_grid(WORKLOADS["supplier_parts"](spark, d) if p is None else p, SDEPTH, SWIDTH, labels, hash="portable")
 
 
-SHARED_INTS = ["row", "col", F.col("rank").cast("int").alias("rank")]
-query("shared_grid_registers", reg_sql(_shared, bucket=False))(lambda spark, d: small_shared(spark, d, labels=False).registers.select(*SHARED_INTS))
-query("shared_grid_labels", label_sql(twins.shared_labels(twins.LINES, SDEPTH, SWIDTH)))(lambda spark, d: small_shared(spark, d).labels.select(*LABEL_INTS))
+SHARED_INTS = ("row", "col", "rank")
+query("shared_grid_registers", reg_sql(_shared, bucket=False))(lambda spark, d: small_shared(spark, d, labels=False).registers.select(*ints(*SHARED_INTS)))
+query("shared_grid_labels", label_sql(twins.shared_labels(twins.LINES, SDEPTH, SWIDTH)))(lambda spark, d: small_shared(spark, d).labels.select(*ints(*LABEL_INTS)))
 query("shared_grid_row_distribution", f"SELECT CAST(row AS INTEGER) AS row, v, round(below, 6) AS below, round(upto, 6) AS upto FROM ({twins.distribution(_shared, SWIDTH)})")(
     lambda spark, d: grids.row_distribution(small_shared(spark, d)).select("row", "v", *r6("below", "upto"))
 )
@@ -353,7 +358,7 @@ _shared_top = twins.shared_estimates(_shared, twins.shared_labels(twins.LINES, S
 query("shared_grid_top_k", f"SELECT label_key, round(estimate, 6) AS estimate FROM ({_shared_top}) ORDER BY estimate DESC, label_key LIMIT 20")(
     lambda spark, d: grids.shared_top_k(small_shared(spark, d), 20, "ladder", step=STEP, largest=LARGEST).select("label_key", *r6("estimate"))
 )
-query("shared_grid_merge", reg_sql(_shared, bucket=False))(lambda spark, d: grids.merge_grids(*(small_shared(spark, d, p) for p in halves(spark, d))).registers.select(*SHARED_INTS))
+query("shared_grid_merge", reg_sql(_shared, bucket=False))(lambda spark, d: grids.merge_grids(*(small_shared(spark, d, p) for p in halves(spark, d))).registers.select(*ints(*SHARED_INTS)))
 query("shared_grid_newton_top_k")(lambda spark, d: grids.shared_top_k(small_shared(spark, d), 20, "newton", largest=LARGEST))
 
 # ---- other baselines
