@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import contextlib
 import ctypes
+import functools
 import tempfile
 import uuid
 from collections.abc import Callable, Iterable
@@ -109,6 +110,26 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+_alone: list = []
+
+
+def alone(make: Callable) -> Callable:
+    """make, remembering its last value; a worker that has gone over to another such function forgets this one's, so that stages of a pipeline don't add up."""
+    kept = functools.lru_cache(maxsize=1)(make)
+    _alone.append(kept)
+
+    @functools.wraps(make)
+    def get(*args):
+        if any(k is not kept and k.cache_info().currsize for k in _alone):
+            for k in _alone:
+                if k is not kept:
+                    k.cache_clear()
+            give_back()
+        return kept(*args)
+
+    return get
+
+
 def may_hold(keys: DataFrame, key: str) -> Callable[[Column], Column]:
     """A test that is true for all of the keys (longs, a written table), and false for most others: a bit filter of bounded size. It keeps the wide rows of other keys out
     of a shuffle; the join that follows is exact."""

@@ -3,12 +3,11 @@
 from __future__ import annotations
 
 import re
-from functools import lru_cache
 
 import numpy as np
 import xxhash
 
-from tallywalk.llm._frame import Memo
+from tallywalk.llm._frame import Memo, alone
 
 WIDTH = 5  # words of a shingle
 LEAST = 0.8  # similarity of near copies
@@ -29,7 +28,7 @@ class WordHashes:
         return [np.fromiter(map(self.memo.now.__getitem__, words), np.uint64, len(words)) for words in lists]
 
 
-@lru_cache(maxsize=1)
+@alone
 def word_hashes() -> WordHashes:
     """One table for each Python worker."""
     return WordHashes()

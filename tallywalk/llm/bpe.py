@@ -27,7 +27,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import Memo, in_parts, struct_udf
+from tallywalk.llm._frame import Memo, alone, in_parts, struct_udf
 
 NO_PAIR = 1 << 62
 
@@ -272,7 +272,7 @@ def library(path: str):
     return Tokenizer.from_file(path)
 
 
-@lru_cache(maxsize=4)
+@alone
 def codec(path: str) -> WordBpe:
     return WordBpe(path)
 

@@ -22,7 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import in_parts, struct_udf
+from tallywalk.llm._frame import alone, in_parts, struct_udf
 
 LONGEST = 4
 WORD = re.compile(r"[^\W\d_]+")
@@ -142,11 +142,18 @@ def tables(languages: list[str], counts: dict[str, dict[str, int]]) -> Model:
     return Model(languages, out["w"], [{}, *(out[str(n)] for n in range(1, LONGEST + 1))], np.array(rows))
 
 
+@alone
+def at_work() -> bool:
+    """Nothing of its own: the model comes with the task. What other operators remember goes."""
+    return True
+
+
 def predict(df: DataFrame, model: Model, text: str = "text", out: str = "language") -> DataFrame:
     """df with a struct (lang_pred, score)."""
     sent = df.sparkSession.sparkContext.broadcast(model)
 
     def run(texts):
+        at_work()
         names, scores = zip(*sent.value.predict(texts)) if texts else ((), ())
         return {"lang_pred": names, "score": scores}
 

@@ -33,7 +33,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import Memo, in_parts, small_batches
+from tallywalk.llm._frame import Memo, alone, in_parts, small_batches
 from tallywalk.llm.bpe import is_latin
 
 MASK_DELTA = 0xA282EAD8  # of the TFRecord framing
@@ -213,7 +213,7 @@ class LibraryEncoder:
                 yield next(fast) if p else np.array(self.own.encode(text, add_special_tokens=False).ids if text else [], self.kind).tobytes()
 
 
-@lru_cache(maxsize=2)
+@alone
 def encoder(path: str) -> LibraryEncoder:
     return LibraryEncoder(path)
 

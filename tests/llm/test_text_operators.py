@@ -71,7 +71,7 @@ def test_join_of_null_ids_repeated_rows_and_nothing(spark):
 
 
 def test_runs_reach_the_recall():
-    assert jaccard.runs_for(0.9999) <= jaccard.RUNS
+    assert jaccard.runs_for(0.9999) <= jaccard.COORDINATES
     assert (1 - jaccard.survival(jaccard.LEVELS)) ** jaccard.runs_for(0.9999) <= 1e-4 * 1.0001
 
 
