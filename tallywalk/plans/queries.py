@@ -215,6 +215,54 @@ def merge_offset(spark: SparkSession, d: str) -> DataFrame:
 _two_off = ", ".join(twins.walk(n, twins.prefix(lo, hi), "offset", S) for n, lo, hi in (("a", 0, 200), ("b", 200, 400)))
 ORACLES["merge_offset"] = f"WITH RECURSIVE {_two_off} {SLOTS} FROM ({twins.union_of(['a', 'b'], S)})"
 
+# ---- the same walks and merges over the whole of lineitem; tests/test_whole_walks.py holds their twins, recursive SQL on a short table
+
+
+def whole(spark: SparkSession, d: str, parts: int = 1) -> DataFrame:
+    """All lines in the stream's order; source: which of so many equal ranges of order keys a line is in (lines without a key are in the first)."""
+    rows = table(spark, d, "lineitem")
+    low, high = rows.agg(F.min("l_orderkey"), F.max("l_orderkey")).first() if parts > 1 else (None, None)
+    part = F.lit(0) if low is None else F.coalesce(F.floor((F.col("l_orderkey") - low) * parts / (high - low + 1)), F.lit(0))
+    return pairs(rows, "l_suppkey", "l_partkey", order_by=LINE_ORDER, source=part)
+
+
+def whole_walked(p: DataFrame, kind: str, streams: str | int = 1) -> Sketches:
+    return build_sketch(p, kind=kind, s=S, counter="exact", streams=streams, hash="portable")
+
+
+def whole_pair(spark: SparkSession, d: str, kind: str) -> DataFrame:
+    p = whole(spark, d, 2)
+    return merge_pair(*(whole_walked(p.where(F.col("source") == i), kind) for i in ("0", "1"))).counters
+
+
+for _kind in WALKS:
+    query(f"whole_walk_{_kind}")(lambda spark, d, kind=_kind: whole_walked(whole(spark, d), kind).counters.select("slot", "label_key", "offset", "estimate"))
+    query(f"whole_walk_{_kind}_point_query")(lambda spark, d, kind=_kind: estimate(whole_walked(whole(spark, d), kind), whole(spark, d).select("label_key").distinct()))
+
+
+@query("whole_walk_gated_top_3")
+def whole_walk_gated_top_3(spark: SparkSession, d: str) -> DataFrame:
+    return top_k(whole_walked(whole(spark, d), "gated"), 3)
+
+
+@query("whole_walk_gated_over_threshold")
+def whole_walk_gated_over_threshold(spark: SparkSession, d: str) -> DataFrame:
+    return over(whole_walked(whole(spark, d), "gated"), threshold=30).select("label_key", "estimate")
+
+
+@query("whole_walk_offset_over_fraction")
+def whole_walk_offset_over_fraction(spark: SparkSession, d: str) -> DataFrame:
+    """Every member, and whether it is over the fraction: on many suppliers none is."""
+    sk = whole_walked(whole(spark, d), "offset")
+    told = over(sk, fraction=0.125).select("label_key", F.lit(True).alias("reported"))
+    return sk.counters.select("label_key", "estimate").join(told, "label_key", "left").select("label_key", "estimate", F.coalesce("reported", F.lit(False)).alias("reported"))
+
+
+query("whole_merge_pair_gated")(lambda spark, d: whole_pair(spark, d, "gated").select("slot", "label_key", "estimate"))
+query("whole_merge_offset")(lambda spark, d: whole_pair(spark, d, "offset").select("slot", "label_key", "offset", "estimate"))
+query("whole_merge_flat")(lambda spark, d: merge_sketches(whole_walked(whole(spark, d, 4), "gated", "by_source")).counters.select("slot", "label_key", "estimate"))
+query("whole_merge_tree")(lambda spark, d: merge_sketches(whole_walked(whole(spark, d, 4), "gated", "by_source"), mode="tree", fan_in=2).counters.select("slot", "label_key", "estimate"))
+
 _event_regs = twins.registers(f"SELECT * EXCLUDE ts, strftime(date_trunc('day', ts), '%Y-%m-%d 00:00:00') AS pane FROM ({twins.PAIRS['event_users']})", 64, "pane, label_key")
 
 
@@ -598,8 +646,8 @@ def views_then_clicks(spark: SparkSession, d: str) -> DataFrame:
 def pre_gated_walk_equals_walk(spark: SparkSession, d: str) -> DataFrame:
     """Rows that the first walk's last threshold refuses anyway change nothing when the stream's members and floor are known beforehand: a second look finds no row of
     a member missing."""
-    p = prefix(spark, d)
-    sk = walked(spark, d, "gated")
+    p = whole(spark, d)
+    sk = whole_walked(p, "gated")
     kept = neighbours.pre_gate(p, sk)
     members = p.join(sk.counters.select("label_key"), "label_key", "left_semi")
     return members.exceptAll(kept).agg(F.count(F.lit(1)).alias("differences"))
