@@ -4,9 +4,10 @@ Every candidate string is hashed; over the whole corpus a hash has a number of d
 A hash that many owners have is a copied example; one that few owners have, and whose string is not of a placeholder's kind
 (one letter or run over and over), looks live. Only hashes leave the scan, never the strings.
 
-Base kinds (their spans always stay): assign, access, hex. The method adds: private (a private-key block's first line), jwt, forge
+Base kinds (their spans always stay): assign, access, hex. The method adds: private (a private-key block up to its END line; the digest is of the key's letters alone), jwt, forge
 (prefixed tokens of code hosts), and opaque (24 or more base64 letters of all three classes with at least 4 bits of entropy
-a letter), as far as they look live and do not overlap a base span.
+a letter), as far as they look live and do not overlap a base span; a private-key block is cut around the base spans in it, all pieces with the block's digest.
+A block without an END line within BLOCK_MOST code points ends with its lines of base64. A block of fewer than 32 letters has no key: its digest is its first line's.
 
 Defined results: a null or empty text has no span. Null repositories or owners count as one value. Repeated rows are rows of
 their own and one owner's. Other columns, whatever their names, pass unread; texts are scanned whole; an empty table gives an
@@ -32,11 +33,15 @@ BASE = {
     "hex": (re.compile(r"([0-9a-f]{24,})"), 24),
 }
 ADDED = {
-    "private": re.compile(r"(-----BEGIN (?:[A-Z]+ ){0,3}PRIVATE KEY-----)"),
+    "private": re.compile(r"-----(?:BEGIN|END) (?:[A-Z]+ ){0,3}PRIVATE KEY-----"),
     "jwt": re.compile(r"(eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,})"),
     "forge": re.compile(r"((?:gh[pousr]_|glpat-|xox[abpr]-)[A-Za-z0-9_-]{16,})"),
     "opaque": re.compile(r"(?<![A-Za-z0-9+/_=-])([A-Za-z0-9+/_-]{24,}={0,2})(?![A-Za-z0-9+/_=-])"),
 }
+BLOCK_MOST = 1 << 16
+ARMOR = re.compile(r"(?m)^[^\S\n]*[A-Za-z][A-Za-z-]*:[^\S\n].*$")  # a block's own headers
+NOT_KEY = re.compile(r"""\\[nrt]|["']\s*\+\s*["']|[^A-Za-z0-9+/=]""")
+LOOSE = re.compile(r"""(?:(?:\s|\\[nrt])*+[A-Za-z][A-Za-z-]*:[^\S\n][^\n]*+)*+(?:(?:\\[nrt]|[\s"',>#;|*]|\+(?=\s))*+[A-Za-z0-9+/=]{16,}+)*+(?:(?:\\[nrt]|[\s"',>#;|*])*+[A-Za-z0-9+/]{1,15}={1,2})?""")
 KINDS = [*BASE, *ADDED]
 MARKS = {"private": "PRIVATE KEY-----", "jwt": "eyJ"}
 FOUND = "array<struct<kind:int,start:int,finish:int,digest:string,weak:boolean>>"
@@ -61,11 +66,40 @@ def base_spans(text: str) -> list[tuple[int, int, int, str]]:
     return sorted(out, key=lambda x: x[:2])
 
 
+def key_blocks(text: str) -> list[tuple[int, int, str]]:
+    """Start, end and key of each private-key block."""
+    marks, out = list(ADDED["private"].finditer(text)), []
+    for m, after in zip(marks, [*marks[1:], None]):
+        if m[0].startswith("-----END"):
+            continue
+        if after and after[0].startswith("-----END") and after.start() - m.end() <= BLOCK_MOST:
+            stop, end = after.start(), after.end()
+        else:
+            stop = end = LOOSE.match(text, m.end()).end()
+        key = NOT_KEY.sub("", ARMOR.sub("", text[m.end() : stop]))
+        out.append((m.start(), end, key if len(key) >= 32 else m[0]))
+    return out
+
+
+def outside(a: int, b: int, base: list[tuple[int, int, int, str]]) -> list[tuple[int, int]]:
+    """What of a to b no base span covers."""
+    out = []
+    for x, _, y, _ in base:
+        if x < b and y > a:
+            if x > a:
+                out.append((a, x))
+            a = max(a, y)
+    return [*out, (a, b)] if a < b else out
+
+
 def added_spans(text: str, base: list[tuple[int, int, int, str]]) -> list[tuple[int, int, int, str]]:
     out = []
     for name, pattern in ADDED.items():
         if name in MARKS and MARKS[name] not in text:
             continue
+        if name == "private":
+            out += [(x, KINDS.index(name), y, key) for a, b, key in key_blocks(text) for x, y in outside(a, b, base)]
+            continue
         for m in pattern.finditer(text):
             s = m[1]
             if name == "opaque" and (s.isalpha() or not (re.search("[a-z]", s) and re.search("[A-Z]", s) and re.search("[0-9]", s)) or entropy(s) < 4):

@@ -205,6 +205,35 @@ def test_spans_ownership_and_redaction(spark):
     assert secrets.scan(docs(spark, []), ["doc_id"]).count() == 0
 
 
+def pem(i, line="\n", kind="RSA "):
+    import base64
+
+    lines = [base64.b64encode(hashlib.sha512(f"{i}.{k}".encode()).digest()[:48]).decode() for k in range(5)]
+    return line.join([f"-----BEGIN {kind}PRIVATE KEY-----", *lines, "AbC=", f"-----END {kind}PRIVATE KEY-----"])
+
+
+def test_private_keys_are_owned_one_by_one(spark):
+    cut = pem(9).rsplit("\n", 1)[0]
+    rows = [(i, f"my key\n{pem(i)}\nend", f"s{i}") for i in range(3)]  # three keys in three sources
+    rows += [(10 + i, f"> sample: {pem('x', ' ' if i else chr(92) + 'n')} .", f"s{i}") for i in range(3)]  # one key in three sources, its lines joined in other ways
+    rows += [(20, f"lost end\n{cut}\nplain words go on here", "s7"), (21, f"secret: {pem(21)} token=abcdef123", "s8"), (22, pem(22).replace("-----\n", "-----\nProc-Type: 4,ENCRYPTED\n\n", 1), "s9")]
+    df = docs(spark, rows)
+    got = {r["doc_id"]: r["spans"] for r in secrets.scan(df, ["doc_id"]).collect()}
+    for i, text, _ in rows[:3]:
+        assert [(s["name"], s["verdict"], s["n_owners"], text[s["start"] : s["finish"]]) for s in got[i]] == [("private", "live", 1, pem(i))]
+    assert len({got[i][0]["digest"] for i in range(3)}) == 3
+    assert not any(got[i] for i in (10, 11, 12))
+    assert [rows[6][1][s["start"] : s["finish"]] for s in got[20]] == [cut]
+    assert [s["name"] for s in got[21]] == ["assign", "private", "assign"]
+    clean = {r["doc_id"]: r["text"] for r in secrets.redact(df.join(secrets.scan(df, ["doc_id"]).select("doc_id", "spans"), "doc_id"), "text", "spans").collect()}
+    assert clean[0] == "my key\n<secret>\nend" and clean[10] == rows[3][1] and clean[20] == "lost end\n<secret>\nplain words go on here"
+    assert clean[21] == "<secret><secret> <secret>" and clean[22] == "<secret>"
+    # a first line without a key, and many of them, are found as before and in linear time
+    bare = "-----BEGIN PRIVATE KEY-----"
+    assert secrets.added_spans(f"see {bare} here", []) == [(4, 3, 4 + len(bare), bare)]
+    assert len(secrets.added_spans(bare * 20000, [])) == 20000
+
+
 def test_documents_base_spans(spark, sf):
     for r in spark.read.parquet(f"{sf}/documents.parquet").join(queries.op1_secret_scan(spark, sf), "doc_id").collect():
         base = base_by_reading(r["text"])
