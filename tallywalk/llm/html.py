@@ -2,7 +2,8 @@
 
 A tree builder with implied tags (a paragraph ends where a block begins, a list item where the next begins, table parts open their missing
 parents) feeds a renderer that leaves out what a browser does not show, keeps paragraphs apart by an empty line and other blocks by a line end, marks and
-indents list items, keeps preformatted text, and pads the cells of a table's columns to one width.
+indents list items, keeps preformatted text and that of text areas, shows of a drop-down its chosen option and of a list box all, of a drawing its texts (one a line),
+of a formula its tokens (parts of fractions and scripts apart), of an object what stands in for it, and pads the cells of a table's columns to one width.
 
 Defined results: a null or empty page is an empty text. Bad or unclosed tags never raise; what is open at the end is closed there. Nesting of any depth is walked
 without recursion. Repeated rows get equal texts. Other columns are not read.
@@ -20,10 +21,13 @@ from tallywalk.llm._frame import struct_udf
 
 # fixed values: the sets of element names that HTML gives these roles
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-UNSEEN = frozenset("head script style template noscript iframe object svg math title datalist audio video canvas select textarea meta link".split())
+UNSEEN = frozenset("head script style template noscript iframe title datalist audio video canvas meta link".split())
 RAW = frozenset("script style textarea title iframe noscript xmp noembed noframes".split())
+DRAWN = frozenset("text foreignobject".split())  # elements of a drawing whose text is shown
+ASIDE = {"svg": frozenset("desc metadata clippath mask pattern marker".split()), "math": frozenset("annotation annotation-xml mphantom".split())}
+APART = frozenset("mfrac msup msub msubsup munder mover munderover mmultiscripts mroot mtr mlabeledtr".split())  # elements of a formula whose children are not one word
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure fieldset hr".split())
-BLOCK = SPACED | frozenset("html body div section article aside nav header footer main address form details summary li dt dd tr caption figcaption center legend option thead tbody tfoot".split())
+BLOCK = SPACED | frozenset("html body div section article aside nav header footer main address form details summary li dt dd tr caption figcaption center legend option textarea mtr mlabeledtr thead tbody tfoot".split())
 ENDS_P = SPACED | frozenset("div section article aside nav header footer main address form details li dt dd center".split())
 TABLE_PARTS = frozenset("caption colgroup thead tbody tfoot tr td th".split())
 
@@ -52,6 +56,43 @@ class Node:
         return not ("hidden" in v or HIDING.search(v.get("style", "").lower()) or self.tag == "input" and v.get("type", "").lower() == "hidden")
 
 
+def words_in(node: Node) -> str:
+    out, todo = [], [node]
+    while todo:
+        x = todo.pop()
+        if isinstance(x, str):
+            out.append(x)
+        elif x.seen():
+            todo += reversed(x.children)
+    return " ".join("".join(out).split())
+
+
+def shown_options(select: Node) -> list[str] | str:
+    """The lines of a list box, or the chosen option of a drop-down: the last one marked as selected, else the first that can be chosen."""
+    v = select.values()
+    box = "multiple" in v or (size := v.get("size", "").strip().lstrip("0")).isdecimal() and size != "1"
+    options, lines = [], []
+    todo = [(c, False) for c in reversed(select.children)]
+    while todo:
+        x, off = todo.pop()
+        if isinstance(x, str) or not x.seen():
+            continue
+        own = x.values()
+        off = off or "disabled" in own
+        if x.tag == "option":
+            said = own.get("label") or words_in(x)
+            lines.append(said)
+            options.append((said, "selected" in own, off))
+        else:
+            if x.tag == "optgroup":
+                lines.append(own.get("label", ""))
+            todo += [(c, off) for c in reversed(x.children)]
+    if box:
+        return lines
+    chosen = [t for t, marked, _ in options if marked][-1:] or [t for t, _, off in options if not off][:1]
+    return chosen[0] if chosen else ""
+
+
 def build(page: str) -> Node:
     root = Node("html")
     stack = [root]
@@ -90,6 +131,11 @@ def build(page: str) -> Node:
         if m.start() > at:
             stack[-1].children.append(unescape(page[at : m.start()]))
         at = m.end()
+        if m[0].startswith("<![CDATA[") and any(x.tag in ASIDE for x in stack):
+            end = page.find("]]>", m.start())
+            stack[-1].children.append(page[m.start() + 9 : end if end >= 0 else n])
+            at = end + 3 if end >= 0 else n
+            continue
         if m[1]:
             tag = m[1].lower()
             if tag == "p" and not any(x.tag == "p" for x in stack[1:]):
@@ -138,7 +184,8 @@ def build(page: str) -> Node:
             stack.pop()
         elif tag in RAW:
             end = re.compile(rf"</{tag}[^>]*>", re.I).search(page, at)
-            node.children.append(page[at : end.start() if end else n])
+            inside = page[at : end.start() if end else n]
+            node.children.append(unescape(inside).removeprefix("\n") if tag == "textarea" else inside)
             at = end.end() if end else n
             stack.pop()
         elif tag == "plaintext":
@@ -215,11 +262,13 @@ def aligned(rows: list[list[str]]) -> list[str]:
 
 def render(root: Node) -> str:
     pages, tables, lists = [Page()], [], []
-    todo: list[tuple[bool, object, bool]] = [(False, root, False)]
+    todo: list[tuple[bool, object, bool, str]] = [(False, root, False, "")]  # the last: in a drawing, one of its texts, or a formula
     while todo:
-        leaving, node, pre = todo.pop()
+        leaving, node, pre, where = todo.pop()
         out = pages[-1]
         if isinstance(node, str):
+            if where == "svg":
+                continue
             if not pre:
                 out.text(node)
             else:
@@ -231,11 +280,33 @@ def render(root: Node) -> str:
             continue
         tag = node.tag
         if not leaving:
-            if not node.seen():
+            if not node.seen() or tag in ASIDE.get("svg" if where == "drawn" else where, ()):
+                continue
+            if where in ("svg", "drawn") and ((v := node.values()).get("display") == "none" or v.get("visibility") in ("hidden", "collapse")):
                 continue
             if tag == "br":
                 out.end_line(always=True)
                 continue
+            if tag == "select":
+                lines = shown_options(node)
+                if isinstance(lines, str):
+                    out.text(f" {lines} ")
+                else:
+                    out.block(1)
+                    for x in lines:
+                        out.text(x)
+                        out.block(1)
+                continue
+            inside = where
+            if tag in ASIDE:
+                inside = tag
+            elif where == "svg" and tag in DRAWN:
+                inside = "drawn"
+                out.block(1)
+            elif where == "drawn" and tag == "tspan" and {"x", "y", "dy"} & node.values().keys():
+                out.block(1)
+            elif where == "math" and tag == "mspace":
+                out.text(" ")
             if tag == "table":
                 out.block(2)
                 tables.append([])
@@ -257,9 +328,10 @@ def render(root: Node) -> str:
                         out.mark = f"{lists[-1]}. "
                 elif tag == "hr":
                     out.raw(["-" * 8])
-            todo.append((True, node, pre))
-            inner = pre or tag == "pre"
-            todo += [(False, c, inner) for c in reversed(node.children)]
+            todo.append((True, node, pre, where))
+            inner = pre or tag in ("pre", "textarea")
+            children = [x for c in node.children for x in (c, " ")] if where == "math" and tag in APART else node.children
+            todo += [(False, c, inner, inside) for c in reversed(children)]
             continue
         if tag == "table" and tables:
             rows = [r for r in tables.pop() if any(r)]
@@ -274,6 +346,8 @@ def render(root: Node) -> str:
                 tables[-1][-1].append(text)
         elif tag == "tr" and tables:
             pass
+        elif where == "svg" and tag in DRAWN:
+            out.block(1)
         elif tag in BLOCK:
             out.block(2 if tag in SPACED and not (tag in ("ul", "ol") and len(lists) > 1) else 1)
             if tag in ("ul", "ol"):

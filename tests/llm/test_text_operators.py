@@ -395,6 +395,26 @@ def test_layout(page, text):
     assert html.text_of(page) == text
 
 
+@pytest.mark.parametrize(
+    ("page", "text"),
+    [
+        ("so <math><mi>x</mi><mo>=</mo><mfrac><mn>1</mn><mn>2</mn></mfrac><annotation>tex</annotation></math> holds", "so x=1 2 holds"),
+        ("<math><mtable><mtr><mtd><mi>a</mi></mtd><mtd><mi>b</mi></mtd></mtr><mtr><mtd><mi>c</mi></mtd></mtr></mtable></math>", "a b\nc"),
+        ("<p>see<svg viewBox='0 0 1 1'><title>tip</title><style>x{}</style><g>stray<text x=1>North <tspan>pole</tspan></text><text>South</text><text display='none'>no</text></g></svg>", "see\nNorth pole\nSouth"),
+        ("<svg><text><tspan x=0 dy=1>one</tspan><tspan x=0 dy=1>two</tspan></text><text><![CDATA[a > b]]></text></svg>after", "one\ntwo\na > b\nafter"),
+        ("<svg><foreignObject><div>box</div></foreignObject><desc>d</desc></svg>", "box"),
+        ("note<textarea>\nline &amp; one\n  two <b></textarea>end", "note\nline & one\n  two <b>\nend"),
+        ("Size <select><option>S<option selected>M<option>L</select>!", "Size M !"),
+        ("Size <select><option disabled>pick<optgroup label=g><option>S &amp; M</optgroup></select>", "Size S & M"),
+        ("<select size=²><option>a<option>b</select><select multiple><optgroup label='All'><option>S<option label='Large'>L</select>", "a\nAll\nS\nLarge"),
+        ("<object data=x.swf><param name=a>shown <b>instead</b></object>", "shown instead"),
+        ("<div hidden><svg><text>no</text></svg></div><template>t</template><datalist><option>d</datalist>yes", "yes"),
+    ],
+)
+def test_formulas_drawings_forms_and_objects(page, text):
+    assert html.text_of(page) == text
+
+
 def test_pages_of_any_shape_do_not_fail(spark):
     for page in ("<div>" * 20000, "<table><tr><td>" * 500, "<li>" * 3000, "<p>" * 3000 + "</p>" * 3000, "<a href='x" * 200, "<" * 1000):
         assert isinstance(html.text_of(page), str)
