@@ -9,6 +9,7 @@ Windows that share no shingle with any item of their size have similarity 0 and
 A shingle weighs 1 + ln(items / items that have it), so that phrases of many items count less.
 
 The benchmark goes to the tasks in slices of at most `slice_words` words, one pass over the documents for each; usual benchmarks are one slice.
+Weights are those of the whole benchmark however it is sliced: each slice is sent the shingles that two items or more of the whole have (12 bytes each).
 
 Defined results: null or empty texts are clean, as is everything with an empty benchmark. Null or empty items match nothing. Repeated items are all reported. Repeated rows
 get equal verdicts. Words are runs of letters, digits and "_", in lower case. Other columns are not read; texts are searched whole.
@@ -41,19 +42,28 @@ def packed(sums: np.ndarray) -> np.ndarray:
     return ((sums > 0).astype(np.uint64) << BITS).sum(axis=1, dtype=np.uint64)
 
 
+def looked_up(keys: np.ndarray, values: np.ndarray, key: int) -> float | None:
+    at = np.searchsorted(keys, np.uint64(key))
+    return values[at] if at < len(keys) and keys[at] == key else None
+
+
 @dataclass
 class Index:
     ids: list[int]
     lengths: np.ndarray  # words of each item
     grams: list[dict[int, int]]  # shingle to count
     weight: dict[int, float]
+    total: int  # items of the whole benchmark
+    common: np.ndarray  # shingles of two items or more of the whole benchmark, sorted; none if this is the whole
+    common_weight: np.ndarray
     prints: np.ndarray
     known: np.ndarray  # all shingles, sorted
     owners: list[np.ndarray]  # items of each known shingle
     near: np.ndarray  # block, value, item: whether the item's block is within BLOCK_RADIUS
 
     @classmethod
-    def of(cls, ids: list[int], texts: list[str | None], corpus: tuple[int, dict[int, int]] | None = None) -> Index:
+    def of(cls, ids: list[int], texts: list[str | None], corpus: tuple[int, np.ndarray, np.ndarray] | None = None) -> Index:
+        """corpus, of a slice: the whole benchmark's number of items, its shared shingles, sorted, and how many items have each."""
         found = [(i, w) for i, t in zip(ids, texts) if (w := words_of(t))]
         hashes = [shingles(h) for h in WordHashes().of([w for _, w in found])]
         grams = [dict(zip(*(x.tolist() for x in np.unique(h, return_counts=True)))) for h in hashes]
@@ -62,17 +72,23 @@ class Index:
             for s in g:
                 df.setdefault(s, []).append(k)
         n = len(found)
-        weight = {s: 1 + math.log(n / len(ks)) for s, ks in df.items()}
+        total, common, counts = corpus or (n, np.zeros(0, np.uint64), np.zeros(0, np.int32))
+        common_weight = 1 + np.log(total / counts)
+        if corpus:
+            shared = dict(zip(common.tolist(), counts.tolist())) if len(common) < len(df) else {s: int(c) for s in df if (c := looked_up(common, counts, s))}
+            weight = {s: 1 + math.log(total / shared.get(s, 1)) for s in df}
+        else:
+            weight = {s: 1 + math.log(n / len(ks)) for s, ks in df.items()}
         known = np.array(sorted(df), np.uint64)
         prints = np.array([packed(signs(h, np.array([weight[s] for s in h.tolist()])).sum(axis=0)[None, :])[0] for h in hashes], np.uint64)
         bits = np.bitwise_count(np.arange(256)[:, None] ^ np.arange(256)[None, :]) <= BLOCK_RADIUS
         values = prints[None, :] >> (np.arange(BLOCKS, dtype=np.uint64) * np.uint64(BLOCK_BITS))[:, None] & np.uint64(255)
         near = np.stack([bits[:, v.astype(int)] for v in values]) if n else np.zeros((BLOCKS, 256, 0), bool)
-        return cls([i for i, _ in found], np.array([len(w) for _, w in found]), grams, weight, prints, known, [np.array(df[s]) for s in known.tolist()], near)
+        return cls([i for i, _ in found], np.array([len(w) for _, w in found]), grams, weight, total, common, common_weight, prints, known, [np.array(df[s]) for s in known.tolist()], near)
 
     @property
     def rare(self) -> float:
-        return 1 + math.log(max(1, len(self.ids)))
+        return 1 + math.log(max(1, self.total))
 
     def candidates(self, prints: np.ndarray, items: np.ndarray) -> np.ndarray:
         """Pairs (window, item) within RADIUS, by the blocks first."""
@@ -87,8 +103,11 @@ class Index:
     def similarity(self, item: int, window: np.ndarray) -> float:
         own, both, total = self.grams[item], 0.0, 0.0
         other = dict(zip(*(x.tolist() for x in np.unique(window, return_counts=True))))
+        weight = self.weight
+        if len(self.common):
+            weight = {s: weight.get(s) or looked_up(self.common, self.common_weight, s) or self.rare for s in own.keys() | other.keys()}
         for s in own.keys() | other.keys():
-            w, a, b = self.weight.get(s, self.rare), own.get(s, 0), other.get(s, 0)
+            w, a, b = weight.get(s, self.rare), own.get(s, 0), other.get(s, 0)
             both += w * min(a, b)
             total += w * max(a, b)
         return both / total
@@ -106,6 +125,9 @@ class Index:
         if not len(at):
             return out
         weights = np.full(len(grams), self.rare)
+        if len(self.common):
+            c = np.minimum(np.searchsorted(self.common, grams), len(self.common) - 1)
+            weights = np.where(self.common[c] == grams, self.common_weight[c], weights)
         weights[at] = [self.weight[s] for s in grams[at].tolist()]
         touched: dict[int, list[int]] = {}  # size to positions of shared shingles
         for p, s in zip(at.tolist(), k[at].tolist()):
@@ -136,6 +158,19 @@ class Index:
         return out
 
 
+def whole_counts(items: DataFrame) -> tuple[int, np.ndarray, np.ndarray]:
+    """Number of items with words; the shingles that two or more have, sorted; how many have each."""
+
+    def run(texts):
+        return {"v": [np.unique(shingles(h)).view(np.int64).tolist() for some in in_parts(texts, 1 << 21) for h in word_hashes().of(list(map(words_of, some)))]}
+
+    grams = items.select(struct_udf(run, "v array<bigint>")(F.col("text"))["v"].alias("v"))
+    shared = grams.select(F.explode("v").alias("s")).groupBy("s").agg(F.count(F.lit(1)).cast("int").alias("n")).where("n > 1").toArrow()
+    keys, counts = shared["s"].to_numpy().view(np.uint64), shared["n"].to_numpy()
+    order = np.argsort(keys)
+    return grams.where(F.size("v") > 0).count(), keys[order], counts[order]
+
+
 FOUND = "found array<struct<item_id:bigint,similarity:double,first_word:int>>"
 
 
@@ -144,10 +179,11 @@ def search(df: DataFrame, benchmark: DataFrame, text: str = "text", item_id: str
     items = benchmark.select(F.col(item_id).cast("bigint").alias("id"), F.col(item).alias("text"))
     size = items.agg(F.sum(F.length("text"))).first()[0] or 0
     slices = max(1, math.ceil(size / (6 * slice_words)))
+    corpus = whole_counts(items) if slices > 1 else None
     made = []
     for s in range(slices):
         rows = items.where(F.pmod(F.xxhash64("id", "text"), F.lit(slices)) == s).orderBy("id", "text").collect()
-        sent = df.sparkSession.sparkContext.broadcast(Index.of([r["id"] for r in rows], [r["text"] for r in rows]))
+        sent = df.sparkSession.sparkContext.broadcast(Index.of([r["id"] for r in rows], [r["text"] for r in rows], corpus))
 
         def run(texts, sent=sent):
             index, found = sent.value, []

@@ -128,6 +128,19 @@ def test_passages_whole_edited_and_cut(spark):
     assert {r["doc_id"]: {x["item_id"] for x in r["found"]} for r in sliced if r["found"]} == want
 
 
+def test_slices_weigh_as_the_whole_benchmark(spark):
+    """Items that share phrases, in one slice and in many: the same items, similarities and places."""
+    phrase = plain(400)[300:318]
+    items = {k: " ".join([*phrase, *(f"own{k}x{j}" for j in range(12))]) for k in range(20)} | {20: " ".join(plain(30)), 21: ""}
+    texts = {k: " ".join(["before", *items[k].split()[:-cut], *(f"new{j}" for j in range(cut)), "after"]) for k in range(20) for cut in [k % 5]}
+    texts |= {30 + k: " ".join([*plain(30)[: 30 - k], *phrase[: k + 3], "end"]) for k in range(6)}
+    df, bench = docs(spark, [(i, t, "s") for i, t in texts.items()]), spark.createDataFrame(list(items.items()), "item_id bigint, text string")
+    one, many = ({r["doc_id"]: [tuple(x) for x in r["found"]] for r in decontaminate.search(df, bench, slice_words=n).collect()} for n in (2_000_000, 60))
+    assert many == one
+    assert 0 < sum(map(bool, one.values())) < len(texts)
+    assert {i for i, found in one.items() for k, *_ in found if i < 20 and k != i} == set()
+
+
 def test_no_benchmark_and_no_documents(spark):
     none = spark.createDataFrame([], "item_id bigint, text string")
     assert decontaminate.search(docs(spark, [(1, "a b c", "s")]), none).first()["found"] == []
