@@ -12,7 +12,7 @@ The benchmark goes to the tasks in slices of at most `slice_words` words, one pa
 Weights are those of the whole benchmark however it is sliced: each slice is sent the shingles that two items or more of the whole have (12 bytes each).
 
 Defined results: null or empty texts are clean, as is everything with an empty benchmark. Null or empty items match nothing. Repeated items are all reported. Repeated rows
-get equal verdicts. Words are runs of letters, digits and "_", in lower case. Other columns are not read; texts are searched whole.
+get equal verdicts. An item of 1 to 4 words has one shingle of all its words and is found only where it is a whole text, never as a passage of a longer one (as in the SQL twin). Words are runs of letters, digits and "_", in lower case. Other columns are not read; texts are searched whole.
 """
 
 from __future__ import annotations
