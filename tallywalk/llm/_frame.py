@@ -16,14 +16,17 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-BATCH_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
+MOST_BYTES = 4 << 20
 _made: list[tuple[SparkSession, str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share: spark.checkpoint.dir, or a temporary one where that is unset (tests on one machine)."""
+    """The folder that driver and executors share: spark.checkpoint.dir. Where that is unset, a temporary one in local mode; on a cluster an error, as each machine would have its own."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         found = "file://" + tempfile.mkdtemp(prefix="tallywalk-")
         spark.conf.set("spark.checkpoint.dir", found)
         spark.sparkContext.setCheckpointDir(found)
@@ -42,6 +45,14 @@ def remove(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def forget(spark: SparkSession, table: DataFrame) -> None:
+    """Removes a written table that nothing needs any more."""
+    gone = {p.rsplit("/", 1)[0].rsplit("/", 1)[1] for p in table.inputFiles()}
+    for own in [x for x in _made if x[1].rsplit("/", 1)[1] in gone]:
+        _made.remove(own)
+        remove(*own)
+
+
 @atexit.register
 def _clear() -> None:
     for spark, path in _made:
@@ -59,11 +70,23 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def written_alone(make: Callable[[], DataFrame], name: str) -> DataFrame:
+    """written(make()), after which all tables that were written on the way are removed."""
+    before = len(_made)
+    df = make()
+    out = written(df, name)
+    for spark, path in _made[before:-1]:
+        remove(spark, path)
+    _made[before:] = _made[-1:]
+    return out
+
+
 def small_batches() -> None:
-    """At most 2000 rows in an Arrow batch of this session from now on: texts are long, and a batch is held several times, in the JVM and in Python."""
+    """At most MOST_BYTES in an Arrow batch of this session from now on, or what the caller has set below that: texts are long, and a batch is held several times, in the JVM and in
+    Python. Spark has no such limit for one query alone."""
     spark = SparkSession.getActiveSession()
-    if spark is not None and not 0 < int(spark.conf.get(BATCH_ROWS)) <= 2000:
-        spark.conf.set(BATCH_ROWS, 2000)
+    if spark is not None and not 0 < int(spark.conf.get(BATCH_BYTES, None) or 0) <= MOST_BYTES:
+        spark.conf.set(BATCH_BYTES, MOST_BYTES)
 
 
 def with_row_key(df: DataFrame, key: str = "__row") -> DataFrame:

@@ -3,10 +3,15 @@
 A tree builder with implied tags (a paragraph ends where a block begins, a list item where the next begins, table parts open their missing
 parents) feeds a renderer that leaves out what a browser does not show, keeps paragraphs apart by an empty line and other blocks by a line end, marks and
 indents list items, keeps preformatted text and that of text areas, shows of a drop-down its chosen option and of a list box all, of a drawing its texts (one a line),
-of a formula its tokens (parts of fractions and scripts apart), of an object what stands in for it, and pads the cells of a table's columns to one width.
+of a formula its tokens (parts of fractions and scripts apart), of an object what stands in for it, and puts the cells of a table in columns.
 
-Defined results: a null or empty page is an empty text. Bad or unclosed tags never raise; what is open at the end is closed there. Nesting of any depth is walked
-without recursion. Repeated rows get equal texts. Other columns are not read.
+A table's cells take the columns that colspan and rowspan give them; a column is as wide as its widest line of up to WIDE characters, and longer lines run over. Tables of more than COLUMNS
+columns, and those whose padding would be more than four times their text, are written without padding, cells of several lines on lines of their own. Tables more than DEEP deep in each other
+are plain blocks, and lists and quotations are indented by at most INDENT blanks. So the text of a page is never much longer than the page, and reading and writing it take time in proportion to its length.
+
+Defined results: a null or empty page is an empty text. Bad or unclosed tags never raise; what is open at the end is closed there, and a tag or quoted value that the page's end cuts off shows
+nothing, as in a browser. Only void elements and those of drawings and formulas close themselves. Nesting of any depth is walked without recursion. Repeated rows get equal texts. Other columns
+are kept unread, but for one of the name of the result, which the result replaces.
 """
 
 from __future__ import annotations
@@ -29,10 +34,17 @@ APART = frozenset("mfrac msup msub msubsup munder mover munderover mmultiscripts
 SPACED = frozenset("p h1 h2 h3 h4 h5 h6 blockquote pre ul ol dl table figure fieldset hr".split())
 BLOCK = SPACED | frozenset("html body div section article aside nav header footer main address form details summary li dt dd tr caption figcaption center legend option textarea mtr mlabeledtr thead tbody tfoot".split())
 ENDS_P = SPACED | frozenset("div section article aside nav header footer main address form details li dt dd center".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6".split())
+WHOLE = frozenset("table html body div article section main".split())  # their end tags close whatever is open inside
+P_LIMITS = ("td", "th", "table", "li", "div", "article", "section", "button")
 TABLE_PARTS = frozenset("caption colgroup thead tbody tfoot tr td th".split())
 
-TOKEN = re.compile(r"""<!--.*?(?:-->|\Z)|<![^>]*>|<\?[^>]*>|</([a-zA-Z][^\s/>]*)[^>]*>|<([a-zA-Z][^\s/>]*)((?:[^>"']|"[^"]*"|'[^']*')*)>""", re.S)
-ATTRIBUTE = re.compile(r"""([^\s=/"'>]+)(?:\s*=\s*("[^"]*"|'[^']*'|[^\s>]+))?""")
+WIDE, COLUMNS, DEEP, INDENT = 60, 100, 8, 80
+RAW_END = {tag: re.compile(rf"</{tag}(?=[\s/>])", re.I) for tag in RAW}
+
+TAG = re.compile(r"""</?([a-zA-Z][^\s/>]*+)((?:[^=>]++|=\s*+(?:"[^"]*+(?:"|\Z)|'[^']*+(?:'|\Z)|[^\s>"'][^\s>]*+)?)*+)(>?)""")
+VALUE_END = re.compile(r"""=\s*+[^\s>"'][^\s>]*+\Z""")
+ATTRIBUTE = re.compile(r"""([^\s=/"'>]++)(?:\s*+=\s*+("[^"]*+"|'[^']*+'|[^\s>]++))?""")
 HIDING = re.compile(r"display\s*:\s*none|visibility\s*:\s*hidden")
 SPACES = re.compile(r"[ \t\n\r\f]+")
 
@@ -93,112 +105,147 @@ def shown_options(select: Node) -> list[str] | str:
     return chosen[0] if chosen else ""
 
 
-def build(page: str) -> Node:
-    root = Node("html")
-    stack = [root]
+class Tree:
+    """The open elements, and where those of each name are among them."""
 
-    def close(names, until) -> None:
-        """Closes the innermost open element of these names, unless one of `until` lies inside it."""
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag in names:
-                del stack[i:]
-                return
-            if stack[i].tag in until:
-                return
-
-    def push(tag: str, attributes: str = "") -> Node:
+    def __init__(self) -> None:
+        self.root = Node("html")
+        self.stack, self.where = [self.root], {}
+
+    def last(self, names) -> int:
+        """The place of the innermost open element of these names, 0 if there is none."""
+        return max((self.where[n][-1] for n in names if self.where.get(n)), default=0)
+
+    def cut(self, size: int) -> None:
+        while len(self.stack) > size:
+            self.where[self.stack.pop().tag].pop()
+
+    def push(self, tag: str, attributes: str = "") -> Node:
         node = Node(tag, attributes)
-        stack[-1].children.append(node)
-        stack.append(node)
+        self.stack[-1].children.append(node)
+        self.where.setdefault(tag, []).append(len(self.stack))
+        self.stack.append(node)
         return node
 
-    def back_to(names) -> bool:
+    def add(self, child) -> None:
+        self.stack[-1].children.append(child)
+
+    def close(self, names, until=()) -> None:
+        """Closes the innermost open element of these names, unless one of `until` lies inside it."""
+        i = self.last(names)
+        if i and i >= self.last(until):
+            self.cut(i)
+
+    def back_to(self, names) -> bool:
         """Closes what is open inside the innermost of these names, if there is one in the present table."""
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag in names:
-                del stack[i + 1 :]
-                return True
-            if stack[i].tag == "table":
-                return False
+        i = self.last(names)
+        if i and i > self.last(("table",)):
+            self.cut(i + 1)
+            return True
         return False
 
+    def table_part(self, tag: str) -> None:
+        """Opens the parents that a part of a table lacks."""
+        bodies = ("thead", "tbody", "tfoot")
+        if tag in ("td", "th"):
+            if not self.back_to(("tr",)):
+                if not self.back_to(bodies):
+                    self.cut(self.last(("table",)) + 1)
+                    self.push("tbody")
+                self.push("tr")
+        elif tag == "tr":
+            if not self.back_to(bodies):
+                self.cut(self.last(("table",)) + 1)
+                self.push("tbody")
+        else:
+            self.cut(self.last(("table",)) + 1)
+
+    def end(self, tag: str) -> None:
+        if tag == "p" and not self.last(("p",)):
+            self.add(Node("p"))
+        elif tag == "br":
+            self.add(Node("br"))
+        elif tag not in VOID:
+            self.close((tag,), () if tag in WHOLE else ("td", "th", "table"))
+
+    def begin(self, tag: str, attributes: str) -> Node:
+        if tag in ENDS_P:
+            self.close(("p",), P_LIMITS)
+            if tag in HEADINGS and self.stack[-1].tag in HEADINGS:
+                self.cut(len(self.stack) - 1)
+        if tag not in UNSEEN and tag not in VOID and 0 < self.last(("head",)) < 3:
+            self.close(("head",))
+        if tag == "li":
+            self.close(("li",), ("ul", "ol", "table"))
+        elif tag in ("dt", "dd"):
+            self.close(("dt", "dd"), ("dl", "table"))
+        elif tag == "option":
+            self.close(("option",), ("select",))
+        elif tag in TABLE_PARTS and self.last(("table",)):
+            self.table_part(tag)
+        return self.push(tag, attributes)
+
+
+def build(page: str) -> Node:
+    tree, of_root = Tree(), []
     at, n = 0, len(page)
+
+    def after(mark: str, start: int) -> int:
+        i = page.find(mark, start)
+        return n if i < 0 else i + len(mark)
+
     while at < n:
-        m = TOKEN.search(page, at)
-        if m is None:
-            stack[-1].children.append(unescape(page[at:]))
+        start = page.find("<", at)
+        if start < 0 or start == n - 1:
+            tree.add(unescape(page[at:]))
             break
-        if m.start() > at:
-            stack[-1].children.append(unescape(page[at : m.start()]))
-        at = m.end()
-        if m[0].startswith("<![CDATA[") and any(x.tag in ASIDE for x in stack):
-            end = page.find("]]>", m.start())
-            stack[-1].children.append(page[m.start() + 9 : end if end >= 0 else n])
-            at = end + 3 if end >= 0 else n
+        next_ = page[start + 1]
+        m = TAG.match(page, start) if next_ not in "!?" else None
+        if m is None and next_ not in "!?/":  # a sign like others
+            end = page.find("<", start + 1)
+            end = n if end < 0 else end
+            tree.add(unescape(page[at:end]))
+            at = end
             continue
-        if m[1]:
-            tag = m[1].lower()
-            if tag == "p" and not any(x.tag == "p" for x in stack[1:]):
-                stack[-1].children.append(Node("p"))
-            elif tag not in VOID:
-                close({tag}, () if tag in ("table", "html", "body", "div", "article", "section", "main") else ("td", "th", "table"))
-            elif tag == "br":
-                stack[-1].children.append(Node("br"))
+        if start > at:
+            tree.add(unescape(page[at:start]))
+        if m is None:
+            if page.startswith("<!--", start):
+                at = start + 5 if page.startswith("<!-->", start) else start + 6 if page.startswith("<!--->", start) else after("-->", start + 4)
+            elif page.startswith("<![CDATA[", start) and tree.last(ASIDE):
+                at = after("]]>", start + 9)
+                tree.add(page[start + 9 : at].removesuffix("]]>"))
+            else:
+                at = after(">", start)
             continue
-        if not m[2]:
+        at = m.end()
+        if not m[3]:  # the page ends inside the tag
+            break
+        tag, attributes = m[1].lower(), m[2]
+        if next_ == "/":
+            tree.end(tag)
             continue
-        tag, attributes = m[2].lower(), m[3]
         if tag in ("html", "body"):
-            root.attributes += " " + attributes if tag == "html" else ""
-            if tag == "body":
-                close({"head"}, ())
-            continue
-        if tag in ENDS_P:
-            close({"p"}, ("td", "th", "table", "li", "div", "article", "section", "button"))
-            if tag[0] == "h" and stack[-1].tag[0] == "h" and tag[1:].isdigit() and stack[-1].tag[1:].isdigit():
-                stack.pop()
-        if any(x.tag == "head" for x in stack[:3]) and tag not in UNSEEN and tag not in VOID:
-            close({"head"}, ())
-        if tag == "li":
-            close({"li"}, ("ul", "ol", "table"))
-        elif tag in ("dt", "dd"):
-            close({"dt", "dd"}, ("dl", "table"))
-        elif tag == "option":
-            close({"option"}, ("select",))
-        elif tag in TABLE_PARTS and any(x.tag == "table" for x in stack):
-            if tag in ("td", "th"):
-                if not back_to({"tr"}):
-                    back_to({"thead", "tbody", "tfoot"})
-                    if stack[-1].tag not in ("thead", "tbody", "tfoot"):
-                        close_to_table(stack)
-                        push("tbody")
-                    push("tr")
-            elif tag == "tr":
-                if not back_to({"thead", "tbody", "tfoot"}):
-                    close_to_table(stack)
-                    push("tbody")
+            if tag == "html":
+                of_root.append(attributes)
             else:
-                close_to_table(stack)
-        node = push(tag, attributes)
-        if tag in VOID or attributes.endswith("/"):
-            stack.pop()
-        elif tag in RAW:
-            end = re.compile(rf"</{tag}[^>]*>", re.I).search(page, at)
+                tree.close(("head",))
+            continue
+        node = tree.begin(tag, attributes)
+        foreign = tag in ASIDE or tree.last(ASIDE) > tree.last(("foreignobject",))
+        if tag in VOID or foreign and attributes.endswith("/") and not VALUE_END.search(attributes):
+            tree.cut(len(tree.stack) - 1)
+        elif tag in RAW and not foreign:
+            end = RAW_END[tag].search(page, at)
             inside = page[at : end.start() if end else n]
-            node.children.append(unescape(inside).removeprefix("\n") if tag == "textarea" else inside)
-            at = end.end() if end else n
-            stack.pop()
+            node.children.append(unescape(inside).removeprefix("\n") if tag in ("textarea", "title") else inside)
+            tree.cut(len(tree.stack) - 1)
+            at = n if end is None else TAG.match(page, end.start()).end()
         elif tag == "plaintext":
             node.children.append(page[at:])
             break
-    return root
-
-
-def close_to_table(stack: list[Node]) -> None:
-    for i in range(len(stack) - 1, 0, -1):
-        if stack[i].tag == "table":
-            del stack[i + 1 :]
-            return
+    tree.root.attributes = " ".join(of_root)
+    return tree.root
 
 
 class Page:
@@ -228,7 +275,7 @@ class Page:
             if line or always:
                 if self.gap > 1 and self.lines:
                     self.lines.append("")
-                self.lines.append((" " * max(0, self.indent - len(self.mark)) + self.mark + line).rstrip())
+                self.lines.append((" " * max(0, min(INDENT, self.indent) - len(self.mark)) + self.mark + line).rstrip())
                 self.gap, self.mark = 0, ""
         self.now, self.blank = [], False
 
@@ -240,7 +287,7 @@ class Page:
         self.end_line()
         if self.gap > 1 and self.lines:
             self.lines.append("")
-        self.lines += [(" " * self.indent + x).rstrip() for x in lines]
+        self.lines += [(" " * min(INDENT, self.indent) + x).rstrip() for x in lines]
         self.gap = 0
 
     def done(self) -> list[str]:
@@ -248,15 +295,62 @@ class Page:
         return self.lines
 
 
-def aligned(rows: list[list[str]]) -> list[str]:
-    """Rows of cells, each column padded to its widest line; a cell of many lines takes as many lines."""
-    split = [[c.split("\n") or [""] for c in row] for row in rows]
-    columns = max(map(len, split), default=0)
-    widths = [max((len(x) for row in split if i < len(row) for x in row[i]), default=0) for i in range(columns)]
+def span_of(node: Node, name: str, most: int) -> int:
+    m = re.match(r"\s*\+?(\d{1,6})", node.values().get(name, "")) if name in node.attributes.lower() else None
+    return min(most, int(m[1])) if m else 1
+
+
+def placed(rows: list[list[tuple[str, int, int]]]) -> list[list[tuple[int, int, list[str]]]] | None:
+    """(column, columns, lines) of the cells (text, columns, rows) of each row; None if there are too many columns."""
+    out, held = [], []  # held: (first column, end, last row) of cells that reach below their row, in order
+    for r, row in enumerate(rows):
+        held = [h for h in held if h[2] >= r]
+        cells, column, k = [], 0, 0
+        for text, wide, high in row:
+            while k < len(held) and held[k][0] <= column:
+                column, k = max(column, held[k][1]), k + 1
+            end = column + max(1, wide)
+            if k < len(held):
+                end = max(column + 1, min(end, held[k][0]))
+            cells.append((column, end, text.split("\n"), len(rows) if high == 0 else r + high - 1))
+            column = end
+            if column > COLUMNS:
+                return None
+        held = sorted([*held, *((a, b, low) for a, b, _, low in cells if low > r)])
+        out.append([(a, b - a, lines) for a, b, lines, _ in cells])
+    return out
+
+
+def aligned(rows: list[list[tuple[str, int, int]]]) -> list[str]:
+    """Rows of cells (text, columns, rows), each column padded to its widest line; a cell of many lines takes as many lines."""
+    grid = placed(rows)
+    if grid is not None:
+        columns = max((a + n for row in grid for a, n, _ in row), default=0)
+        widths = [0] * columns
+        for a, n, lines in sorted((c for row in grid for c in row), key=lambda c: c[1]):
+            have = sum(widths[a : a + n]) + 3 * (n - 1)
+            widths[a + n - 1] += max(0, max((len(x) for x in lines if len(x) <= WIDE), default=0) - have)
+        heights = [max((len(lines) for _, _, lines in row), default=0) for row in grid]
+        if sum(heights) * (sum(widths) + 3 * columns) <= 4 * sum(len(x) for row in rows for x, _, _ in row) + 20_000:
+            return [line for row, high in zip(grid, heights) for line in side_by_side(row, high, widths)]
+    out: list[str] = []
+    for row in rows:
+        if any("\n" in x for x, _, _ in row):
+            out += [line for x, _, _ in row for line in x.split("\n")]
+        else:
+            out.append(" | ".join(x for x, _, _ in row).rstrip())
+    return out
+
+
+def side_by_side(row: list[tuple[int, int, list[str]]], high: int, widths: list[int]) -> list[str]:
     out = []
-    for row in split:
-        for k in range(max(map(len, row), default=0)):
-            out.append(" | ".join((c[k] if k < len(c) else "").ljust(w) for c, w in zip(row, widths)).rstrip())
+    for k in range(high):
+        parts, column = [], 0
+        for a, n, lines in row:
+            parts += [" " * w for w in widths[column:a]]
+            parts.append((lines[k] if k < len(lines) else "").ljust(sum(widths[a : a + n]) + 3 * (n - 1)))
+            column = a + n
+        out.append(" | ".join(parts).rstrip())
     return out
 
 
@@ -310,6 +404,8 @@ def render(root: Node) -> str:
             if tag == "table":
                 out.block(2)
                 tables.append([])
+            elif len(tables) > DEEP and tag in ("tr", "td", "th", "caption"):
+                out.block(1)
             elif tag == "tr" and tables:
                 tables[-1].append([])
             elif tag in ("td", "th", "caption") and tables:
@@ -334,16 +430,18 @@ def render(root: Node) -> str:
             todo += [(False, c, inner, inside) for c in reversed(children)]
             continue
         if tag == "table" and tables:
-            rows = [r for r in tables.pop() if any(r)]
+            rows = [r for r in tables.pop() if any(x for x, _, _ in r)]
             out.raw(aligned(rows)) if rows else None
             out.gap = max(out.gap, 2)
+        elif len(tables) > DEEP and tag in ("tr", "td", "th", "caption"):
+            out.block(1)
         elif tag in ("td", "th", "caption") and tables:
             text = "\n".join(pages.pop().done())
             if tag == "caption":
                 pages[-1].text(text)
                 pages[-1].block(1)
             elif tables[-1]:
-                tables[-1][-1].append(text)
+                tables[-1][-1].append((text, span_of(node, "colspan", 1000), span_of(node, "rowspan", 65534)))
         elif tag == "tr" and tables:
             pass
         elif where == "svg" and tag in DRAWN:

@@ -2,9 +2,10 @@
 
 Documents with equal sets are copies; one of them stands for all. Each set is embedded in COORDINATES min-hash values, and so for every coordinate two sets agree
 with the probability of their Jaccard similarity: agreeing means sharing the sampled token. A run splits all sets by one coordinate. Small buckets are
-compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs; those that are like none of them, and whose other buckets do not suffice for the recall, split again by
-coordinates drawn for their path, about BRANCHES of them, and so on down. A pair at the threshold survives a run with a probability of at least `survival(levels)`, and runs are repeated until the chance to miss
-it is below 1 - recall.
+compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs: those that agree with a hub about as a link's ends do (ALIKE) become its candidates, and those that agree
+with it nearly everywhere (LEAVE) need no more splits, because whatever links to them is among the hub's candidates as well: distances add up. All others whose other buckets do not suffice for the recall split
+again by coordinates drawn for their path, about BRANCHES of them, and so on down; what is still crowded on the last level becomes one candidate group. A pair at the threshold survives a run with a probability
+of at least `survival(levels)`, and runs are repeated until the chance to miss it is below 1 - recall.
 
 What was found alike makes candidate groups: the connected components. Within a group all sets are compared exactly (32-bit shingle hashes), so that links are complete there and counted once. A
 group of M sets is cut into blocks of about 2 * sqrt(M), and every two blocks meet in a task of their own: no task holds a large group, and what leaves it are numbers of links and a spanning
@@ -26,15 +27,16 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import in_parts, join_counted, may_hold, struct_udf, with_row_key, written
-from tallywalk.llm._words import LEAST, shingles, word_hashes, words_of
+from tallywalk.llm._frame import forget, join_counted, may_hold, struct_udf, with_row_key, written, written_alone
+from tallywalk.llm._words import LEAST, shingled
 
 COORDINATES = 64
 BRANCHES = 2.0
 BUCKET = 10  # sets of a bucket that is compared by brute force
 LEVELS = 6
 HUBS = 3
-ALIKE = 0.4  # agreement with a hub that makes a candidate group; far below the threshold, so that the likes of a member are members
+ALIKE = 0.5  # agreement with a hub that makes a candidate: 1 - 2 * (1 - threshold) at least for partners of sets that leave, less what 64 coordinates may err
+LEAVE = 0.85  # agreement with a hub that ends a set's splits
 SEEDS = np.random.default_rng(20).integers(1, 1 << 63, COORDINATES, dtype=np.uint64)
 
 
@@ -74,24 +76,20 @@ def min_hashes(grams: np.ndarray) -> np.ndarray:
 
 def _sets(texts: list[str | None], runs: int) -> dict:
     out: dict[str, list] = {"set_a": [], "set_b": [], "n": [], "tops": [], "paths": []}
-    for some in in_parts(texts, 1 << 21):
-        for h in word_hashes().of(list(map(words_of, some))):
-            g = np.unique(shingles(h))
-            with np.errstate(over="ignore"):
-                out["set_a"].append(int(g.sum(dtype=np.uint64).view(np.int64)))
-                out["set_b"].append(int(((g ^ (g >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)).sum(dtype=np.uint64).view(np.int64)))
-            out["n"].append(len(g))
-            values = min_hashes(g) if len(g) else None
-            out["tops"].append(None if values is None else values[:runs])
-            out["paths"].append(None if values is None else values.astype(np.int16))
+    for _, grams in shingled(texts):
+        g = np.unique(grams)
+        with np.errstate(over="ignore"):
+            out["set_a"].append(int(g.sum(dtype=np.uint64).view(np.int64)))
+            out["set_b"].append(int(((g ^ (g >> np.uint64(31))) * np.uint64(0x94D049BB133111EB)).sum(dtype=np.uint64).view(np.int64)))
+        out["n"].append(len(g))
+        values = min_hashes(g) if len(g) else None
+        out["tops"].append(None if values is None else values[:runs])
+        out["paths"].append(None if values is None else values.astype(np.int16))
     return out
 
 
 def _grams(texts: list[str | None]) -> dict:
-    out = []
-    for some in in_parts(texts, 1 << 21):
-        out += [np.unique(shingles(h).astype(np.uint32)).tobytes() for h in word_hashes().of(list(map(words_of, some)))]
-    return {"v": out}
+    return {"v": [np.unique(g.astype(np.uint32)).tobytes() for _, g in shingled(texts)]}
 
 
 def sets_of(texts: DataFrame, members: DataFrame) -> DataFrame:
@@ -137,17 +135,20 @@ def candidate_edges(level: DataFrame, least: float, runs: int, recall: float) ->
             break
         hubs = written(inside.groupBy("path").agg(F.count(F.lit(1)).alias("n"), *pick), "bucket-hubs")
         met = join_counted(inside, hubs, "path", "n")
-        near = [F.when(agreement(F.col("paths"), F.col(f"h{k}.paths")) >= ALIKE, F.col(f"h{k}.rep")) for k in range(HUBS)]
-        met = written(met.select("path", "rep", "paths", F.array_compact(F.array(*near)).alias("near")), "met")
+        agreed = [agreement(F.col("paths"), F.col(f"h{k}.paths")) for k in range(HUBS)]
+        near = [F.when(a >= ALIKE, F.col(f"h{k}.rep")) for k, a in enumerate(agreed)]
+        # what can't be split any more is one group, whose hub is the first one
+        last = F.col("h0.rep") if depth == LEVELS - 1 else F.lit(None).cast("bigint")
+        met = written(met.select("path", "rep", "paths", F.array_distinct(F.array_compact(F.array(*near, last))).alias("near"), (F.greatest(*agreed) >= LEAVE).alias("settled")), "met")
         ends = met.select(F.col("rep").alias("x"), F.explode("near").alias("y")).where("x <> y")
         edges.append(ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
-        rest = met.where(F.size("near") == 0).select("path", "rep", "paths")
+        if depth == LEVELS - 1:
+            break
+        rest = met.where("not settled").select("path", "rep", "paths")
         if depth == 0:
             # sets that enough small buckets have settled need no split: see `settled`
             crowded = inside.groupBy("rep").agg(F.count(F.lit(1)).alias("crowded"))
             rest = rest.join(crowded.where(F.lit(runs) - F.col("crowded") < settled(runs, recall, least)).select("rep"), "rep", "left_semi").select("path", "rep", "paths")
-        if depth == LEVELS - 1:
-            edges.append(compared(rest, least))  # whatever could not be split
         level = split(rest)
     found = edges[0]
     for e in edges[1:]:
@@ -234,17 +235,24 @@ def group_links(members: DataFrame, texts: DataFrame, least: float) -> DataFrame
     return dealt.mapInArrow(run, "rep bigint, links bigint, lead bigint")
 
 
-def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
-    """(rep, root) for all ends of the edges (a, b): the least key of each connected component, by alternating large and small stars."""
+def components(edges: DataFrame) -> DataFrame:
+    """(rep, root) for all ends of the edges (a, b): the least key of each connected component, by alternating large and small stars until nothing changes. The
+    number of rounds grows with the logarithm of the edges; each round's tables are removed after the next."""
+    spark = edges.sparkSession
     now = written(edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u > v").distinct(), "edges")
     before = None
-    for _ in range(rounds):
-        both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = written(both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).withColumn("m", F.least("m", "u")), "least")
-        large = written(join_counted(both, least, "u", "n").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct(), "large-star")
-        smaller = written(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "smaller")
-        rest = join_counted(large, smaller, "u", "n").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
-        now = written(rest.union(smaller.select("u", F.col("m").alias("v"))).distinct(), "edges")
+    while True:
+
+        def stars(now: DataFrame = now) -> DataFrame:
+            both = now.union(now.select(F.col("v").alias("u"), F.col("u").alias("v")))
+            least = written(both.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")).withColumn("m", F.least("m", "u")), "least")
+            large = written(join_counted(both, least, "u", "n").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u > v").distinct(), "large-star")
+            smaller = written(large.groupBy("u").agg(F.min("v").alias("m"), F.count(F.lit(1)).alias("n")), "smaller")
+            rest = join_counted(large, smaller, "u", "n").where("v > m").select(F.col("v").alias("u"), F.col("m").alias("v"))
+            return rest.union(smaller.select("u", F.col("m").alias("v"))).distinct()
+
+        older, now = now, written_alone(stars, "edges")
+        forget(spark, older)
         state = now.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
         if state == before:
             break
@@ -253,17 +261,21 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     return ends.union(ends.select(F.col("root").alias("rep"), "root").distinct())
 
 
+RESULT = ("class_id", "copy_id", "n_links", "first")
+
+
 def join(df: DataFrame, key: str = "doc_id", text: str = "text", least: float = LEAST, recall: float = 0.9999) -> DataFrame:
     """A row for each row of df: key, class_id, copy_id, n_links."""
     return labelled(df.select(F.col(key).alias("key"), F.col(text).alias("text")), least, recall).select(F.col("key").alias(key), "class_id", "copy_id", "n_links")
 
 
 def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> DataFrame:
-    """For rows (key, text, and others, which are kept but for text): class_id, copy_id, n_links, and first, true for one row of each class."""
+    """For rows (key, text, and others): key and the others, then class_id, copy_id, n_links, and first, true for one row of each class. Others of these names are replaced."""
     runs = min(COORDINATES, runs_for(recall))
     made = struct_udf(lambda texts: _sets(texts, runs), "set_a bigint, set_b bigint, n int, tops array<int>, paths array<smallint>")
-    others = [c for c in rows.columns if c != "text"]
-    first = written(with_row_key(rows.select(*others, F.xxhash64("text").alias("print"), made(F.col("text")).alias("made")).select(*others, "print", "made.*")), "sets")
+    others = [c for c in rows.columns if c not in ("text", *RESULT)]
+    kept = F.struct(*(F.col(c) for c in others)).alias("__others")  # under names of their own
+    first = written(with_row_key(rows.select(kept, "key", F.xxhash64("text").alias("print"), made(F.col("text")).alias("made")).select("__others", "key", "print", "made.*")), "sets")
     docs = first.where("n > 0").select("__row", "key", "print", "set_a", "set_b", "n")
     same = ["set_a", "set_b", "n"]
     copies = written(docs.groupBy(*same).agg(F.min("__row").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min("key").alias("copy_id"), F.min_by("print", "__row").alias("print")), "copies")
@@ -288,8 +300,7 @@ def labelled(rows: DataFrame, least: float = LEAST, recall: float = 0.9999) -> D
     out = first.drop("print", "paths", "tops").join(told, same, "left")
     alone = F.col("rep").isNull()
     return out.select(
-        *others,
-        "__row",
+        "__others.*",
         F.when(alone, F.col("key")).otherwise(F.col("class_id")).alias("class_id"),
         F.when(alone, F.col("key")).otherwise(F.col("copy_id")).alias("copy_id"),
         F.coalesce("n_links", F.lit(0)).cast("bigint").alias("n_links"),

@@ -54,7 +54,7 @@ def op6_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     held_out = F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2
     model = langid.fit(docs.where(~held_out))
-    return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held_out.alias("held_out"), "language.*")
+    return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held_out.alias("held_out"), "language.lang_pred", "language.score")
 
 
 def op7_perspectives(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,8 +8,8 @@ A shard is a file of records:
     masked CRC-32C of the payload
 
 which is the framing of TFRecord files, so that their readers can read it too. Beside it lies an index: for each record,
-in order, its offset in the shard and its number of ids (two unsigned 64-bit numbers). Shards are ranges of document ids
-in ascending order, null first, ties in any order.
+in order, its offset in the shard and the number of ids of all records before it (two unsigned 64-bit numbers), and at the end the shard's size and number of ids; so a range of records is
+found by reading its own part of the index alone. Shards are ranges of document ids in ascending order, null first, ties in any order.
 
 Tasks write under a name of their own and then rename, so a task that runs twice leaves one whole file. The folder can be in
 any store that pyarrow can open.
@@ -259,21 +259,22 @@ def write(df: DataFrame, folder: str, vocabulary: str, end_id: int, text: str =
                 for a in range(0, len(ids), 1024):
                     data, lengths = frame([payload(k, x, enc.wide) for k, x in zip(keys[a : a + 1024], ids[a : a + 1024])])
                     out.write(data)
-                    index.append(np.array([np.cumsum(lengths) - lengths + offset, [len(x) // width for x in ids[a : a + 1024]]], "<u8").T)
+                    counts = np.array([len(x) // width for x in ids[a : a + 1024]], np.int64)
+                    index.append(np.array([np.cumsum(lengths) - lengths + offset, np.cumsum(counts) - counts + n_ids], "<u8").T)
                     offset += len(data)
-                n_ids += sum(map(len, ids)) // width
+                    n_ids += int(counts.sum())
         finally:
             if out is not None:
                 out.close()
         if out is None:
             return
-        table = np.concatenate(index)
+        table = np.concatenate([*index, np.array([[offset, n_ids]], "<u8")])
         with store.open_output_stream(own + ".index") as f:
             f.write(table.tobytes())
         path = f"{base}/{part:06d}.rec"
         store.move(own + ".index", path + ".index")
         store.move(own, path)
-        yield pa.RecordBatch.from_pydict({"shard": [part], "path": [path], "first_key": [first], "n_records": [len(table)], "n_ids": [n_ids]}, schema=pa.schema([("shard", pa.int64()), ("path", pa.string()), ("first_key", pa.int64()), ("n_records", pa.int64()), ("n_ids", pa.int64())]))
+        yield pa.RecordBatch.from_pydict({"shard": [part], "path": [path], "first_key": [first], "n_records": [len(table) - 1], "n_ids": [n_ids]}, schema=pa.schema([("shard", pa.int64()), ("path", pa.string()), ("first_key", pa.int64()), ("n_records", pa.int64()), ("n_ids", pa.int64())]))
 
     made = dealt.mapInArrow(run, "shard bigint, path string, first_key bigint, n_records bigint, n_ids bigint")
     listing = f"{folder}/listing"
@@ -310,22 +311,20 @@ def read(listing: DataFrame, folder: str, records: int = 4096, digests: bool = F
             for row in batch.to_pylist():
                 n, at = row["n_records"], row["at"]
                 with store.open_input_file(row["path"] + ".index") as f:
-                    table = np.frombuffer(f.read(), "<u8").reshape(-1, 2).astype(np.int64)
+                    f.seek(16 * at)
+                    table = np.frombuffer(f.read(16 * (min(records, n - at) + 1)), "<u8").reshape(-1, 2).astype(np.int64)
                 with store.open_input_file(row["path"]) as f:
-                    for a in range(at, min(at + records, n), 512):
-                        b = min(a + 512, at + records, n)
-                        begin = int(table[a, 0])
-                        finish = int(table[b, 0]) if b < n else f.size()
+                    for a in range(0, len(table) - 1, 512):
+                        b = min(a + 512, len(table) - 1)
+                        begin, finish = int(table[a, 0]), int(table[b, 0])
                         f.seek(begin)
-                        lengths = np.diff(np.append(table[a:b, 0], finish))
-                        docs = [opened(p) for p in unframe(f.read(finish - begin), lengths)]
-                        before = int(row["start"] + table[:a, 1].sum())
-                        counts = table[a:b, 1]
-                        begins = (np.cumsum(counts) - counts + before).tolist()
+                        docs = [opened(p) for p in unframe(f.read(finish - begin), np.diff(table[a : b + 1, 0]))]
+                        begins = (table[a:b, 1] + row["start"]).tolist()
+                        counts = np.diff(table[a : b + 1, 1])
                         values = [zlib.crc32(ids.astype("<u4").tobytes()) for _, ids in docs] if digests else [ids.astype(np.int32) for _, ids in docs]
                         got = {"doc_id": [k for k, _ in docs], "start": begins, "n_tokens": counts.tolist(), value[0]: values}
                         if shuffle_seed is not None:
-                            mix = np.random.default_rng([shuffle_seed, a]).permutation(b - a).tolist()
+                            mix = np.random.default_rng([shuffle_seed, at + a]).permutation(b - a).tolist()
                             got = {k: [v[i] for i in mix] for k, v in got.items()}
                         yield pa.RecordBatch.from_pydict(got, schema=schema)
 

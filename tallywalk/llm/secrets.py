@@ -16,7 +16,9 @@ empty table.
 
 from __future__ import annotations
 
+import bisect
 import hashlib
+import itertools
 import math
 import re
 from collections import Counter
@@ -34,9 +36,9 @@ BASE = {
 }
 ADDED = {
     "private": re.compile(r"-----(?:BEGIN|END) (?:[A-Z]+ ){0,3}PRIVATE KEY-----"),
-    "jwt": re.compile(r"(eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,})"),
+    "jwt": re.compile(r"(?<![A-Za-z0-9_-])(eyJ[A-Za-z0-9_-]{8,}+\.eyJ[A-Za-z0-9_-]{8,}+\.[A-Za-z0-9_-]{8,}+)"),
     "forge": re.compile(r"((?:gh[pousr]_|glpat-|xox[abpr]-)[A-Za-z0-9_-]{16,})"),
-    "opaque": re.compile(r"(?<![A-Za-z0-9+/_=-])([A-Za-z0-9+/_-]{24,}={0,2})(?![A-Za-z0-9+/_=-])"),
+    "opaque": re.compile(r"(?<![A-Za-z0-9+/_=-])([A-Za-z0-9+/_-]{24,}+={0,2}+)(?![A-Za-z0-9+/_=-])"),
 }
 BLOCK_MOST = 1 << 16
 ARMOR = re.compile(r"(?m)^[^\S\n]*[A-Za-z][A-Za-z-]*:[^\S\n].*$")  # a block's own headers
@@ -81,31 +83,45 @@ def key_blocks(text: str) -> list[tuple[int, int, str]]:
     return out
 
 
-def outside(a: int, b: int, base: list[tuple[int, int, int, str]]) -> list[tuple[int, int]]:
-    """What of a to b no base span covers."""
-    out = []
-    for x, _, y, _ in base:
-        if x < b and y > a:
+class Cover:
+    """Spans in order of their start, to be asked which of them meet a stretch."""
+
+    def __init__(self, spans: list[tuple[int, int, int, str]]):
+        self.spans = sorted((a, b) for a, _, b, _ in spans)
+        self.starts = [a for a, _ in self.spans]
+        self.reach = list(itertools.accumulate((b for _, b in self.spans), max))  # the farthest end so far
+
+    def meets(self, a: int, b: int) -> bool:
+        n = bisect.bisect_left(self.starts, b)
+        return n > 0 and self.reach[n - 1] > a
+
+    def outside(self, a: int, b: int) -> list[tuple[int, int]]:
+        """What of a to b no span covers."""
+        out = []
+        for i in range(bisect.bisect_right(self.reach, a), bisect.bisect_left(self.starts, b)):
+            x, y = self.spans[i]
             if x > a:
                 out.append((a, x))
             a = max(a, y)
-    return [*out, (a, b)] if a < b else out
+        return [*out, (a, b)] if a < b else out
 
 
 def added_spans(text: str, base: list[tuple[int, int, int, str]]) -> list[tuple[int, int, int, str]]:
-    out = []
+    out, own = [], Cover(base)
     for name, pattern in ADDED.items():
         if name in MARKS and MARKS[name] not in text:
             continue
+        kind = KINDS.index(name)
         if name == "private":
-            out += [(x, KINDS.index(name), y, key) for a, b, key in key_blocks(text) for x, y in outside(a, b, base)]
+            out += [(x, kind, y, key) for a, b, key in key_blocks(text) for x, y in own.outside(a, b)]
             continue
+        cover = Cover([*base, *out]) if out else own
         for m in pattern.finditer(text):
             s = m[1]
             if name == "opaque" and (s.isalpha() or not (re.search("[a-z]", s) and re.search("[A-Z]", s) and re.search("[0-9]", s)) or entropy(s) < 4):
                 continue
-            if not any(a < m.end() and m.start() < b for a, _, b, _ in [*base, *out]):
-                out.append((m.start(), KINDS.index(name), m.end(), s))
+            if not cover.meets(m.start(), m.end()):
+                out.append((m.start(), kind, m.end(), s))
     return out
 
 

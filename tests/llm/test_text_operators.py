@@ -152,15 +152,88 @@ def test_the_index_finds_all_within_the_radius():
 
     rng = np.random.default_rng(2)
     index = decontaminate.Index.of(list(range(50)), [" ".join(words(20, f"i{k}")) for k in range(50)])
-    prints = index.prints[rng.integers(0, 50, 300)].copy()
+    table = index.blocks[20]
+    prints = table.prints[rng.integers(0, 50, 300)].copy()
     for i in range(300):
         for b in rng.choice(64, rng.integers(0, 30), replace=False):
             prints[i] ^= np.uint64(1) << np.uint64(b)
-    got = {tuple(x) for x in index.candidates(prints, np.arange(50)).tolist()}
-    want = {(i, k) for i in range(300) for k in range(50) if bin(int(prints[i] ^ index.prints[k])).count("1") <= decontaminate.RADIUS}
+    got = set(zip(*(x.tolist() for x in table.near(prints))))
+    want = {(i, k) for i in range(300) for k in range(50) if bin(int(prints[i] ^ table.prints[k])).count("1") <= decontaminate.RADIUS}
     assert got == want
 
 
+def brute_windows(texts, items, least=0.8):
+    """Each document's items by the definition: weighted similarity with every window, no fingerprints."""
+    import math
+
+    grams = lambda w: Counter(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))) if w else Counter()
+    own = {i: (len(words_of(t)), grams(words_of(t))) for i, t in items.items() if words_of(t)}
+    df = Counter(g for _, c in own.values() for g in c)
+    weight = lambda g: 1 + math.log(len(own) / df.get(g, 1))
+    out = {}
+    for d, t in texts.items():
+        w = words_of(t)
+        for i, (n, c) in own.items():
+            for a in range(max(1, len(w) - n + 1)):
+                x = grams(w[a : a + n])
+                both, either = sum(weight(g) * k for g, k in (c & x).items()), sum(weight(g) * k for g, k in (c | x).items())
+                if either and both / either >= least - 1e-9:
+                    out[d, i] = max(out.get((d, i), 0), round(both / either, 6))
+    return out
+
+
+def crowded_benchmark():
+    import random
+
+    draw = random.Random(4)
+    shared = [" ".join(draw.choices("abcdefgh", k=7)) for _ in range(4)]
+    items = {k: " ".join([*draw.choices(words(300, "q"), k=draw.randrange(4, 25)), *draw.choice(shared).split(), *draw.choices(words(300, "q"), k=draw.randrange(1, 9))]) for k in range(30)}
+    items |= {40: "one two three", 41: items[3], 42: "", 43: None}
+    texts = {}
+    for k in range(60):
+        own = (items[draw.randrange(30)]).split()
+        for _ in range(draw.randrange(4)):
+            own[draw.randrange(len(own))] = "changed"
+        texts[k] = " ".join([*draw.choices(words(300, "r"), k=draw.randrange(30)), *own, *draw.choice(shared).split(), *draw.choices(words(300, "r"), k=draw.randrange(30))])
+    return texts | {60: "one two three", 61: "", 62: None, 63: items[5]}, items
+
+
+@pytest.mark.parametrize("slice_words", [2_000_000, 3000, 170])
+def test_passages_against_all_windows_in_slices(spark, slice_words):
+    """Items share shingles, so weights tell; one slice, two, and one for each item or two give the same."""
+    texts, items = crowded_benchmark()
+    bench = spark.createDataFrame(list(items.items()), "item_id bigint, text string")
+    got = decontaminate.search(docs(spark, [(i, t, "s") for i, t in texts.items()]), bench, slice_words=slice_words).collect()
+    found = {(r["doc_id"], x["item_id"]): x["similarity"] for r in got for x in r["found"]}
+    want = brute_windows(texts, items)
+    assert found.keys() == want.keys() and len(want) > 20
+    assert all(abs(found[k] - want[k]) < 2e-6 for k in want)
+    assert len(got) == len(texts)
+
+
+def test_long_items_and_long_documents():
+    import time
+
+    long = words(30_000, "l")
+    index = decontaminate.Index.of([1, 2], [" ".join(long), " ".join(words(20, "m"))])
+    from tallywalk.llm._words import shingled
+
+    began = time.time()
+    (n, grams), = shingled([" ".join([*words(100_000, "n"), *long[:29_000], *words(50_000, "o"), *words(20, "m")])])
+    assert set(index.search(n, grams, 0.8)) == {0, 1}
+    assert time.time() - began < 20
+
+
+def test_hashed_words_are_those_of_the_pattern():
+    from tallywalk.llm import _words
+
+    texts = ["\u0130stanbul \u0391\u03a3 \u00df\u00bd\u00b2_x \U0001d518\U0001d52b \u65e5\u672c a", "x" * 3_000_000 + " y", None, "", "a b", "\u00e9" * 10, "a_b 1 \ud800 c"]
+    hashes, bounds = _words.hashed_words(texts)
+    every = [w for t in texts for w in words_of(t)]
+    assert bounds.tolist() == [0, *__import__("itertools").accumulate(len(words_of(t)) for t in texts)]
+    assert len(set(hashes.tolist())) == len(set(every)) and len({(h, w) for h, w in zip(hashes.tolist(), every)}) == len(set(every))
+
+
 def test_documents_against_brute_force(spark, sf):
     texts = {r["doc_id"]: r["text"] for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
     items = {r["item_id"]: r["text"] for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()}
@@ -298,14 +371,43 @@ def test_language_word_first_then_pieces(spark):
     assert model.languages == ["de", "en", "fr"]
     got = model.predict(["THE dog", "hunde katzen", "chiennes avec", None, "", "123 !!", "ö" * 100_000, "\u4e2d\u6587"])
     assert [g[0] for g in got[:6]] == ["en", "de", "fr", "und", "und", "und"]
-    assert got[6][0] == "de" and all(0 <= s <= 1 for _, s in got)
-    assert model.score_word("the") == tuple(model.rows[model.words["the"]])
-    assert model.score_word("zzz") != (0.0, 0.0, 0.0) or "z" not in model.grams[1]
+    assert got[6][0] == "de" and all(0 <= s <= 1 for _, s, _ in got)
+    assert got[0][2] == 1 and got[7][2] == 0
+    assert [model.predict([x])[0] for x in ("\u00bd \u00b2", "\u2167 \u2460", "\u0661\u0662 _")] == [("und", 0.0, 0.0)] * 3
     empty = langid.fit(spark.createDataFrame([], SCHEMA))
-    assert empty.predict(["the dog"]) == [("und", 0.0)]
+    assert empty.predict(["the dog"]) == [("und", 0.0, 0.0)]
     assert langid.predict(spark.createDataFrame([], SCHEMA), model).count() == 0
 
 
+def test_language_scores_against_dictionaries(spark):
+    """Words first, then ever shorter pieces, counted and looked up by strings."""
+    import math
+
+    said = {"en": ["the dog and the cat", "a dog, cats AND dogs"], "de": ["der hund und die katze", "hunde \u00f6ffnen \u00fcber"], "fr": ["le chien avec le chat"]}
+    rows = [(i, t, l, None, None) for i, (l, t) in enumerate((l, t) for l, ts in said.items() for t in ts)] + [(90, "not learned", None, None, None), (91, None, "en", None, None)]
+    model = langid.fit(spark.createDataFrame(rows, SCHEMA))
+    letters = lambda t: re.findall(r"[^\W\d_]+", t.lower())
+    pieces = lambda w, n: list(w) if n == 1 else [f"^{w}$"[i : i + n] for i in range(len(w) + 3 - n)]
+    languages = sorted(said)
+    counts = {l: [Counter(w for t in said[l] for w in letters(t)), *(Counter(p for t in said[l] for w in letters(t) for p in pieces(w, n)) for n in range(1, 5))] for l in languages}
+    value = lambda l, k, x: math.log(counts[l][k].get(x, 0.5)) - math.log(sum(counts[l][k].values()) + 1)
+
+    def score(word):
+        if any(word in counts[l][0] for l in languages):
+            return [value(l, 0, word) for l in languages]
+        for n in range(4, 0, -1):
+            known = [p for p in pieces(word, n) if any(p in counts[l][n] for l in languages)]
+            if known:
+                return [sum(value(l, n, p) for p in known) / len(known) + (5 - n) * math.log(0.4) for l in languages]
+        return [0.0] * 3
+
+    for text in ["the hund", "doggy und katzen le chiens", "x", "q\u00fcz zzz", "Dogs dogs dogs hunde", "\u4e2d\u6587 dog", "the", "dog " * 5000 + "chat"]:
+        means = [sum(c) / len(letters(text)) for c in zip(*map(score, letters(text)))]
+        best = max(range(3), key=means.__getitem__)
+        lang, share, _ = model.predict([text])[0]
+        assert lang == languages[best] and abs(share - 1 / sum(math.exp(m - means[best]) for m in means)) < 1e-4
+
+
 def test_held_out_accuracy(spark):
     d = "/root/testdata/sf0.01"
     got = queries.op6_language_id(spark, d).join(spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "lang"), "doc_id").where("held_out")
@@ -443,3 +545,106 @@ def test_all_visible_words_of_the_pages_survive(spark, sf):
 
         want, got = Counter(unescape(body).split()), Counter(r["text"].split())
         assert not {w for w in want - got if w.isalpha()}
+
+
+# ---- hostile texts, names that clash, repeated rows
+
+
+@pytest.mark.parametrize("text", ["eyJaaaaaaaa" * 90_000, "eyJaaaaaaaa." * 90_000, "0123456789abcdef01234567 " * 40_000, "-----BEGIN PRIVATE KEY-----\n" * 30_000, ("Ab1" * 9 + "=== ") * 30_000], ids=["jwt", "dots", "hex", "keys", "equals"])
+def test_secrets_in_a_megabyte_take_seconds(text):
+    import time
+
+    began = time.time()
+    secrets._scan([text])
+    assert time.time() - began < 5
+
+
+HOSTILE = {
+    "open tags": "<a " * 300_000,
+    "open quotes": "<a b='" * 150_000,
+    "signs": "<" * 300_000,
+    "nesting": "<b>" * 100_000 + "<p>x</p>" * 10_000,
+    "long cell": "<table>" + "<tr><td>a<td>b" * 20_000 + "<tr><td>" + "x" * 50_000 + "<td>z</table>",
+    "tables in tables": "<table><tr><td>x" * 20_000,
+    "scripts": "<script>" + "</script" * 100_000,
+    "rowspans": "<table>" + "".join(f"<tr><td rowspan={i % 977 + 2}>a" for i in range(10_000)),
+    "colspans": "<table>" + "<tr><td colspan=99>a" * 10_000,
+    "long lists": "<ul><li>x" * 20_000,
+}
+
+
+@pytest.mark.parametrize("name", HOSTILE)
+def test_hostile_pages_take_seconds_and_stay_small(name):
+    import time
+
+    began = time.time()
+    text = html.text_of(HOSTILE[name])
+    assert time.time() - began < 10 and len(text) <= 12 * len(HOSTILE[name])
+
+
+@pytest.mark.parametrize(
+    ("page", "text"),
+    [
+        ("<script src=/a.js/>alert(1)</script>x<div hidden/>secret</div>y", "xy"),
+        ('<a title="q">text</a> 3 < 4 & a', "text 3 < 4 & a"),
+        ("<table><tr><td colspan=2>wide<td>z<tr><td>a<td>b<td>c</table>", "wide  | z\na | b | c"),
+        ("<table><tr><td rowspan=2>tall<td>1<tr><td>3<tr><td>5<td>6</table>", "tall | 1\n     | 3\n5    | 6"),
+        ("<svg><path d=x/><text>label</text></svg>after", "label\nafter"),
+        ("a<!-- > -->b<!doctype x>c<![CDATA[d]]>e", "abce"),
+        ("<p title='a>b'>in", "in"),
+        ("<textarea>\n&lt;b> x</textarea>", "<b> x"),
+    ],
+)
+def test_tags_as_browsers_read_them(page, text):
+    assert html.text_of(page) == text
+
+
+def test_results_replace_columns_of_their_names(spark):
+    rows = spark.createDataFrame([(1, "the dog the dog the dog", "x", "y", 5), (1, "the dog the dog the dog", "x", "y", 5)], "doc_id bigint, text string, language string, found string, n_links int")
+    model = langid.fit(spark.createDataFrame([(1, "the dog", "en", "s", 1)], SCHEMA))
+    got = langid.predict(rows, model).collect()
+    assert [r["language"]["lang_pred"] for r in got] == ["en", "en"]
+    bench = spark.createDataFrame([(7, "the dog the dog the dog")], "item_id bigint, text string")
+    got = decontaminate.search(rows, bench).collect()
+    assert got[0] == got[1] and [x["item_id"] for x in got[0]["found"]] == [7]
+    assert len(decontaminate.search(rows, bench, slice_words=1).collect()) == 2
+    pages = spark.createDataFrame([("<p>a", "old"), ("<p>a", "old")], "html string, text string")
+    assert [r["text"] for r in html.extract(pages).collect()] == ["a", "a"]
+    kept = rows.select(F.col("doc_id").alias("key"), "text", F.lit(1).alias("n"), F.lit(2).alias("rep"), F.lit(3).alias("print"), F.lit(4).alias("first"), "n_links", F.lit(6).alias("__x"))
+    got = jaccard.labelled(kept).collect()
+    assert [(r["n"], r["rep"], r["print"], r["n_links"]) for r in got] == [(1, 2, 3, 1)] * 2 and sorted(r["first"] for r in got) == [False, True]
+
+
+def test_crowded_buckets_lose_no_link(spark):
+    """Groups of hundreds of sets around the threshold, so that buckets of the first levels are crowded and hubs decide."""
+    import random
+
+    draw = random.Random(8)
+    base = [f"b{i}" for i in range(120)]
+    texts = {}
+    for i in range(400):
+        w = list(base)
+        for k in draw.sample(range(120), draw.choice([0, 1, 2, 3, 5])):
+            w[k] = f"x{i}-{k}"
+        texts[i] = " ".join(w)
+    got = {r["doc_id"]: r["n_links"] for r in jaccard.join(docs(spark, [(i, t, "s") for i, t in texts.items()])).collect()}
+    want = {i: len(x) for i, x in brute_links(texts).items()}
+    assert sum(got.values()) >= 0.999 * sum(want.values()) > 1000
+    assert all(got[i] <= want[i] for i in want)
+
+
+def test_no_shared_folder_off_local_mode(monkeypatch):
+    from tallywalk.llm import _frame
+
+    class Conf:
+        get = staticmethod(lambda *a: None)
+
+    class Session:
+        conf = Conf
+
+        class sparkContext:
+            master = "spark://somewhere"
+            getConf = staticmethod(lambda: Conf)
+
+    with pytest.raises(RuntimeError):
+        _frame.shared_folder(Session)
