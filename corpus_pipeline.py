@@ -6,20 +6,25 @@ digests. run() applies them to the table documents, each on the written result o
 
 from __future__ import annotations
 
+from functools import partial
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallywalk.llm import bpe, decontaminate, jaccard, langid, secrets
-from tallywalk.llm._frame import may_hold, with_row_key, written
+from tallywalk.llm._frame import may_hold, with_row_key, written, written_alone
 from tallywalk.llm.queries import vocabulary
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents in which no language is found go. The model learns from the documents that name their language."""
+    """Documents without a letter go, and those in whose words the model knows nothing, not even a letter. It learns from the documents that name their language; if none does,
+    all documents stay."""
     model = langid.fit(docs)
-    return langid.predict(docs, model).where(F.col("language.lang_pred") != "und").select(*COLUMNS)
+    if not model.languages:
+        return docs.select(*COLUMNS)
+    return langid.predict(docs, model, out="__language").where((F.col("__language.lang_pred") != "und") & (F.col("__language.evidence") > 0)).select(*COLUMNS)
 
 
 def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -33,8 +38,8 @@ def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a passage like a benchmark item go."""
-    found = decontaminate.search(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
-    return found.where(F.size("found") == 0).select(*COLUMNS)
+    found = decontaminate.search(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), out="__found")
+    return found.where(F.size("__found") == 0).select(*COLUMNS)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -68,5 +73,5 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select(*COLUMNS)
     for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), f"stage-{name}")
+        docs = written_alone(partial(stage, spark, docs, sf_dir), f"stage-{name}")
     return STAGES[-1][1](spark, docs, sf_dir)
