@@ -133,6 +133,13 @@ def give_back() -> None:
         ctypes.CDLL(None).malloc_trim(0)
 
 
+def trim_executors(spark: SparkSession) -> None:
+    """Asks the JVM of each executor once to collect its garbage and give free heap back to the system: for between stages, when Python workers are to share the machine's memory with a JVM
+    whose heap an earlier stage has stretched. One short task for each executor; where two of them meet on one, another keeps its heap, and only memory is lost."""
+    n = max(1, spark._jsc.sc().getExecutorMemoryStatus().size() - 1)
+    spark.range(0, n, 1, n).select(F.expr("java_method('java.lang.System', 'gc')").alias("done")).write.format("noop").mode("overwrite").save()
+
+
 _alone: list = []
 
 
