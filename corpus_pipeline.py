@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tallywalk.llm import bpe, decontaminate, jaccard, langid, secrets
-from tallywalk.llm._frame import may_hold, with_row_key, written, written_alone
+from tallywalk.llm._frame import may_hold, trim_executors, with_row_key, written, written_alone
 from tallywalk.llm.queries import vocabulary
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -29,6 +29,7 @@ def known_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The first document of each class of near copies stays."""
+    trim_executors(spark)
     kept = written(with_row_key(docs, "__id"), "rows")
     others = written(jaccard.labelled(kept.select(F.col("__id").alias("key"), "text")).where(~F.col("first")).select(F.col("key").alias("__id")), "others")
     told = kept.withColumn("__maybe", may_hold(others, "__id")(F.col("__id")))
@@ -38,12 +39,14 @@ def one_of_each_class(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 def without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents with a passage like a benchmark item go."""
+    trim_executors(spark)
     found = decontaminate.search(docs, spark.read.parquet(f"{sf_dir}/benchmark.parquet"), out="__found")
     return found.where(F.size("__found") == 0).select(*COLUMNS)
 
 
 def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Live secrets are replaced by a mark; examples that many owners copied stay."""
+    trim_executors(spark)
     kept = written(with_row_key(docs, "__id"), "rows")
     spans = written(secrets.scan(kept, ["__id"]).where(F.exists("spans", lambda s: s["verdict"] == "live")).select("__id", "spans"), "spans")
     told = kept.withColumn("__maybe", may_hold(spans, "__id")(F.col("__id")))
@@ -55,6 +58,7 @@ def without_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 def token_ids(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Number of tokens and digests of the ids and of the decoded text."""
+    trim_executors(spark)
     return bpe.digest(docs, vocabulary(), ["doc_id", "source"])
 
 
