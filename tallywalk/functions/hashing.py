@@ -11,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 HASH_BITS = 52
+LOW_BITS = 24  # their remainder by a few thousand is even to a part in thousands
 HASHES = ("portable", "fast")
 
 
@@ -44,12 +45,12 @@ def bit_length(w: Column) -> Column:
 
 
 def bucket_and_rank(h: Column, m: int) -> tuple[Column, Column]:
-    """The register of a hash, and 1 + the leading zeros of the bits that are left. Any m: powers of two take leading bits, others a remainder."""
+    """The register of a hash, and 1 + the leading zeros of other bits. Powers of two take leading bits and the rest; any other m a remainder of the LOW_BITS lowest bits, and the bits above."""
     if m & (m - 1) == 0:
         rest = HASH_BITS - (m.bit_length() - 1)
         return F.shiftright(h, rest).cast("int"), (rest + 1 - bit_length(h.bitwiseAND(F.lit((1 << rest) - 1)))).cast("tinyint")
-    rest = HASH_BITS - m.bit_length()
-    return F.pmod(h, F.lit(m)).cast("int"), (rest + 1 - bit_length(F.floor(h / m).bitwiseAND(F.lit((1 << rest) - 1)))).cast("tinyint")
+    low = h.bitwiseAND(F.lit((1 << LOW_BITS) - 1))
+    return F.pmod(low, F.lit(m)).cast("int"), (HASH_BITS - LOW_BITS + 1 - bit_length(F.shiftright(h, LOW_BITS))).cast("tinyint")
 
 
 def draw(h: Column) -> Column:

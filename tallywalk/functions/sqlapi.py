@@ -17,16 +17,17 @@ import xxhash
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from tallywalk.functions.hashing import HASH_BITS, LOW_BITS
 from tallywalk.functions.registers import estimate_registers
 
-HASH_BITS = 52
-
 
 def register_of(text: str, m: int) -> tuple[int, int]:
-    """Bucket and rank of an item, as the plans have them, from a 64-bit hash of its own."""
+    """Bucket and rank of an item by the rules of the plans, any m, from a 64-bit hash with a seed of its own: these registers can't be merged with those of the plans."""
     h = xxhash.xxh64_intdigest("c|" + text) >> 12
-    rest = HASH_BITS - (m.bit_length() - 1)
-    return h >> rest, rest + 1 - (h & ((1 << rest) - 1)).bit_length()
+    if m & (m - 1) == 0:
+        rest = HASH_BITS - (m.bit_length() - 1)
+        return h >> rest, rest + 1 - (h & ((1 << rest) - 1)).bit_length()
+    return (h & ((1 << LOW_BITS) - 1)) % m, HASH_BITS - LOW_BITS + 1 - (h >> LOW_BITS).bit_length()
 
 
 def draw_of(text: str) -> float:

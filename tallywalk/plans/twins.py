@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from tallywalk.functions.hashing import HASH_BITS
+from tallywalk.functions.hashing import HASH_BITS, LOW_BITS
 from tallywalk.functions.registers import SERIES, alpha
 
 LINES = "SELECT CAST(l_suppkey AS VARCHAR) AS label_key, CAST(l_partkey AS VARCHAR) AS item_key FROM lineitem"
@@ -44,15 +44,14 @@ def bits(w: str) -> str:
 
 def bucket(hash_: str, m: int) -> str:
     rest = HASH_BITS - (m.bit_length() - 1)
-    return f"({hash_} >> {rest})" if m & (m - 1) == 0 else f"({hash_} % {m})"
+    return f"({hash_} >> {rest})" if m & (m - 1) == 0 else f"(({hash_} & {(1 << LOW_BITS) - 1}) % {m})"
 
 
 def rank(hash_: str, m: int) -> str:
     if m & (m - 1) == 0:
         rest = HASH_BITS - (m.bit_length() - 1)
         return f"({rest + 1} - {bits(f'({hash_} & {(1 << rest) - 1})')})"
-    rest = HASH_BITS - m.bit_length()
-    return f"({rest + 1} - {bits(f'(({hash_} // {m}) & {(1 << rest) - 1})')})"
+    return f"({HASH_BITS - LOW_BITS + 1} - {bits(f'({hash_} >> {LOW_BITS})')})"
 
 
 PAIR = "(label_key || chr(1) || item_key)"
@@ -138,32 +137,37 @@ def shared_estimates(regs: str, labels: str, depth: int, width: int, step: float
     return f"SELECT label_key, n AS estimate FROM ({scored}) QUALIFY row_number() OVER (PARTITION BY label_key ORDER BY score DESC, n) = 1"
 
 
-def prefix(low: int = 0, high: int = 400) -> str:
-    """A stream's beginning in its order, numbered from 1, with draws."""
-    return f"""SELECT row_number() OVER (ORDER BY l_orderkey, l_linenumber, l_suppkey, l_partkey) AS n, CAST(l_suppkey AS VARCHAR) AS label, CAST(l_partkey AS VARCHAR) AS item,
-        {draw('CAST(l_partkey AS VARCHAR)')} AS draw FROM lineitem WHERE l_orderkey >= {low} AND l_orderkey < {high}"""
+def stream(part: int = 0, parts: int = 1) -> str:
+    """All lines, or those of one of so many equal ranges of order keys, numbered in the stream's order, with draws."""
+    low, high = ("(SELECT min(l_orderkey) FROM lineitem)", "(SELECT max(l_orderkey) FROM lineitem)")
+    which = "" if parts == 1 else f"AND coalesce(floor((l_orderkey - {low}) * {float(parts)} / ({high} - {low} + 1)), 0) = {part}"
+    return f"""SELECT row_number() OVER (ORDER BY l_orderkey NULLS FIRST, l_linenumber NULLS FIRST, l_suppkey, l_partkey) AS n, l_suppkey AS label, l_partkey AS item,
+        {draw('CAST(l_partkey AS VARCHAR)')} AS draw FROM lineitem WHERE l_suppkey IS NOT NULL AND l_partkey IS NOT NULL {which}"""
 
 
-def walk(name: str, stream: str, kind: str, s: int) -> str:
-    """CTEs that walk a short stream entry by entry with exact counters; `name` has slot, label_key, offset, items, estimate."""
-    gate = "draw > least" if kind.startswith("gated") else "true"
+def walk(name: str, rows: str, kind: str, s: int) -> str:
+    """CTEs that walk a stream with exact counters, as a fold over its list of entries; `name` has slot, label_key, offset, items, estimate. The state: labels, items and offsets of the slots, and
+    their values."""
+    has, place, low, least = "list_contains", "coalesce(list_position(c.labels, x.label), 0)", "list_position(c.vals, list_min(c.vals))", "list_min(c.vals)"
     put = lambda list_, at, x: f"({list_}[1:{at} - 1] || [{x}] || {list_}[{at} + 1:])"
-    taken = "[item]" if kind == "offset" else "list_distinct(list_append(items[low], item))"
-    off = put("offs", "low", "least") if kind == "offset" else "offs"
-    return f"""{name}_in AS MATERIALIZED ({stream}),
-    {name}_walk AS (
-        SELECT CAST(0 AS BIGINT) AS n, CAST([] AS VARCHAR[]) AS labels, CAST([] AS VARCHAR[][]) AS items, CAST([] AS DOUBLE[]) AS offs
-        UNION ALL
-        SELECT n, CASE WHEN pos > 0 THEN labels WHEN room THEN list_append(labels, label) WHEN {gate} THEN {put('labels', 'low', 'label')} ELSE labels END,
-            CASE WHEN pos > 0 THEN {put('items', 'pos', 'list_distinct(list_append(items[pos], item))')} WHEN room THEN list_append(items, [item]) WHEN {gate} THEN {put('items', 'low', taken)} ELSE items END,
-            CASE WHEN pos > 0 THEN offs WHEN room THEN list_append(offs, CAST(0 AS DOUBLE)) WHEN {gate} THEN {off} ELSE offs END
-        FROM (
-            SELECT *, coalesce(list_position(vals, list_min(vals)), 0) AS low, list_min(vals) AS least FROM (
-                SELECT i.n, i.label, i.item, i.draw, labels, items, offs, coalesce(list_position(labels, i.label), 0) AS pos, len(labels) < {s} AS room,
-                    list_transform(range(1, len(labels) + 1), lambda j: len(items[j]) + offs[j]) AS vals
-                FROM {name}_walk w JOIN {name}_in i ON i.n = w.n + 1))),
-    {name}_end AS (SELECT * FROM {name}_walk ORDER BY n DESC LIMIT 1),
-    {name} AS (SELECT j - 1 AS slot, labels[j] AS label_key, offs[j] AS "offset", items[j] AS items, CAST(len(items[j]) + offs[j] AS DOUBLE) AS estimate FROM (SELECT *, unnest(range(1, len(labels) + 1)) AS j FROM {name}_end))"""
+    grown = lambda at, list_, x: f"CASE WHEN {has}(c.items[{at}], x.item) THEN c.{list_} ELSE {put(f'c.{list_}', at, x)} END"
+    items = lambda at: grown(at, "items", f"list_append(c.items[{at}], x.item)")
+    values = lambda at: grown(at, "vals", f"c.vals[{at}] + 1")
+    anew = kind == "offset"
+    gate = f"x.draw > {least}" if kind.startswith("gated") else "true"
+    step = lambda list_, hit, fill, taken: f"'{list_}': CASE WHEN {place} > 0 THEN {hit} WHEN len(c.labels) < {s} THEN list_append(c.{list_}, {fill}) WHEN {gate} THEN {taken} ELSE c.{list_} END"
+    state = ", ".join(
+        (
+            step("labels", "c.labels", "x.label", put("c.labels", low, "x.label")),
+            step("items", items(place), "[x.item]", put("c.items", low, "[x.item]") if anew else items(low)),
+            step("offs", "c.offs", "CAST(0 AS DOUBLE)", put("c.offs", low, least) if anew else "c.offs"),
+            step("vals", values(place), "CAST(1 AS DOUBLE)", put("c.vals", low, f"{least} + 1") if anew else values(low)),
+        )
+    )
+    empty = "{'labels': CAST([] AS BIGINT[]), 'items': CAST([] AS BIGINT[][]), 'offs': CAST([] AS DOUBLE[]), 'vals': CAST([] AS DOUBLE[])}"
+    return f"""{name}_in AS MATERIALIZED ({rows}),
+    {name}_end AS MATERIALIZED (SELECT list_reduce(list({{'label': label, 'item': item, 'draw': draw}} ORDER BY n), lambda c, x: {{{state}}}, {empty}) AS w FROM {name}_in),
+    {name} AS (SELECT j - 1 AS slot, CAST(w.labels[j] AS VARCHAR) AS label_key, w.offs[j] AS "offset", w.items[j] AS items, w.vals[j] AS estimate FROM (SELECT w, unnest(range(1, len(w.labels) + 1)) AS j FROM {name}_end))"""
 
 
 def union_of(names: list[str], s: int) -> str:
