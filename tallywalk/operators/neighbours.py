@@ -9,16 +9,22 @@ from tallywalk.functions.hashing import draw, hash52
 from tallywalk.operators.sketches import Sketches
 
 
-def pre_gate(pairs: DataFrame, sketch: Sketches) -> DataFrame:
-    """The pairs that a sketch, taken further, could use: those of its members, and those whose draw beats its threshold. A JVM filter, so that the rest never reaches
-    Python. Safe for that sketch, whose floor only grows; for another stream an approximation."""
+def pre_gate(pairs: DataFrame, sketch: Sketches, whole_labels: bool = True) -> DataFrame:
+    """The pairs that a sketch, taken further, could use. A JVM filter, so that the rest never reaches Python.
+
+    whole_labels: all pairs of its members, and of labels with any pair whose draw beats its threshold; the others can never be let in, so the walk ends as if it had seen all
+    (one shuffle by label). Otherwise only the members' pairs and those that beat the threshold themselves: no shuffle, but what a label let in later had before its own draws is lost. For another stream
+    than the sketch's either is an approximation."""
     hash, gate_on, seed = sketch.hash_id.split(":")
     gate = F.col("item_key") if gate_on == "item" else F.concat_ws("\1", "label_key", "item_key")
     # at most s labels, and one number
     members = sketch.counters.select("label_key").distinct().withColumn("member", F.lit(True))
     floor = sketch.meta.agg(F.min("threshold").alias("threshold"))
     told = pairs.join(F.broadcast(members), "label_key", "left").join(F.broadcast(floor))
-    return told.where(F.col("member") | (draw(hash52(gate, "g", hash, int(seed))) > F.col("threshold"))).select(*pairs.columns)
+    passed = told.where(F.col("member") | (draw(hash52(gate, "g", hash, int(seed))) > F.col("threshold")))
+    if whole_labels:
+        return pairs.join(passed.select("label_key").distinct(), "label_key", "left_semi").select(*pairs.columns)
+    return passed.select(*pairs.columns)
 
 
 def theta_overlap(pairs: DataFrame, labels: DataFrame) -> DataFrame:

@@ -16,6 +16,7 @@ The floor never falls, so a floor that is out of date only lets through entries
 
 from __future__ import annotations
 
+import heapq
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -73,16 +74,20 @@ class CounterTable:
         n = len(self.labels)
         touched = np.flatnonzero(self.dirty[:n])
         if len(touched):
+            before = self.values[touched]
             if self.registers is not None:
                 self.values[touched] = estimate_arrays(self.registers[touched], self.estimator) + self.offsets[touched]
             else:
                 self.values[touched] = [len(self.items[i]) for i in touched.tolist()] + self.offsets[touched]
             self.dirty[touched] = False
             if self.min_search == "heap":
-                import heapq
-
-                for i in touched.tolist():
-                    heapq.heappush(self.heap, (float(self.values[i]), i))
+                changed = touched[(self.values[touched] != before) | (before == 0)]
+                if len(self.heap) + len(changed) > 2 * max(n, 32):  # mostly outdated entries: begin anew
+                    self.heap = [(float(v), i) for i, v in enumerate(self.values[:n])]
+                    heapq.heapify(self.heap)
+                else:
+                    for i in changed.tolist():
+                        heapq.heappush(self.heap, (float(self.values[i]), i))
         return self.values[:n]
 
     def smallest(self) -> int:
@@ -91,8 +96,6 @@ class CounterTable:
         values = self.refresh()
         if self.min_search == "argmin":
             return int(values.argmin())
-        import heapq
-
         while self.heap[0][0] != values[self.heap[0][1]]:  # an outdated entry
             heapq.heappop(self.heap)
         return self.heap[0][1]
@@ -222,8 +225,6 @@ class EntryTable:
         self.heap: list[list] = []
 
     def consume(self, labels: list[str]) -> None:
-        import heapq
-
         for x in labels:
             cell = self.counts.get(x)
             if cell:

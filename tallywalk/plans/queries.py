@@ -136,41 +136,62 @@ def gate_pass_rates(spark: SparkSession, d: str) -> DataFrame:
     return rows.select("a", F.round(gate_pass_probability(F.col("a")), 6).alias("expected"), *r6("observed"))
 
 
-# ---- walks on a stream's beginning, exact counters
+# ---- walks and merges over all of lineitem, exact counters
 
 S = 8
 
 
-def prefix(spark: SparkSession, d: str, low: int = 0, high: int = 400) -> DataFrame:
-    rows = table(spark, d, "lineitem").where((F.col("l_orderkey") >= low) & (F.col("l_orderkey") < high))
-    return pairs(rows, "l_suppkey", "l_partkey", order_by=LINE_ORDER)
+def lines(spark: SparkSession, d: str, parts: int = 1) -> DataFrame:
+    """All lines in the stream's order; source: which of so many equal ranges of order keys a line is in (lines without a key are in the first)."""
+    rows = table(spark, d, "lineitem")
+    low, high = rows.agg(F.min("l_orderkey"), F.max("l_orderkey")).first() if parts > 1 else (None, None)
+    part = F.lit(0) if low is None else F.coalesce(F.floor((F.col("l_orderkey") - low) * parts / (high - low + 1)), F.lit(0))
+    return pairs(rows, "l_suppkey", "l_partkey", order_by=LINE_ORDER, source=part)
+
+
+def walked(p: DataFrame, kind: str, streams: str | int = 1) -> Sketches:
+    return build_sketch(p, kind=kind, s=S, counter="exact", streams=streams, hash="portable")
+
+
+def in_ranges(spark: SparkSession, d: str, kind: str, parts: int) -> Sketches:
+    return walked(lines(spark, d, parts), kind, "by_source")
+
+
+def merged_pair(spark: SparkSession, d: str, kind: str) -> DataFrame:
+    p = lines(spark, d, 2)
+    return merge_pair(*(walked(p.where(F.col("source") == i), kind) for i in ("0", "1"))).counters
 
 
-def walked(spark: SparkSession, d: str, kind: str, low: int = 0, high: int = 400) -> Sketches:
-    return build_sketch(prefix(spark, d, low, high), kind=kind, s=S, counter="exact", streams=1, hash="portable")
+def walks_sql(kind: str, parts: int = 1) -> str:
+    """CTEs a, b and so on, one for each range of order keys."""
+    return "WITH " + ", ".join(twins.walk(n, twins.stream(i, parts), kind, S) for i, n in enumerate("abce"[:parts]))
 
 
 SLOTS = 'SELECT CAST(slot AS INTEGER) AS slot, label_key, CAST("offset" AS DOUBLE) AS "offset", estimate'
+SLOT = "SELECT CAST(slot AS INTEGER) AS slot, label_key, estimate"
 for _kind in WALKS:
-    query(f"walk_{_kind}", f"WITH RECURSIVE {twins.walk('a', twins.prefix(), _kind, S)} {SLOTS} FROM a")(lambda spark, d, kind=_kind: walked(spark, d, kind).counters.select("slot", "label_key", "offset", "estimate"))
-    query(f"walk_{_kind}_point_query", f"WITH RECURSIVE {twins.walk('a', twins.prefix(), _kind, S)} SELECT label_key, a.estimate IS NOT NULL AS member, coalesce(a.estimate, (SELECT min(estimate) FROM a)) AS estimate FROM (SELECT DISTINCT label AS label_key FROM a_in) LEFT JOIN a USING (label_key)")(
-        lambda spark, d, kind=_kind: estimate(walked(spark, d, kind), prefix(spark, d).select("label_key").distinct())
+    query(f"walk_{_kind}", f"{walks_sql(_kind)} {SLOTS} FROM a")(lambda spark, d, kind=_kind: walked(lines(spark, d), kind).counters.select("slot", "label_key", "offset", "estimate"))
+    query(f"walk_{_kind}_point_query", f"{walks_sql(_kind)} SELECT label_key, a.estimate IS NOT NULL AS member, coalesce(a.estimate, (SELECT min(estimate) FROM a)) AS estimate FROM (SELECT DISTINCT CAST(label AS VARCHAR) AS label_key FROM a_in) LEFT JOIN a USING (label_key)")(
+        lambda spark, d, kind=_kind: estimate(walked(lines(spark, d), kind), lines(spark, d).select("label_key").distinct())
     )
 
 
-@query("walk_gated_top_3", f"WITH RECURSIVE {twins.walk('a', twins.prefix(), 'gated', S)} SELECT label_key, estimate, CAST(row_number() OVER (ORDER BY estimate DESC, label_key) AS INTEGER) AS rank FROM a QUALIFY rank <= 3")
+@query("walk_gated_top_3", f"{walks_sql('gated')} SELECT label_key, estimate, CAST(row_number() OVER (ORDER BY estimate DESC, label_key) AS INTEGER) AS rank FROM a QUALIFY rank <= 3")
 def walk_gated_top_3(spark: SparkSession, d: str) -> DataFrame:
-    return top_k(walked(spark, d, "gated"), 3)
+    return top_k(walked(lines(spark, d), "gated"), 3)
 
 
-@query("walk_gated_over_threshold", f"WITH RECURSIVE {twins.walk('a', twins.prefix(), 'gated', S)} SELECT label_key, estimate FROM a WHERE estimate >= 30")
+@query("walk_gated_over_threshold", f"{walks_sql('gated')} SELECT label_key, estimate FROM a WHERE estimate >= 30")
 def walk_gated_over_threshold(spark: SparkSession, d: str) -> DataFrame:
-    return over(walked(spark, d, "gated"), threshold=30).select("label_key", "estimate")
+    return over(walked(lines(spark, d), "gated"), threshold=30).select("label_key", "estimate")
 
 
-@query("walk_offset_over_fraction", f"WITH RECURSIVE {twins.walk('a', twins.prefix(), 'offset', S)} SELECT label_key, estimate FROM a WHERE estimate >= (SELECT count(*) FROM a_in) * 0.125")
+@query("walk_offset_over_fraction", f"{walks_sql('offset')} SELECT label_key, estimate, estimate >= (SELECT count(*) FROM a_in) * 0.125 AS reported FROM a")
 def walk_offset_over_fraction(spark: SparkSession, d: str) -> DataFrame:
-    return over(walked(spark, d, "offset"), fraction=0.125).select("label_key", "estimate")
+    """Every member, and whether it is over the fraction."""
+    sk = walked(lines(spark, d), "offset")
+    told = over(sk, fraction=0.125).select("label_key", F.lit(True).alias("reported"))
+    return sk.counters.select("label_key", "estimate").join(told, "label_key", "left").select("label_key", "estimate", F.coalesce("reported", F.lit(False)).alias("reported"))
 
 
 for _load in ("word_docs", "customer_parts"):
@@ -182,86 +203,26 @@ for _load in ("word_docs", "customer_parts"):
         return a.exceptAll(b).unionByName(b.exceptAll(a)).agg(F.count(F.lit(1)).alias("differences"))
 
 
-_two = ", ".join(twins.walk(n, twins.prefix(lo, hi), "gated", S) for n, lo, hi in (("a", 0, 200), ("b", 200, 400)))
-_four = ", ".join(twins.walk(n, twins.prefix(lo, lo + 100), "gated", S) for n, lo in (("a", 0), ("b", 100), ("c", 200), ("e", 300)))
-
-
-@query("merge_pair_gated", f"WITH RECURSIVE {_two} SELECT CAST(slot AS INTEGER) AS slot, label_key, estimate FROM ({twins.union_of(['a', 'b'], S)})")
-def merge_pair_gated(spark: SparkSession, d: str) -> DataFrame:
-    return merge_pair(walked(spark, d, "gated", 0, 200), walked(spark, d, "gated", 200, 400)).counters.select("slot", "label_key", "estimate")
-
-
-def quarters(spark: SparkSession, d: str, kind: str) -> Sketches:
-    rows = table(spark, d, "lineitem").where("l_orderkey < 400")
-    p = pairs(rows, "l_suppkey", "l_partkey", order_by=LINE_ORDER, source=F.floor(F.col("l_orderkey") / 100))
-    return build_sketch(p, kind=kind, s=S, counter="exact", streams="by_source", hash="portable")
-
-
-@query("merge_flat", f"WITH RECURSIVE {_four} SELECT CAST(slot AS INTEGER) AS slot, label_key, estimate FROM ({twins.union_of(['a', 'b', 'c', 'e'], S)})")
-def merge_flat(spark: SparkSession, d: str) -> DataFrame:
-    return merge_sketches(quarters(spark, d, "gated")).counters.select("slot", "label_key", "estimate")
-
-
-@query("merge_tree", f"WITH RECURSIVE {_four}, ab AS ({twins.union_of(['a', 'b'], S)}), ce AS ({twins.union_of(['c', 'e'], S)}) SELECT CAST(slot AS INTEGER) AS slot, label_key, estimate FROM ({twins.union_of(['ab', 'ce'], S)})")
-def merge_tree(spark: SparkSession, d: str) -> DataFrame:
-    return merge_sketches(quarters(spark, d, "gated"), mode="tree", fan_in=2).counters.select("slot", "label_key", "estimate")
-
-
-@query("merge_offset", f"WITH RECURSIVE {_two.replace('draw > least', 'true')} SELECT 1 WHERE false")
-def merge_offset(spark: SparkSession, d: str) -> DataFrame:
-    return merge_pair(walked(spark, d, "offset", 0, 200), walked(spark, d, "offset", 200, 400)).counters.select("slot", "label_key", "offset", "estimate")
-
-
-_two_off = ", ".join(twins.walk(n, twins.prefix(lo, hi), "offset", S) for n, lo, hi in (("a", 0, 200), ("b", 200, 400)))
-ORACLES["merge_offset"] = f"WITH RECURSIVE {_two_off} {SLOTS} FROM ({twins.union_of(['a', 'b'], S)})"
-
-# ---- the same walks and merges over the whole of lineitem; tests/test_whole_walks.py holds their twins, recursive SQL on a short table
-
-
-def whole(spark: SparkSession, d: str, parts: int = 1) -> DataFrame:
-    """All lines in the stream's order; source: which of so many equal ranges of order keys a line is in (lines without a key are in the first)."""
-    rows = table(spark, d, "lineitem")
-    low, high = rows.agg(F.min("l_orderkey"), F.max("l_orderkey")).first() if parts > 1 else (None, None)
-    part = F.lit(0) if low is None else F.coalesce(F.floor((F.col("l_orderkey") - low) * parts / (high - low + 1)), F.lit(0))
-    return pairs(rows, "l_suppkey", "l_partkey", order_by=LINE_ORDER, source=part)
-
-
-def whole_walked(p: DataFrame, kind: str, streams: str | int = 1) -> Sketches:
-    return build_sketch(p, kind=kind, s=S, counter="exact", streams=streams, hash="portable")
-
-
-def whole_pair(spark: SparkSession, d: str, kind: str) -> DataFrame:
-    p = whole(spark, d, 2)
-    return merge_pair(*(whole_walked(p.where(F.col("source") == i), kind) for i in ("0", "1"))).counters
-
-
-for _kind in WALKS:
-    query(f"whole_walk_{_kind}")(lambda spark, d, kind=_kind: whole_walked(whole(spark, d), kind).counters.select("slot", "label_key", "offset", "estimate"))
-    query(f"whole_walk_{_kind}_point_query")(lambda spark, d, kind=_kind: estimate(whole_walked(whole(spark, d), kind), whole(spark, d).select("label_key").distinct()))
-
-
-@query("whole_walk_gated_top_3")
-def whole_walk_gated_top_3(spark: SparkSession, d: str) -> DataFrame:
-    return top_k(whole_walked(whole(spark, d), "gated"), 3)
-
+query("merge_pair_gated", f"{walks_sql('gated', 2)} {SLOT} FROM ({twins.union_of(['a', 'b'], S)})")(lambda spark, d: merged_pair(spark, d, "gated").select("slot", "label_key", "estimate"))
+query("merge_offset", f"{walks_sql('offset', 2)} {SLOTS} FROM ({twins.union_of(['a', 'b'], S)})")(lambda spark, d: merged_pair(spark, d, "offset").select("slot", "label_key", "offset", "estimate"))
+query("merge_flat", f"{walks_sql('gated', 4)} {SLOT} FROM ({twins.union_of(['a', 'b', 'c', 'e'], S)})")(lambda spark, d: merge_sketches(in_ranges(spark, d, "gated", 4)).counters.select("slot", "label_key", "estimate"))
+query("merge_tree", f"{walks_sql('gated', 4)}, ab AS ({twins.union_of(['a', 'b'], S)}), ce AS ({twins.union_of(['c', 'e'], S)}) {SLOT} FROM ({twins.union_of(['ab', 'ce'], S)})")(
+    lambda spark, d: merge_sketches(in_ranges(spark, d, "gated", 4), mode="tree", fan_in=2).counters.select("slot", "label_key", "estimate")
+)
 
-@query("whole_walk_gated_over_threshold")
-def whole_walk_gated_over_threshold(spark: SparkSession, d: str) -> DataFrame:
-    return over(whole_walked(whole(spark, d), "gated"), threshold=30).select("label_key", "estimate")
 
+@query("merge_offset_floors")
+def merge_offset_floors(spark: SparkSession, d: str) -> DataFrame:
+    """Offset walks whose merge stays an upper bound: every true size is at most the value."""
+    sk = merge_sketches(in_ranges(spark, d, "offset", 4), absent_offset="floor")
+    return sk.counters.select("label_key", "offset", "estimate").join(exact.exact_sizes(lines(spark, d)), "label_key")
 
-@query("whole_walk_offset_over_fraction")
-def whole_walk_offset_over_fraction(spark: SparkSession, d: str) -> DataFrame:
-    """Every member, and whether it is over the fraction: on many suppliers none is."""
-    sk = whole_walked(whole(spark, d), "offset")
-    told = over(sk, fraction=0.125).select("label_key", F.lit(True).alias("reported"))
-    return sk.counters.select("label_key", "estimate").join(told, "label_key", "left").select("label_key", "estimate", F.coalesce("reported", F.lit(False)).alias("reported"))
 
+@query("walk_gated_on_pairs")
+def walk_gated_on_pairs(spark: SparkSession, d: str) -> DataFrame:
+    """The gate drawn for pairs, not for items alone."""
+    return build_sketch(lines(spark, d), s=S, counter="exact", streams=1, hash="portable", gate_on="pair").counters.select("slot", "label_key", "estimate")
 
-query("whole_merge_pair_gated")(lambda spark, d: whole_pair(spark, d, "gated").select("slot", "label_key", "estimate"))
-query("whole_merge_offset")(lambda spark, d: whole_pair(spark, d, "offset").select("slot", "label_key", "offset", "estimate"))
-query("whole_merge_flat")(lambda spark, d: merge_sketches(whole_walked(whole(spark, d, 4), "gated", "by_source")).counters.select("slot", "label_key", "estimate"))
-query("whole_merge_tree")(lambda spark, d: merge_sketches(whole_walked(whole(spark, d, 4), "gated", "by_source"), mode="tree", fan_in=2).counters.select("slot", "label_key", "estimate"))
 
 _event_regs = twins.registers(f"SELECT * EXCLUDE ts, strftime(date_trunc('day', ts), '%Y-%m-%d 00:00:00') AS pane FROM ({twins.PAIRS['event_users']})", 64, "pane, label_key")
 
@@ -644,13 +605,13 @@ def views_then_clicks(spark: SparkSession, d: str) -> DataFrame:
 
 @query("pre_gated_walk_equals_walk", "SELECT CAST(0 AS BIGINT) AS differences")
 def pre_gated_walk_equals_walk(spark: SparkSession, d: str) -> DataFrame:
-    """Rows that the first walk's last threshold refuses anyway change nothing when the stream's members and floor are known beforehand: a second look finds no row of
-    a member missing."""
-    p = whole(spark, d)
-    sk = whole_walked(p, "gated")
-    kept = neighbours.pre_gate(p, sk)
-    members = p.join(sk.counters.select("label_key"), "label_key", "left_semi")
-    return members.exceptAll(kept).agg(F.count(F.lit(1)).alias("differences"))
+    """A stream walked to its end, and walked to its middle and on over what a gate before the walk lets through of the rest: the same slots, labels and values."""
+    p = lines(spark, d, 2)
+    first, rest = (p.where(F.col("source") == i) for i in ("0", "1"))
+    passed = neighbours.pre_gate(rest, walked(first, "gated"))
+    one = walked(p, "gated").counters.select("slot", "label_key", "items")
+    other = walked(first.unionByName(passed), "gated").counters.select("slot", "label_key", "items")
+    return one.exceptAll(other).unionByName(other.exceptAll(one)).agg(F.count(F.lit(1)).alias("differences"))
 
 
 @query("verified_top_words")

@@ -96,3 +96,20 @@ def test_entry_table_keeps_sums_and_bounds():
     assert sum(c[0] for c in table.counts.values()) == len(rows)
     for x, (c,) in table.counts.items():
         assert rows.count(x) <= c <= rows.count(x) + len(rows) / 10
+
+
+@pytest.mark.parametrize("kind", ["offset", "recycled", "gated"])
+def test_heap_stays_as_small_as_the_table(kind):
+    rows = random_stream(n=30_000, seed=6)
+    table = walk(rows, 500, kind=kind, s=50, min_search="heap")
+    assert len(table.heap) <= 100
+    assert table.counters() == walk(rows, kind=kind, s=50).counters()
+
+
+def test_table_function_registers_of_any_number():
+    from tallywalk.functions.sqlapi import register_of
+
+    for m in (64, 438, 1000):
+        got = [register_of(str(i), m) for i in range(20_000)]
+        assert {b for b, _ in got} == set(range(m)) and min(r for _, r in got) == 1
+        assert 0.45 < sum(r == 1 for _, r in got) / len(got) < 0.55

@@ -1,11 +1,15 @@
-"""The whole-table walks and merges against recursive SQL, on a short table whose orders lie on both sides of key 400."""
+"""The walks and merges against recursive SQL, written apart from the queries' twins, on a short table; and against a plain walk with dictionaries on whole tables."""
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from tallywalk.functions.registers import estimate_arrays
+from tallywalk.operators.sketches import build_sketch, merge_sketches, top_k
 from tallywalk.plans import twins
-from tallywalk.plans.queries import QUERIES, SLOTS, WALKS, S, neighbours
-from tests import oracle
+from tallywalk.plans.queries import QUERIES, SLOT, SLOTS, WALKS, S, neighbours
+from tallywalk.sources.pairs import WORKLOADS, with_hashes
+from tests import oracle, recursive
 
 LOW, HIGH = 330, 480
 
@@ -31,20 +35,19 @@ def con(short):
 
 def walks(kind, parts):
     cuts = [LOW - (LOW - HIGH) * i // parts for i in range(parts + 1)]
-    return ", ".join(twins.walk(n, twins.prefix(a, b), kind, S) for n, a, b in zip("abce", cuts, cuts[1:]))
+    return ", ".join(recursive.walk(n, recursive.prefix(a, b), kind, S) for n, a, b in zip("abce", cuts, cuts[1:]))
 
 
-SLOT = "SELECT CAST(slot AS INTEGER) AS slot, label_key, estimate"
-SQL = {f"whole_walk_{k}": f"WITH RECURSIVE {walks(k, 1)} {SLOTS} FROM a" for k in WALKS}
-SQL |= {f"whole_walk_{k}_point_query": f"WITH RECURSIVE {walks(k, 1)} SELECT label_key, a.estimate IS NOT NULL AS member, coalesce(a.estimate, (SELECT min(estimate) FROM a)) AS estimate FROM (SELECT DISTINCT label AS label_key FROM a_in) LEFT JOIN a USING (label_key)" for k in WALKS}
+SQL = {f"walk_{k}": f"WITH RECURSIVE {walks(k, 1)} {SLOTS} FROM a" for k in WALKS}
+SQL |= {f"walk_{k}_point_query": f"WITH RECURSIVE {walks(k, 1)} SELECT label_key, a.estimate IS NOT NULL AS member, coalesce(a.estimate, (SELECT min(estimate) FROM a)) AS estimate FROM (SELECT DISTINCT label AS label_key FROM a_in) LEFT JOIN a USING (label_key)" for k in WALKS}
 SQL |= {
-    "whole_walk_gated_top_3": f"WITH RECURSIVE {walks('gated', 1)} SELECT label_key, estimate, CAST(row_number() OVER (ORDER BY estimate DESC, label_key) AS INTEGER) AS rank FROM a QUALIFY rank <= 3",
-    "whole_walk_gated_over_threshold": f"WITH RECURSIVE {walks('gated', 1)} SELECT label_key, estimate FROM a WHERE estimate >= 30",
-    "whole_walk_offset_over_fraction": f"WITH RECURSIVE {walks('offset', 1)} SELECT label_key, estimate, estimate >= (SELECT count(*) FROM a_in) * 0.125 AS reported FROM a",
-    "whole_merge_pair_gated": f"WITH RECURSIVE {walks('gated', 2)} {SLOT} FROM ({twins.union_of(['a', 'b'], S)})",
-    "whole_merge_offset": f"WITH RECURSIVE {walks('offset', 2)} {SLOTS} FROM ({twins.union_of(['a', 'b'], S)})",
-    "whole_merge_flat": f"WITH RECURSIVE {walks('gated', 4)} {SLOT} FROM ({twins.union_of(['a', 'b', 'c', 'e'], S)})",
-    "whole_merge_tree": f"WITH RECURSIVE {walks('gated', 4)}, ab AS ({twins.union_of(['a', 'b'], S)}), ce AS ({twins.union_of(['c', 'e'], S)}) {SLOT} FROM ({twins.union_of(['ab', 'ce'], S)})",
+    "walk_gated_top_3": f"WITH RECURSIVE {walks('gated', 1)} SELECT label_key, estimate, CAST(row_number() OVER (ORDER BY estimate DESC, label_key) AS INTEGER) AS rank FROM a QUALIFY rank <= 3",
+    "walk_gated_over_threshold": f"WITH RECURSIVE {walks('gated', 1)} SELECT label_key, estimate FROM a WHERE estimate >= 30",
+    "walk_offset_over_fraction": f"WITH RECURSIVE {walks('offset', 1)} SELECT label_key, estimate, estimate >= (SELECT count(*) FROM a_in) * 0.125 AS reported FROM a",
+    "merge_pair_gated": f"WITH RECURSIVE {walks('gated', 2)} {SLOT} FROM ({twins.union_of(['a', 'b'], S)})",
+    "merge_offset": f"WITH RECURSIVE {walks('offset', 2)} {SLOTS} FROM ({twins.union_of(['a', 'b'], S)})",
+    "merge_flat": f"WITH RECURSIVE {walks('gated', 4)} {SLOT} FROM ({twins.union_of(['a', 'b', 'c', 'e'], S)})",
+    "merge_tree": f"WITH RECURSIVE {walks('gated', 4)}, ab AS ({twins.union_of(['a', 'b'], S)}), ce AS ({twins.union_of(['c', 'e'], S)}) {SLOT} FROM ({twins.union_of(['ab', 'ce'], S)})",
 }
 
 
@@ -56,14 +59,115 @@ def test_whole_table(spark, short, con, name):
 def test_later_orders_and_suppliers_are_seen(spark, tmp_path):
     rows = [(1, 1, s, 100 + s) for s in range(5)] + [(10**6, 1, 77, p) for p in range(60)] + [(None, 1, 88, 1)]
     spark.createDataFrame(rows, "l_orderkey bigint, l_linenumber int, l_suppkey bigint, l_partkey bigint").write.parquet(f"{tmp_path}/lineitem.parquet")
-    for name in ("whole_walk_offset", "whole_walk_gated_point_query", "whole_merge_flat", "whole_merge_pair_gated"):
+    for name in ("walk_offset", "walk_gated_point_query", "merge_flat", "merge_pair_gated"):
         got = {r["label_key"]: r["estimate"] for r in QUERIES[name](spark, str(tmp_path)).collect()}
         assert got == {**{str(s): 1.0 for s in range(5)}, "77": 60.0, "88": 1.0}, name
-    assert {r["label_key"] for r in QUERIES["whole_walk_offset_over_fraction"](spark, str(tmp_path)).where("reported").collect()} == {"77"}
+    assert {r["label_key"] for r in QUERIES["walk_offset_over_fraction"](spark, str(tmp_path)).where("reported").collect()} == {"77"}
 
 
-def test_pre_gate_reads_all_lines(spark, sf, monkeypatch):
+def test_pre_gate_drops_rows_and_changes_nothing(spark, sf, monkeypatch):
     seen, real = [], neighbours.pre_gate
-    monkeypatch.setattr(neighbours, "pre_gate", lambda p, sk: seen.append(p.count()) or real(p, sk))
+
+    def gate(p, sk):
+        out = real(p, sk)
+        seen.append((p.count(), out.count()))
+        return out
+
+    monkeypatch.setattr(neighbours, "pre_gate", gate)
     assert QUERIES["pre_gated_walk_equals_walk"](spark, sf).first()["differences"] == 0
-    assert seen == [spark.read.parquet(f"{sf}/lineitem.parquet").count()]
+    assert 0 < seen[0][1] <= seen[0][0]
+
+
+def naive(rows, kind, s, m):
+    """A stream walked entry by entry; rows: label, item, bucket, rank, draw. Slots, their offsets and what they hold; m None: sets."""
+    labels, held, offsets, threshold = [], [], [], 0.0
+
+    def value(i):
+        return offsets[i] + (len(held[i]) if m is None else float(estimate_arrays(held[i][None, :])[0]))
+
+    def take(i, item, bucket, rank):
+        if m is None:
+            held[i].add(item)
+        else:
+            held[i][bucket] = max(held[i][bucket], rank)
+        values[i] = value(i)
+
+    values, place = [], {}
+    for label, item, bucket, rank, draw in rows:
+        if label in place:
+            take(place[label], item, bucket, rank)
+            continue
+        if len(labels) < s:
+            place[label] = len(labels)
+            labels.append(label)
+            held.append(set() if m is None else np.zeros(m, np.uint8))
+            offsets.append(0.0)
+            values.append(0.0)
+            take(place[label], item, bucket, rank)
+            continue
+        if kind == "gated" and draw <= threshold:
+            continue
+        least = min(range(s), key=values.__getitem__)
+        threshold = max(threshold, values[least])
+        if kind.startswith("gated") and draw <= values[least]:
+            continue
+        del place[labels[least]]
+        place[label], labels[least] = least, label
+        if kind == "offset":
+            offsets[least] = values[least]
+            held[least] = set() if m is None else np.zeros(m, np.uint8)
+        take(least, item, bucket, rank)
+    return labels, offsets, held, values
+
+
+def entries(pairs, m):
+    got = with_hashes(pairs, m).select("ord", "source", "label_key", "item_key", "bucket", "rank", "draw").collect()
+    return sorted(got, key=lambda r: tuple(r["ord"]))
+
+
+WHOLE = {"supplier_parts": 6, "customer_parts": 30, "word_docs": 60}
+
+
+@pytest.mark.parametrize("load", WHOLE)
+@pytest.mark.parametrize("counter", ["registers", "exact"])
+@pytest.mark.parametrize("kind", WALKS)
+def test_every_eviction_on_whole_tables(spark, sf, load, counter, kind):
+    s, m = WHOLE[load], 64
+    p = WORKLOADS[load](spark, sf)
+    p = p if "source" in p.columns else p.withColumn("source", F.lit("a"))
+    rows = [tuple(r)[2:] for r in entries(p, m)]
+    labels, offsets, held, values = naive(rows, kind, s, m if counter == "registers" else None)
+    got = build_sketch(p, kind=kind, s=s, m=m, counter=counter, streams=1, min_search="heap").counters.orderBy("slot").collect()
+    assert [r["label_key"] for r in got] == labels
+    assert [r["offset"] for r in got] == pytest.approx(offsets)
+    assert [r["estimate"] for r in got] == pytest.approx(values)
+    if counter == "registers":
+        assert [r["registers"] for r in got] == [h.tobytes() for h in held]
+    else:
+        assert [set(r["items"]) for r in got] == held
+    assert len({r[0] for r in rows}) > s
+
+
+@pytest.mark.parametrize("kind", WALKS)
+def test_merge_of_walks_by_source_and_the_flagship(spark, sf, kind):
+    """Each source walked alone, all counters of a label united, the s largest kept, the top told."""
+    s, m = 60, 64
+    p = WORKLOADS["word_docs"](spark, sf)
+    streams = {}
+    for r in entries(p, m):
+        streams.setdefault(r["source"], []).append(tuple(r)[2:])
+    assert len(streams) > 3
+    whole = {}
+    for rows in streams.values():
+        labels, offsets, held, _ = naive(rows, kind, s, m)
+        for label, o, h in zip(labels, offsets, held):
+            was = whole.get(label, (0.0, np.zeros(m, np.uint8)))
+            whole[label] = was[0] + o, np.maximum(was[1], h)
+    values = {x: o + float(estimate_arrays(h[None, :])[0]) for x, (o, h) in whole.items()}
+    best = sorted(values, key=lambda x: (-values[x], x))[:s]
+    merged = merge_sketches(build_sketch(p, kind=kind, s=s, m=m, streams="by_source"))
+    got = top_k(merged, 20).orderBy("rank").collect()
+    assert [r["label_key"] for r in got] == best[:20]
+    assert [r["estimate"] for r in got] == pytest.approx([values[x] for x in best[:20]])
+    kept = {r["label_key"]: r["registers"] for r in merged.counters.collect()}
+    assert kept == {x: whole[x][1].tobytes() for x in best}
