@@ -18,10 +18,10 @@ def pre_gate(pairs: DataFrame, sketch: Sketches, whole_labels: bool = True) -> D
     hash, gate_on, seed = sketch.hash_id.split(":")
     gate = F.col("item_key") if gate_on == "item" else F.concat_ws("\1", "label_key", "item_key")
     # at most s labels, and one number
-    members = sketch.counters.select("label_key").distinct().withColumn("member", F.lit(True))
-    floor = sketch.meta.agg(F.min("threshold").alias("threshold"))
-    told = pairs.join(F.broadcast(members), "label_key", "left").join(F.broadcast(floor))
-    passed = told.where(F.col("member") | (draw(hash52(gate, "g", hash, int(seed))) > F.col("threshold")))
+    counters, facts = sketch.facts()
+    members = pairs.sparkSession.createDataFrame([(x, True) for x in sorted({r["label_key"] for r in counters})], "label_key string, member boolean")
+    told = pairs.join(F.broadcast(members), "label_key", "left")
+    passed = told.where(F.col("member") | (draw(hash52(gate, "g", hash, int(seed))) > facts["threshold"]))
     if whole_labels:
         return pairs.join(passed.select("label_key").distinct(), "label_key", "left_semi").select(*pairs.columns)
     return passed.select(*pairs.columns)

@@ -1,7 +1,9 @@
 """Sketches as tables: built from streams of pairs, merged over space and time, asked for labels.
 
 A sketch is at most s rows of the counter table with one sketch_id, and one row of metadata. Both come out of one pass, as `record` "counter" and "meta" rows of the
-same schema, so that nothing is computed twice when the rows are written (`stored`); sketches read back from there cost a small scan.
+same schema, so that nothing is computed twice when the rows are written (`stored`); sketches read back from there cost a small scan. Counter rows repeat what answers need of the metadata
+(entries, threshold, floor, evicted), so that an answer is one pass as well. A merge is one pass too: labels are united as they stream by, every task keeps the s largest of each group, and what
+the tasks kept meets in `MEET` tasks a group and then in one, which holds 2 * s counters at a time.
 """
 
 from __future__ import annotations
@@ -11,7 +13,7 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from tallywalk.functions.registers import estimate_arrays
@@ -23,6 +25,9 @@ META = "entries bigint, threshold double, floor double, is_full boolean, evicted
 SCHEMA = f"{COUNTER}, {META}"
 COUNTER_NAMES = [c.split()[0] for c in COUNTER.split(", ")]
 META_NAMES = [c.split()[0] for c in META.split(", ")]
+TOLD = ("entries", "threshold", "floor", "evicted")  # of the metadata, repeated with each counter
+ADDED = ("entries", "hits", "admissions", "min_scans", "rejected")  # of the metadata, summed by merges
+MEET = 32  # tasks in which what the others kept of a group is cut again before the last one
 
 
 @dataclass(frozen=True)
@@ -48,6 +53,13 @@ class Sketches:
         self.rows.write.mode(mode).parquet(path)
         return replace(self, rows=self.rows.sparkSession.read.schema(self.rows.schema).parquet(path))
 
+    def facts(self) -> tuple[list, dict]:
+        """The counters (label_key, offset, estimate) of all sketches, and threshold, floor, entries and evicted over them, on the driver: s rows a sketch, from one pass."""
+        rows = self.rows.select("record", "label_key", "offset", "estimate", "entries", "threshold", "floor", "evicted").collect()
+        meta = [r for r in rows if r["record"] == "meta"]
+        least = lambda c: min((r[c] for r in meta), default=0.0)
+        return [r for r in rows if r["record"] == "counter"], {"threshold": least("threshold"), "floor": least("floor"), "entries": sum(r["entries"] for r in meta), "evicted": any(r["evicted"] for r in meta)}
+
     def alike(self, other: Sketches) -> None:
         mine, its = ((x.kind, x.m, x.counter, x.hash_id) for x in (self, other))
         if mine != its:
@@ -61,9 +73,9 @@ def _arrow_schema(spark_schema) -> pa.Schema:
 
 
 def _rows(sketch_id: str, table: CounterTable) -> list[dict]:
-    nothing = dict.fromkeys([*COUNTER_NAMES, *META_NAMES])
-    out = [nothing | {"sketch_id": sketch_id, "record": "counter"} | c for c in table.counters()]
-    return [*out, nothing | {"sketch_id": sketch_id, "record": "meta"} | table.meta()]
+    nothing, meta = dict.fromkeys([*COUNTER_NAMES, *META_NAMES]), table.meta()
+    out = [nothing | {"sketch_id": sketch_id, "record": "counter"} | {c: meta[c] for c in TOLD} | c for c in table.counters()]
+    return [*out, nothing | {"sketch_id": sketch_id, "record": "meta"} | meta]
 
 
 def build_sketch(
@@ -149,98 +161,135 @@ def build_sketch(
     return Sketches(slim.mapInArrow(walk, SCHEMA), kind, s, m, counter, estimator, f"{hash}:{gate_on}:{seed}")
 
 
-def _merged_labels(rows: DataFrame, sk: Sketches) -> DataFrame:
-    """(grp, label_key, offset, registers, items, estimate): all counters of a label in a group made one.
-
-    Runs of equal labels are reduced as they stream by, a register-wise maximum each; a group-wise call for every label would cost more than the work."""
-    dealt = rows.repartition("grp", "label_key").sortWithinPartitions("grp", "label_key").select("grp", "label_key", "offset", "registers", "items")
-    exact, estimator = sk.counter == "exact", sk.estimator
-    ddl = "grp string, label_key string, offset double, registers binary, items array<string>, estimate double"
-    schema = _arrow_schema(rows.sparkSession.createDataFrame([], ddl).schema)
-
-    def reduce(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, offset, held, out = None, 0.0, None, []
-
-        def finish() -> None:
-            if key is not None:
-                out.append((*key, offset, held))
-
-        def flushed() -> pa.RecordBatch:
-            groups, labels, offsets, values = zip(*out)
-            est = [len(v) for v in values] if exact else estimate_arrays(np.stack(values), estimator).tolist()
-            return pa.RecordBatch.from_pydict(
-                {
-                    "grp": groups,
-                    "label_key": labels,
-                    "offset": offsets,
-                    "registers": [None if exact else v.tobytes() for v in values],
-                    "items": [sorted(v) if exact else None for v in values],
-                    "estimate": [e + o for e, o in zip(est, offsets)],
-                },
-                schema=schema,
-            )
+class Best:
+    """The s largest of the labels of one group so far, in any order, from at most 2 * s that are held."""
 
-        for batch in batches:
-            for g, label, o, r, i in zip(*(c.to_pylist() for c in batch.columns)):
-                value = set(i) if exact else np.frombuffer(r, np.uint8)
-                if key != (g, label):
-                    finish()
-                    key, offset, held = (g, label), o, value
-                    if len(out) >= 2048:
-                        yield flushed()
-                        out.clear()
-                else:
-                    offset += o
-                    held = held | value if exact else np.maximum(held, value)
-        finish()
-        if out:
-            yield flushed()
+    def __init__(self, s: int):
+        self.s, self.rows, self.meta = s, [], None
+
+    def add(self, row: dict) -> None:
+        self.rows.append(row)
+        if len(self.rows) >= 2 * self.s:
+            self.cut()
 
-    return dealt.mapInArrow(reduce, ddl)
+    def cut(self) -> None:
+        # where floors count, each label is to gain those of all sketches less those that hold it: the former are the same for all
+        self.rows.sort(key=lambda r: (r["floor"] - r["estimate"], r["label_key"]))
+        del self.rows[self.s :]
 
+    def tell(self, row: dict) -> None:
+        """Metadata of one of the group's sketches, or of several."""
+        if self.meta is None:
+            self.meta = dict(row)
+            return
+        for c in (*ADDED, "floor"):
+            self.meta[c] += row[c]
+        self.meta["evicted"] |= row["evicted"]
 
-def _kept(merged: DataFrame, s: int) -> DataFrame:
-    """The s largest of each group: every task keeps its own s first."""
-    best = Window.partitionBy("grp").orderBy(F.desc("estimate"), "label_key")
-    return merged.withColumn("slot", F.row_number().over(best) - 1).where(F.col("slot") < s)
+
+def _by_group(rows: DataFrame, sk: Sketches, take, done) -> DataFrame:
+    """mapInArrow over rows of SCHEMA that come sorted by group: take(best, row) for every row, done(best) gives the rows of a group at its end."""
+    schema, s = _arrow_schema(rows.sparkSession.createDataFrame([], SCHEMA).schema), sk.s
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best, now = None, None
+
+        def closed() -> Iterator[pa.RecordBatch]:
+            out = done(best, now)
+            for a in range(0, len(out), 1024):
+                yield pa.RecordBatch.from_pylist(out[a : a + 1024], schema=schema)
+
+        for batch in batches:
+            for row in batch.to_pylist():
+                if best is None or row["sketch_id"] != now:
+                    if best is not None:
+                        yield from closed()
+                    best, now = Best(s), row["sketch_id"]
+                take(best, row)
+        if best is not None:
+            yield from closed()
+
+    return rows.select(*COUNTER_NAMES, *META_NAMES).mapInArrow(run, SCHEMA)
 
 
 def _flat(sk: Sketches, grp: Column, absent_offset: str) -> Sketches:
-    rows = sk.rows.withColumn("grp", grp)
-    counters, meta = rows.where("record = 'counter'"), rows.where("record = 'meta'")
-    merged = _merged_labels(counters, sk)
-    if absent_offset == "floor" and sk.kind == "offset":
-        # what a sketch that does not hold the label may have dropped of it, so that the value stays an upper bound
-        floors = meta.select("grp", "sketch_id", "floor")
-        known = counters.select("grp", "sketch_id", "label_key").join(floors, ["grp", "sketch_id"]).groupBy("grp", "label_key").agg(F.sum("floor").alias("known"))
-        every = floors.groupBy("grp").agg(F.sum("floor").alias("every"))
-        more = F.coalesce(F.col("every"), F.lit(0.0)) - F.coalesce(F.col("known"), F.lit(0.0))
-        merged = merged.join(known, ["grp", "label_key"], "left").join(every, "grp", "left").withColumns({"offset": F.col("offset") + more, "estimate": F.col("estimate") + more})
-    kept = _kept(merged.select("grp", "label_key", "offset", "registers", "items", "estimate"), sk.s)
-    sums = meta.groupBy("grp").agg(*(F.sum(c).alias(c) for c in ("entries", "hits", "admissions", "min_scans", "rejected")), F.bool_or("evicted").alias("evicted"), F.sum(F.lit(1)).alias("streams"))
-    return replace(sk, rows=_as_rows(kept, sums, sk))
-
-
-def _as_rows(kept: DataFrame, sums: DataFrame, sk: Sketches) -> DataFrame:
-    """Counter and meta rows of one schema. A merged floor gates later entries only if the table is full."""
-    tops = kept.groupBy("grp").agg(F.count(F.lit(1)).alias("kept"), F.min("estimate").alias("least"))
-    full = F.coalesce(F.col("kept") >= sk.s, F.lit(False))
-    floor = F.when(full, F.col("least")).otherwise(0.0)
-    blank = lambda names, ddl: [F.lit(None).cast(dict(x.split() for x in ddl.split(", "))[n]).alias(n) for n in names]
-    a = kept.select(F.col("grp").alias("sketch_id"), F.lit("counter").alias("record"), F.col("slot").cast("int").alias("slot"), "label_key", "offset", "registers", "items", "estimate", *blank(META_NAMES, META))
-    b = sums.join(tops, "grp", "left").select(
-        F.col("grp").alias("sketch_id"),
-        F.lit("meta").alias("record"),
-        *blank(COUNTER_NAMES[2:], COUNTER),
-        "entries",
-        (floor if sk.kind.startswith("gated") else F.lit(0.0)).alias("threshold"),
-        floor.alias("floor"),
-        full.alias("is_full"),
-        # a merge may cut labels off as well
-        (F.col("evicted") | full).alias("evicted"),
-        *META_NAMES[5:],
-    )
-    return a.unionByName(b)
+    """All sketches of a group made one. Runs of equal labels are united as they stream by, a register-wise maximum each."""
+    exact, estimator, s, gated = sk.counter == "exact", sk.estimator, sk.s, sk.kind.startswith("gated")
+    floors = absent_offset == "floor" and sk.kind == "offset"
+    rows = sk.rows.withColumn("sketch_id", grp)
+    # the metadata of a group comes together at one task, as do its counters of one label
+    dealt = rows.repartition("sketch_id", "label_key").sortWithinPartitions("sketch_id", "label_key")
+
+    def finish(best: Best) -> None:
+        """The values of the labels that were united since the last time."""
+        fresh = [r for r in best.rows if r["estimate"] is None]
+        if fresh:
+            got = [float(len(r["items"])) for r in fresh] if exact else estimate_arrays(np.stack([np.frombuffer(r["registers"], np.uint8) if isinstance(r["registers"], bytes) else r["registers"] for r in fresh]), estimator).tolist()
+            for r, e in zip(fresh, got):
+                r["estimate"] = e + r["offset"]
+
+    def unite(best: Best, row: dict) -> None:
+        if row["record"] == "meta":
+            best.tell(row)
+            return
+        if not floors:
+            row["floor"] = 0.0
+        last = best.rows[-1] if best.rows else None
+        if last is not None and last["label_key"] == row["label_key"] and last["estimate"] is None:
+            last["offset"] += row["offset"]
+            last["floor"] += row["floor"]
+            if exact:
+                last["items"] = last["items"] | set(row["items"])
+            else:
+                last["registers"] = np.maximum(last["registers"], np.frombuffer(row["registers"], np.uint8))
+            return
+        if len(best.rows) >= 2 * s:
+            finish(best)
+            best.cut()
+        row["estimate"] = None
+        if exact:
+            row["items"] = set(row["items"])
+        else:
+            row["registers"] = np.frombuffer(row["registers"], np.uint8)
+        best.rows.append(row)
+
+    def united(best: Best, group: str) -> list[dict]:
+        finish(best)
+        best.cut()
+        for r in best.rows:
+            if exact:
+                r["items"] = sorted(r["items"])
+            else:
+                r["registers"] = bytes(r["registers"])
+        return best.rows + ([best.meta] if best.meta else [])
+
+    def collect(best: Best, row: dict) -> None:
+        best.tell(row) if row["record"] == "meta" else best.add(row)
+
+    def passed(best: Best, group: str) -> list[dict]:
+        best.cut()
+        return best.rows + ([best.meta] if best.meta else [])
+
+    def ended(best: Best, group: str) -> list[dict]:
+        best.cut()
+        meta = best.meta or dict.fromkeys([*COUNTER_NAMES, *META_NAMES]) | dict.fromkeys(ADDED, 0) | {"sketch_id": group, "record": "meta", "evicted": False, "floor": 0.0}
+        if floors:
+            for r in best.rows:
+                more = meta["floor"] - r["floor"]
+                r["offset"], r["estimate"] = r["offset"] + more, r["estimate"] + more
+        # a merged floor gates later entries only if the table is full; a merge may cut labels off as well
+        full = len(best.rows) >= s
+        least = min(r["estimate"] for r in best.rows) if full else 0.0
+        meta = meta | {"threshold": least if gated else 0.0, "floor": least, "is_full": full, "evicted": meta["evicted"] or full}
+        told = {c: meta[c] for c in TOLD}
+        return [r | told | {"slot": i} for i, r in enumerate(best.rows)] + [meta]
+
+    kept = _by_group(dealt, sk, unite, united)
+    if int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions")) > 2 * MEET:
+        some = F.pmod(F.xxhash64("label_key"), F.lit(MEET))
+        kept = _by_group(kept.repartition("sketch_id", some).sortWithinPartitions("sketch_id"), sk, collect, passed)
+    whole = kept.repartition("sketch_id").sortWithinPartitions("sketch_id")
+    return replace(sk, rows=_by_group(whole, sk, collect, ended))
 
 
 def merge_sketches(sk: Sketches, by: Column | str | None = None, mode: str = "flat", fan_in: int = 64, absent_offset: str = "none", store: str | None = None) -> Sketches:
@@ -250,7 +299,7 @@ def merge_sketches(sk: Sketches, by: Column | str | None = None, mode: str = "fl
     round; it loses more. With a store (a path), every round is written there, which ends its lineage."""
     by = F.lit("all") if by is None else F.col(by) if isinstance(by, str) else by
     if mode == "flat":
-        return _flat(sk, by.cast("string"), absent_offset)
+        return _flat(sk, F.coalesce(by.cast("string"), F.lit("")), absent_offset)
     if mode != "tree" or fan_in < 2:
         raise ValueError("mode must be flat or tree, and fan_in at least 2")
     # numbers of the streams: a sort of ids, one for each sketch
@@ -299,32 +348,30 @@ def top_k(sk: Sketches, k: int, per_sketch: bool = False) -> DataFrame:
 
 def over(sk: Sketches, threshold: float | None = None, fraction: float | None = None) -> DataFrame:
     """Labels of at least a value, or of at least a fraction of all entries."""
-    counters = sk.counters.select("sketch_id", "label_key", "estimate")
-    if threshold is not None:
-        return counters.where(F.col("estimate") >= threshold)
-    if fraction is None:
+    counters = sk.rows.where("record = 'counter'")
+    if threshold is None and fraction is None:
         raise ValueError("a threshold or a fraction is needed")
-    return counters.join(F.broadcast(sk.meta.select("sketch_id", "entries")), "sketch_id").where(F.col("estimate") >= F.col("entries") * fraction).drop("entries")
+    least = F.lit(threshold) if threshold is not None else F.col("entries") * fraction
+    return counters.where(F.col("estimate") >= least).select("sketch_id", "label_key", "estimate")
 
 
 def estimate(sk: Sketches, labels: DataFrame, absent: str = "min", label: str = "label_key") -> DataFrame:
     """The labels with their estimates from one sketch. absent: what a label without a counter gets: "min", the smallest value (0 if the sketch has never dropped
-    a label); "literal", the smallest count without its offset; "zero"; "null"."""
-    counters = sk.counters.select("label_key", "estimate", "offset")
-    facts = sk.meta.agg(F.bool_or("evicted").alias("evicted")).crossJoin(counters.agg(F.min("estimate").alias("least"), F.min(F.col("estimate") - F.col("offset")).alias("bare")))
-    other = {"min": F.col("least"), "literal": F.col("bare"), "zero": F.lit(0.0), "null": F.lit(None).cast("double")}[absent]
-    if absent in ("min", "literal"):
-        other = F.when(F.col("evicted"), F.coalesce(other, F.lit(0.0))).otherwise(0.0)
-    # at most s rows, and one
-    wanted = labels.select(F.col(label).alias("label_key")).join(F.broadcast(counters), "label_key", "left").join(F.broadcast(facts))
-    return wanted.select("label_key", F.col("estimate").isNotNull().alias("member"), F.coalesce("estimate", other).alias("estimate"))
+    a label); "literal", the smallest count without its offset; "zero"; "null". The sketch's s labels come to the driver now, and go out with the plan."""
+    counters, facts = sk.facts()
+    least = {"min": lambda r: r["estimate"], "literal": lambda r: r["estimate"] - r["offset"]}
+    other = None if absent == "null" else 0.0
+    if absent in least and facts["evicted"]:
+        other = min(map(least[absent], counters), default=0.0)
+    elif absent not in (*least, "zero", "null"):
+        raise ValueError("absent must be min, literal, zero or null")
+    known = labels.sparkSession.createDataFrame([(r["label_key"], r["estimate"]) for r in counters], "label_key string, estimate double")
+    # at most s rows
+    wanted = labels.select(F.col(label).alias("label_key")).join(F.broadcast(known), "label_key", "left")
+    return wanted.select("label_key", F.col("estimate").isNotNull().alias("member"), F.coalesce("estimate", F.lit(other).cast("double")).alias("estimate"))
 
 
 def recount(answer: DataFrame, pairs: DataFrame) -> DataFrame:
     """The answer with the exact sizes of its labels, by a second pass over the pairs of these labels alone."""
     sizes = pairs.join(F.broadcast(answer.select("label_key")), "label_key", "left_semi").groupBy("label_key").agg(F.count_distinct("item_key").alias("d"))
     return answer.join(sizes, "label_key", "left")
-
-
-def spark_of(sk: Sketches) -> SparkSession:
-    return sk.rows.sparkSession

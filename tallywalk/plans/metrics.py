@@ -107,8 +107,10 @@ def check_invariants(sk: Sketches, truth: DataFrame, eps: float, delta: float =
     """invariant, checked, violated for one sketch against the true sizes. The bounds of gated walks may fail with a chance of delta."""
     from tallywalk.functions.bounds import bound_gated, bound_plain
 
-    meta = sk.meta.select("entries", "floor", "evicted", "s")
-    rows = truth.join(sk.counters.select("label_key", "estimate"), "label_key", "left").join(F.broadcast(meta))
+    counters, facts = sk.facts()
+    known = truth.sparkSession.createDataFrame([(r["label_key"], r["estimate"]) for r in counters], "label_key string, estimate double")
+    meta = {c: F.lit(facts[c]) for c in ("entries", "floor", "evicted")} | {"s": F.lit(sk.s)}
+    rows = truth.join(F.broadcast(known), "label_key", "left").withColumns(meta)
     gated = sk.kind.startswith("gated")
     s, m, a, d = F.col("s").cast("double"), F.col("entries").cast("double"), F.col("floor"), F.col("d").cast("double")
     bound = bound_gated(m, s, F.lit(eps), F.lit(delta)) if gated else bound_plain(m, s, F.lit(eps))

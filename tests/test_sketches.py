@@ -249,3 +249,16 @@ def test_sizes_of_structures():
         assert bounds.size_for("gated", 3 * bounds.MIB, m) == s
     assert bounds.size_for("cell_grid", 3 * bounds.MIB, 64) == 4572
     assert bounds.size_for("shared_grid", 3 * bounds.MIB) == 1024
+
+
+def scans(df):
+    return df._jdf.queryExecution().executedPlan().toString().count("FileScan")
+
+
+def test_merges_and_answers_read_the_input_once(spark, sf):
+    from tallywalk.sources.pairs import WORKLOADS
+
+    merged = merge_sketches(build_sketch(WORKLOADS["word_docs"](spark, sf), s=50, m=64))
+    assert scans(merged.rows) == scans(merged.meta) == 1
+    assert scans(over(merged, fraction=0.01)) == scans(top_k(merged, 5)) == 1
+    assert "TakeOrdered" not in merged.rows._jdf.queryExecution().executedPlan().toString() and "Window" not in merged.rows._jdf.queryExecution().executedPlan().toString()
