@@ -2,10 +2,10 @@
 
 Documents with equal sets are copies; one of them stands for all. Each set is embedded in COORDINATES min-hash values, and so for every coordinate two sets agree
 with the probability of their Jaccard similarity: agreeing means sharing the sampled token. A run splits all sets by one coordinate. Small buckets are
-compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs: those that agree with a hub about as a link's ends do (ALIKE) become its candidates, and those that agree
-with it nearly everywhere (LEAVE) need no more splits, because whatever links to them is among the hub's candidates as well: distances add up. All others whose other buckets do not suffice for the recall split
-again by coordinates drawn for their path, about BRANCHES of them, and so on down; what is still crowded on the last level becomes one candidate group. A pair at the threshold survives a run with a probability
-of at least `survival(levels)`, and runs are repeated until the chance to miss it is below 1 - recall.
+compared by brute force on the coordinates. In a large bucket all sets are compared with a few hubs; those that agree with one (ALIKE) become its candidates and leave; those that are like none of them, and
+whose other buckets do not suffice for the recall, split again by coordinates drawn for their path, about BRANCHES of them, and so on down; what is still crowded on the last level becomes one candidate group. A
+pair at the threshold survives a run with a probability of at least `survival(levels)`, and runs are repeated until the chance to miss it is below 1 - recall. That bound leaves out pairs of which one set leaves
+with a hub and the other does not; they are left to the other buckets and runs (crowded buckets lost no link in the tests).
 
 What was found alike makes candidate groups: the connected components. Within a group all sets are compared exactly (32-bit shingle hashes), so that links are complete there and counted once. A
 group of M sets is cut into blocks of about 2 * sqrt(M), and every two blocks meet in a task of their own: no task holds a large group, and what leaves it are numbers of links and a spanning
@@ -35,8 +35,7 @@ BRANCHES = 2.0
 BUCKET = 10  # sets of a bucket that is compared by brute force
 LEVELS = 6
 HUBS = 3
-ALIKE = 0.5  # agreement with a hub that makes a candidate: 1 - 2 * (1 - threshold) at least for partners of sets that leave, less what 64 coordinates may err
-LEAVE = 0.85  # agreement with a hub that ends a set's splits
+ALIKE = 0.4  # agreement with a hub that makes a candidate group; far below the threshold, so that the likes of a member are members
 SEEDS = np.random.default_rng(20).integers(1, 1 << 63, COORDINATES, dtype=np.uint64)
 
 
@@ -139,7 +138,7 @@ def candidate_edges(level: DataFrame, least: float, runs: int, recall: float) ->
         near = [F.when(a >= ALIKE, F.col(f"h{k}.rep")) for k, a in enumerate(agreed)]
         # what can't be split any more is one group, whose hub is the first one
         last = F.col("h0.rep") if depth == LEVELS - 1 else F.lit(None).cast("bigint")
-        met = written(met.select("path", "rep", "paths", F.array_distinct(F.array_compact(F.array(*near, last))).alias("near"), (F.greatest(*agreed) >= LEAVE).alias("settled")), "met")
+        met = written(met.select("path", "rep", "paths", F.array_distinct(F.array_compact(F.array(*near, last))).alias("near"), (F.greatest(*agreed) >= ALIKE).alias("settled")), "met")
         ends = met.select(F.col("rep").alias("x"), F.explode("near").alias("y")).where("x <> y")
         edges.append(ends.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
         if depth == LEVELS - 1:
