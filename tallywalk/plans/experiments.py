@@ -72,6 +72,13 @@ def counter_sizes(spark: SparkSession, sf_dir: str, limit: int = 256 * KIB, size
         yield scored("word_conversations", "gated", pairs, truth, bounds.size_for("gated", limit, m), m)
 
 
+def width_effect(spark: SparkSession, sf_dir: str, limit: int = 256 * KIB, sizes=(64, 128, 438, 1024), workload: str = "word_conversations") -> Iterator[dict]:
+    """The cell grid under one limit: wide rows of small cells against narrow rows of large ones."""
+    pairs, truth = loaded(spark, sf_dir, workload)
+    for m in sizes:
+        yield scored(workload, "cell_grid", pairs, truth, max(1, bounds.size_for("cell_grid", limit, m, 4)), m, 4)
+
+
 def ablation(spark: SparkSession, sf_dir: str, sizes=(400, 2000), m: int = 256, workloads=("word_conversations", "word_docs", "customer_parts")) -> Iterator[dict]:
     """What the gate and the recycling are good for."""
     for w in workloads:
@@ -158,7 +165,7 @@ def query_time(spark: SparkSession, sf_dir: str, k: int = 1000) -> Iterator[dict
         yield {"workload": "word_conversations", "method": method, "k": k, "seconds": round(min(times), 3)}
 
 
-EXPERIMENTS = {f.__name__: f for f in (memory_sweep, same_width, counter_sizes, ablation, merging, overlap, slow_tail, throughput, query_time)}
+EXPERIMENTS = {f.__name__: f for f in (memory_sweep, same_width, counter_sizes, width_effect, ablation, merging, overlap, slow_tail, throughput, query_time)}
 
 
 def main(args: list[str]) -> None:

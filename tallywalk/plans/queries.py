@@ -13,7 +13,8 @@ from tallywalk.functions.registers import estimate_registers
 from tallywalk.operators import exact, grids, neighbours
 from tallywalk.operators.sketches import Sketches, build_sketch, estimate, merge_pair, merge_sketches, over, recount, roll_up, top_k
 from tallywalk.plans import experiments, metrics, twins
-from tallywalk.sources.pairs import LINE_ORDER, WORKLOADS, pairs, table, word_pairs
+from tallywalk.sources.pairs import LINE_ORDER, WORKLOADS, insert_only, pairs, table, word_pairs
+from tallywalk.sources.shared import fresh_folder
 from tallywalk.streaming import panes
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -488,11 +489,34 @@ def event_panes_sliding(spark: SparkSession, d: str) -> DataFrame:
     return panes.pane_sizes(WORKLOADS["event_users"](spark, d), "6 hours", "1 hour")
 
 
-@query("event_pane_tops", f"SELECT pane, label_key, d, CAST(row_number() OVER (PARTITION BY pane ORDER BY d DESC, label_key) AS INTEGER) AS rank FROM (SELECT strftime(date_trunc('day', ts), {_stamp}) AS pane, label_key, count(DISTINCT item_key) AS d FROM ({twins.PAIRS['event_key_users']}) GROUP BY ALL) QUALIFY rank <= 3")
+_pane_tops = f"SELECT pane, label_key, d, CAST(row_number() OVER (PARTITION BY pane ORDER BY d DESC, label_key) AS INTEGER) AS rank FROM (SELECT strftime(date_trunc('day', ts), {_stamp}) AS pane, label_key, count(DISTINCT item_key) AS d FROM ({twins.PAIRS['event_key_users']}) GROUP BY ALL) QUALIFY rank <= 3"
+
+
+@query("event_pane_tops", _pane_tops)
 def event_pane_tops(spark: SparkSession, d: str) -> DataFrame:
     return panes.ranks(panes.pane_sizes(WORKLOADS["event_key_users"](spark, d), "1 day"), 3)
 
 
+@query("stream_vs_batch_top", _pane_tops)
+def stream_vs_batch_top(spark: SparkSession, d: str) -> DataFrame:
+    """The same from a replay of the events as a stream: walks by hour and micro-batch in a store, merged and rolled up to days. Exact, as there is a counter for every label."""
+    events, folder = table(spark, d, "events"), fresh_folder(spark, "replay")
+    rows = panes.event_stream(spark, f"{d}/event[s].parquet", events.schema)
+    stream = panes.stream_pairs(rows, F.concat_ws(":", "event_type", F.get_json_object("props", "$.k")), "user_id")
+    options = {"s": 1000, "m": 64, "counter": "exact"}
+    panes.stream_sketches(stream, f"{folder}/store", f"{folder}/checkpoint", "1 hour", **options).awaitTermination()
+    like = panes.pane_sketches(WORKLOADS["event_key_users"](spark, d).limit(0), "1 hour", **options)
+    days = roll_up(panes.read_store(spark, f"{folder}/store", like), "1 day")
+    return panes.ranks(days.counters.select(F.col("sketch_id").alias("pane"), "label_key", F.col("estimate").cast("bigint").alias("d")), 3)
+
+
+@query("insert_only_events", twins.sizes(_ev))
+def insert_only_events(spark: SparkSession, d: str) -> DataFrame:
+    """Events as a change feed, where a delete would stop the query."""
+    feed = table(spark, d, "events").withColumn("_change_type", F.lit("insert"))
+    return exact.exact_sizes(pairs(insert_only(feed), "event_type", "user_id"))
+
+
 @query(
     "event_sessions",
     f"""WITH e AS (SELECT label_key, item_key, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w >= INTERVAL 30 MINUTE THEN 1 ELSE 0 END AS fresh FROM ({_ev}) WINDOW w AS (PARTITION BY label_key ORDER BY ts)),
@@ -655,6 +679,7 @@ def experiment(rows, spark: SparkSession) -> DataFrame:
 query("experiment_ablation")(lambda spark, d: experiment(experiments.ablation(spark, d, sizes=(400,), workloads=("customer_parts",)), spark))
 query("experiment_same_width")(lambda spark, d: experiment(experiments.same_width(spark, d, 100, 64), spark))
 query("experiment_counter_sizes")(lambda spark, d: experiment(experiments.counter_sizes(spark, d, 128 << 10, (64, 256, 1024)), spark))
+query("experiment_width_effect")(lambda spark, d: experiment(experiments.width_effect(spark, d, 128 << 10, (64, 438, 1024)), spark))
 query("experiment_memory_sweep")(lambda spark, d: experiment(experiments.memory_sweep(spark, d, ("customer_parts",), (64 << 10,)), spark))
 query("experiment_merging")(lambda spark, d: experiment(experiments.merging(spark, d, 200, 64, 8, ("customer_parts",)), spark))
 query("experiment_overlap")(lambda spark, d: experiment(experiments.overlap(spark, d, 1000, sizes=(100_000,)), spark))

@@ -27,6 +27,13 @@ def pairs(df: DataFrame, label: str | Column, item: str | Column, order_by: list
     return df.select(*out).where(F.col("label_key").isNotNull() & F.col("item_key").isNotNull())
 
 
+def insert_only(rows: DataFrame, change: str = "_change_type", inserts: tuple[str, ...] = ("insert",)) -> DataFrame:
+    """Rows of a change feed without its column `change`. A row that is no insert stops the query with an error: no counter here can give an item back. No change (null) is an insert."""
+    kind = F.coalesce(F.col(change).cast("string"), F.lit(inserts[0]))
+    refused = F.raise_error(F.concat(F.lit("only inserted rows can be counted, found: "), kind)).cast("boolean")
+    return rows.where(F.when(kind.isin(*inserts), True).otherwise(refused)).drop(change)
+
+
 def word_pairs(docs: DataFrame, text: str = "text", id: str = "doc_id", role: str = "word_label", source: str | None = None, order_by: list[str] | None = None) -> DataFrame:
     """Words of texts (lower case, cut at single blanks) as labels of their documents, or the other way round. Ordered by document, then position."""
     keep = [id, *([source] if source else []), *(c for c in order_by or [] if c != id)]

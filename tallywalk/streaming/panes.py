@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StreamingQuery
+from pyspark.sql.streaming import StreamingQuery, StreamingQueryListener
 
 from tallywalk.operators.sketches import SCHEMA, Sketches, build_sketch, merge_sketches
 from tallywalk.sources.pairs import pairs as make_pairs
@@ -56,6 +56,31 @@ def stream_sizes(pairs: DataFrame, every: str = "1 hour", watermark: str = "1 ho
     return distinct.groupBy("w", "label_key").agg(F.count(F.lit(1)).alias("d")).select(F.date_format("w.start", STAMP).alias("pane"), "label_key", "d")
 
 
+class LateRows(StreamingQueryListener):
+    """Counts the rows that came after their pane was closed and were dropped, by query id: `spark.streams.addListener(LateRows())`. What a query's progress tells, summed over all of its batches."""
+
+    def __init__(self) -> None:
+        self.dropped: dict[str, int] = {}
+
+    def onQueryStarted(self, event) -> None:
+        self.dropped.setdefault(str(event.id), 0)
+
+    def onQueryProgress(self, event) -> None:
+        late = sum(max(0, o.numRowsDroppedByWatermark) for o in event.progress.stateOperators)
+        self.dropped[str(event.progress.id)] = self.dropped.get(str(event.progress.id), 0) + late
+
+    def onQueryIdle(self, event) -> None:
+        pass
+
+    def onQueryTerminated(self, event) -> None:
+        pass
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """The same from the progress that a query still remembers (its last 100 batches, unless set otherwise)."""
+    return sum(max(0, o.numRowsDroppedByWatermark) for p in query.recentProgress for o in p.stateOperators)
+
+
 def stream_sketches(pairs: DataFrame, store: str, checkpoint: str, every: str = "1 hour", **options) -> StreamingQuery:
     """Every micro-batch is sketched by pane and put into the store under its number, so a batch that runs again overwrites itself. `read_store` merges what it asks for."""
 

@@ -237,6 +237,48 @@ def test_pairs_of_panes_streams_and_roll_ups(spark, tmp_path):
     assert walked.keys() == truth.keys() and all(abs(walked[k] - truth[k]) <= 0.3 * truth[k] + 2 for k in truth)
 
 
+def test_late_rows_are_dropped_and_counted(spark, tmp_path):
+    import os
+    import time
+
+    schema = "ts timestamp_ntz, event_type string, user_id bigint"
+    day = lambda n, users: [(f"2024-01-0{n} {h:02d}:30:00", "a" if u % 2 else "b", u) for h in (1, 12) for u in users]
+    files = [day(1, range(10)), day(2, range(5)), day(3, range(7)), day(1, range(100, 108)), day(3, range(20, 24))]  # the fourth comes too late, the fifth does not
+    os.mkdir(tmp_path / "in")
+    for i, rows in enumerate(files):
+        spark.createDataFrame(rows, "ts string, event_type string, user_id bigint").withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.parquet(str(tmp_path / f"one{i}"))
+        part = next((tmp_path / f"one{i}").glob("part-*.parquet"))
+        part.rename(tmp_path / "in" / f"{i}.parquet")
+        os.utime(tmp_path / "in" / f"{i}.parquet", (1_700_000_000 + i, 1_700_000_000 + i))
+    listener = panes.LateRows()
+    spark.streams.addListener(listener)
+    try:
+        stream = panes.stream_pairs(panes.event_stream(spark, str(tmp_path / "in"), schema), "event_type", "user_id")
+        q = panes.stream_sizes(stream, "1 day", "1 hour").writeStream.format("memory").queryName("late").outputMode("update").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "c")).start()
+        q.awaitTermination(120)
+        assert panes.late_rows(q) == len(files[3])
+        for _ in range(50):
+            if listener.dropped.get(str(q.id)) == len(files[3]):
+                break
+            time.sleep(0.1)
+        assert listener.dropped[str(q.id)] == len(files[3])
+    finally:
+        spark.streams.removeListener(listener)
+    got = {(r["pane"], r["label_key"]): r["d"] for r in spark.table("late").groupBy("pane", "label_key").agg(F.max("d").alias("d")).collect()}
+    in_time = spark.createDataFrame([r for i, f in enumerate(files) if i != 3 for r in f], "ts string, event_type string, user_id bigint")
+    assert got == {(r["pane"], r["label_key"]): r["d"] for r in panes.pane_sizes(pairs(in_time, "event_type", "user_id", ts="ts"), "1 day").collect()}
+
+
+def test_deletes_are_refused(spark):
+    from tallywalk.sources.pairs import insert_only
+
+    feed = spark.createDataFrame([("a", 1, "insert"), ("a", 2, None), ("b", 1, "delete")], "l string, i int, _change_type string")
+    assert exact.exact_sizes(pairs(insert_only(feed.where("l = 'a'")), "l", "i")).first()["d"] == 2
+    with pytest.raises(Exception, match="only inserted rows can be counted, found: delete"):
+        exact.exact_sizes(pairs(insert_only(feed), "l", "i")).collect()
+    assert insert_only(feed.limit(0)).columns == ["l", "i"]
+
+
 def test_stored_sketches(spark, tmp_path, customers):
     sk = build_sketch(customers[0], s=20, m=64, streams=1)
     kept = sk.stored(str(tmp_path / "sk"))
