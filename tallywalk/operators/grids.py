@@ -31,6 +31,15 @@ class Grid:
     hash: str
     kind: str
 
+    @property
+    def rows(self) -> DataFrame:
+        """row, col, bucket, rank, label_key: the whole structure as one table, its labels at bucket -1. Both halves begin with the same exchange, which is planned once, so the input is read once."""
+        bucket = F.col("bucket") if self.kind == "cell" else F.lit(0).alias("bucket")
+        registers = self.registers.select("row", "col", bucket, "rank", F.lit(None).cast("string").alias("label_key"))
+        if self.labels is None:
+            return registers
+        return registers.unionByName(self.labels.select("row", "col", F.lit(-1).alias("bucket"), F.col("level").alias("rank"), "label_key"))
+
 
 def best_label() -> Column:
     """The label of the highest level, the first in order of equals."""
@@ -60,7 +69,8 @@ def cell_grid(pairs: DataFrame, depth: int = 4, width: int = 4572, m: int = 64,
     slim = hashed.groupBy("label_key", "bucket").agg(F.max("rank").alias("rank"))
     placed = slim.withColumn("row", rows_of(depth)).withColumn("col", column_of(F.col("row"), width, hash))
     registers = placed.groupBy("row", "col", "bucket").agg(F.max("rank").alias("rank"))
-    levels = hashed.groupBy("label_key").agg(F.max("rank").alias("level")).withColumn("row", rows_of(depth)).withColumn("col", column_of(F.col("row"), width, hash))
+    # from the same exchange as the registers
+    levels = slim.groupBy("label_key").agg(F.max("rank").alias("level")).withColumn("row", rows_of(depth)).withColumn("col", column_of(F.col("row"), width, hash))
     labels = levels.groupBy("row", "col").agg(best_label()).select("row", "col", F.col("best.label_key").alias("label_key"), (-F.col("best.low")).cast("tinyint").alias("level"))
     return Grid(registers, labels, depth, width, m, hash, "cell")
 

@@ -117,13 +117,9 @@ def timed_build(pairs: DataFrame, method: str, limit: int = 3 * bounds.MIB, m: i
     """Seconds from reading the input to the finished structure."""
     began = time.time()
     if method == "cell_grid":
-        g = grids.cell_grid(pairs, 4, bounds.size_for("cell_grid", limit, 64), 64)
-        g.registers.write.format("noop").mode("overwrite").save()
-        g.labels.write.format("noop").mode("overwrite").save()
+        grids.cell_grid(pairs, 4, bounds.size_for("cell_grid", limit, 64), 64).rows.write.format("noop").mode("overwrite").save()
     elif method == "shared_grid":
-        g = grids.shared_grid(pairs, 512, bounds.size_for("shared_grid", limit))
-        g.registers.write.format("noop").mode("overwrite").save()
-        g.labels.write.format("noop").mode("overwrite").save()
+        grids.shared_grid(pairs, 512, bounds.size_for("shared_grid", limit)).rows.write.format("noop").mode("overwrite").save()
     else:
         build_sketch(pairs, kind=method, s=bounds.size_for(method, limit, m), m=m, streams=streams).rows.write.format("noop").mode("overwrite").save()
     return time.time() - began

@@ -269,6 +269,17 @@ def test_late_rows_are_dropped_and_counted(spark, tmp_path):
     assert got == {(r["pane"], r["label_key"]): r["d"] for r in panes.pane_sizes(pairs(in_time, "event_type", "user_id", ts="ts"), "1 day").collect()}
 
 
+def test_grids_read_their_input_once(spark):
+    p = WORKLOADS["supplier_parts"](spark, "/root/testdata/sf0.001")
+    for g in (grids.cell_grid(p, 2, 16, 16, "portable"), grids.shared_grid(p, 16, 32, hash="portable")):
+        rows = g.rows
+        got = rows.collect()
+        plan = rows._jdf.queryExecution().executedPlan().toString().split("== Initial Plan ==")[0]
+        assert plan.count("FileScan") == 1 and "ReusedExchange" in plan
+        assert {(r["row"], r["col"], r["label_key"], r["rank"]) for r in got if r["bucket"] < 0} == {(r["row"], r["col"], r["label_key"], r["level"]) for r in g.labels.collect()}
+        assert sum(r["bucket"] >= 0 for r in got) == g.registers.count()
+
+
 def test_deletes_are_refused(spark):
     from tallywalk.sources.pairs import insert_only
 
