@@ -89,6 +89,12 @@ def small_batches() -> None:
         spark.conf.set(BATCH_BYTES, MOST_BYTES)
 
 
+def unclashing(keys: list[str], *results: str) -> list[str]:
+    """The keys that are not named like a result, which takes the place of a key of its name (case aside, as in Spark)."""
+    taken = {r.lower() for r in results}
+    return [k for k in keys if k.lower() not in taken]
+
+
 def with_row_key(df: DataFrame, key: str = "__row") -> DataFrame:
     """A key of each row that does not depend on the caller's ids, which may be null or repeat. Fixed only once the result is written."""
     return df.withColumn(key, F.monotonically_increasing_id())

@@ -27,7 +27,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import Memo, alone, in_parts, struct_udf
+from tallywalk.llm._frame import Memo, alone, in_parts, struct_udf, unclashing
 
 NO_PAIR = 1 << 62
 
@@ -296,11 +296,12 @@ def decode(df: DataFrame, vocabulary: str, ids: str = "ids", text: str = "decode
 
 
 def digest(df: DataFrame, vocabulary: str, keys: list[str], text: str = "text") -> DataFrame:
-    """keys, n_tokens, and SHA-256 of the ids in decimal and of the decoded text, without moving either out of the worker."""
+    """keys, n_tokens, and SHA-256 of the ids in decimal and of the decoded text, without moving either out of the worker. Keys of these names are replaced."""
 
     def run(texts):
         n, a, b = zip(*codec(vocabulary).digests(texts)) if texts else ((), (), ())
         return {"n_tokens": n, "ids_sha256": a, "decoded_sha256": b}
 
     made = struct_udf(run, "n_tokens bigint, ids_sha256 string, decoded_sha256 string")
+    keys = unclashing(keys, "n_tokens", "ids_sha256", "decoded_sha256")
     return df.select(*keys, made(F.col(text)).alias("__made")).select(*keys, "__made.*")

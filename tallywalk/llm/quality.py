@@ -16,7 +16,7 @@ from collections import Counter
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import struct_udf
+from tallywalk.llm._frame import struct_udf, unclashing
 
 MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_chars", "n_letters", "n_upper", "n_marked_words", "longest_word"]
 
@@ -87,7 +87,8 @@ def _measure(texts: list[str | None]) -> dict:
 
 
 def ledger(df: DataFrame, keys: list[str], text: str = "text") -> DataFrame:
-    """keys, the measurements (long), and failed (long): the bits of the rules that failed."""
+    """keys, the measurements (long), and failed (long): the bits of the rules that failed. Keys of these names are replaced."""
+    keys = unclashing(keys, *MEASURES, "failed")
     names = [f"__k{i}" for i in range(len(keys))]
     made = struct_udf(_measure, ", ".join(f"{m} bigint" for m in MEASURES))
     slim = df.select(*(F.col(k).alias(n) for k, n in zip(keys, names)), made(F.col(text)).alias("__made"))

@@ -26,7 +26,7 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import join_counted, struct_udf, with_row_key, written
+from tallywalk.llm._frame import join_counted, struct_udf, unclashing, with_row_key, written
 
 # fixed values: the base kinds' patterns, their least lengths, and the order of all kinds
 BASE = {
@@ -163,7 +163,8 @@ def verdict(owners: Column, weak_: Column, most_owners: int) -> Column:
 
 def scan(df: DataFrame, keys: list[str], text: str = "text", repository: str = "doc_id", owner: str = "source", most_owners: int = 2) -> DataFrame:
     """A row for each row of df: keys, n_assign, n_access, n_hex, base_sha256, spans (array of kind, start, finish, digest, verdict, n_owners,
-    n_repositories in order). most_owners: the most owners of a digest that still looks owner-specific."""
+    n_repositories in order). Keys of these names are replaced. most_owners: the most owners of a digest that still looks owner-specific."""
+    keys = unclashing(keys, "n_assign", "n_access", "n_hex", "base_sha256", "spans")
     names = [f"__k{i}" for i in range(len(keys))]
     slim = df.select(*(F.col(k).alias(n) for k, n in zip(keys, names)), F.col(repository).alias("__repo"), F.col(owner).alias("__owner"), F.col(text).alias("__text"))
     first = written(with_row_key(candidates(slim, [*names, "__repo", "__owner"], "__text")), "secrets")

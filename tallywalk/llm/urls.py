@@ -21,7 +21,7 @@ from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from tallywalk.llm._frame import written
+from tallywalk.llm._frame import unclashing, written
 
 PARTS = r"(?s)^.*?://([^/?#]*)([^?#]*)(.*)$"
 
@@ -143,8 +143,8 @@ def fit(df: DataFrame, url: str = "url", verdict: str = "verdict", most_rows: in
 
 
 def judge(df: DataFrame, rules: list[Rule], model: UrlModel, url: str = "url", keep: list[str] | None = None) -> DataFrame:
-    """keep (or all columns of df), then host, path, rule, verdict, and p_block, the model's probability (null without trees)."""
-    keep = df.columns if keep is None else keep
+    """keep (or all columns of df), then host, path, rule, verdict, and p_block, the model's probability (null without trees). Kept columns of these names are replaced."""
+    keep = unclashing(df.columns if keep is None else keep, "host", "path", "rule", "verdict", "p_block")
     names = [f"__k{i}" for i in range(len(keep))]
     slim = df.select(*(F.col(k).alias(n) for k, n in zip(keep, names)), F.col(url).alias("__url"))
     if model.trees is None:

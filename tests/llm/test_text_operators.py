@@ -5,7 +5,7 @@ from collections import Counter
 import pytest
 from pyspark.sql import functions as F
 
-from tallywalk.llm import chat, decontaminate, html, jaccard, langid, quality, queries, secrets, urls
+from tallywalk.llm import bpe, chat, decontaminate, html, jaccard, langid, quality, queries, secrets, urls
 from tallywalk.llm._words import words_of
 
 SCHEMA = "doc_id bigint, text string, lang string, source string, n_chars bigint"
@@ -615,6 +615,30 @@ def test_results_replace_columns_of_their_names(spark):
     assert [(r["n"], r["rep"], r["print"], r["n_links"]) for r in got] == [(1, 2, 3, 1)] * 2 and sorted(r["first"] for r in got) == [False, True]
 
 
+def test_keys_named_like_results_give_way(spark):
+    """Repeated rows, a null text, an empty table, and keys that are named like results."""
+    secret = "password = hunter2hunter2"
+    rows = spark.createDataFrame([(1, secret, "s"), (1, secret, "s"), (2, None, None)], "doc_id bigint, text string, source string")
+    rows = rows.withColumns({n: F.lit("old") for n in ("n_assign", "Spans", "n_words", "failed", "n_tokens", "ids_sha256", "host", "Verdict")})
+    keys = [c for c in rows.columns if c != "text"]
+    bpe_of = lambda df: bpe.digest(df, queries.vocabulary(), keys)
+    judged = lambda df: urls.judge(df.withColumn("url", F.lit("http://a.net/es/x")), queries.URL_RULES, urls.UrlModel(None, "allow", {}, 0.0))
+    made = {"n_assign": lambda df: secrets.scan(df, keys), "n_words": lambda df: quality.ledger(df, keys), "n_tokens": bpe_of, "verdict": judged}
+    for name, operator in made.items():
+        out = operator(rows)
+        assert len({c.lower() for c in out.columns}) == len(out.columns)
+        got = {}
+        for r in out.collect():
+            got.setdefault(r["doc_id"], []).append(r)
+        assert len(got[1]) == 2 and got[1][0] == got[1][1] and len(got[2]) == 1
+        assert "old" not in (got[1][0][name], got[2][0][name])
+        assert operator(rows.limit(0)).count() == 0
+    one = {r["doc_id"]: r for r in secrets.scan(rows, keys).collect()}
+    assert (one[1]["n_assign"], one[2]["n_assign"], len(one[1]["spans"]), one[2]["spans"]) == (1, 0, 1, [])
+    assert {r["verdict"] for r in judged(rows).collect()} == {"block"}
+    assert {r["doc_id"]: r["n_tokens"] > 0 for r in bpe_of(rows).collect()} == {1: True, 2: False}
+
+
 def test_crowded_buckets_lose_no_link(spark):
     """Groups of hundreds of sets around the threshold, so that buckets of the first levels are crowded and hubs decide."""
     import random
