@@ -18,15 +18,21 @@ from pyspark.sql import functions as F
 # fixed values: the marks of the chat format
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>"
 
+SPREAD = 64
+
 
 def rotate(df: DataFrame, dialogue: str = "conv_id", turn: str = "turn", speaker: str = "role", text: str = "text", narrators: tuple[str, ...] = ("system",), turns_per_chunk: int = 256) -> DataFrame:
     """dialogue, participant, chunk, n_turns, rendered, mask: array of (length, target)."""
     safe = F.regexp_replace(F.coalesce(F.col(text), F.lit("")), r"<\|(im_start|im_end)\|>", "<| $1|>")
     rows = df.select(F.col(dialogue).alias("d"), F.coalesce(F.floor(F.col(turn) / turns_per_chunk), F.lit(-1)).cast("bigint").alias("chunk"), F.col(turn).alias("turn"), F.coalesce(F.col(speaker).cast("string"), F.lit("unknown")).alias("who"), safe.alias("said"))
     people = rows.where(~F.col("who").isin(*narrators)).select("d", F.col("who").alias("participant")).distinct()
+    # the participants are sent to each of the (at most SPREAD) parts that a dialogue's chunks fall in, so that chunks of one dialogue meet them in many tasks
+    part = F.pmod(F.xxhash64("d", "chunk"), F.lit(SPREAD)).alias("part")
+    parts = rows.select("d", part).distinct()
+    people = people.join(parts, people["d"].eqNullSafe(parts["d"])).select(people["d"], "part", "participant")
     # collect_set meets repeats on every task already, and a chunk's turns are few
-    chunks = rows.groupBy("d", "chunk").agg(F.sort_array(F.collect_set(F.struct("turn", "who", "said"))).alias("turns"))
-    both = chunks.join(people, chunks["d"].eqNullSafe(people["d"])).select(chunks["d"].alias("d"), "chunk", "turns", "participant")
+    chunks = rows.groupBy("d", "chunk").agg(F.sort_array(F.collect_set(F.struct("turn", "who", "said"))).alias("turns")).select("d", "chunk", "turns", part)
+    both = chunks.join(people, chunks["d"].eqNullSafe(people["d"]) & (chunks["part"] == people["part"])).select(chunks["d"].alias("d"), "chunk", "turns", "participant")
     me = F.col("participant")
 
     def head(t):

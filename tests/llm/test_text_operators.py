@@ -615,6 +615,16 @@ def test_results_replace_columns_of_their_names(spark):
     assert [(r["n"], r["rep"], r["print"], r["n_links"]) for r in got] == [(1, 2, 3, 1)] * 2 and sorted(r["first"] for r in got) == [False, True]
 
 
+def test_long_dialogue_is_spread(spark):
+    """A dialogue of many chunks: every participant has each chunk once, and all turns are in them, in order."""
+    rows = spark.range(3000).select(F.lit(1).alias("conv_id"), F.col("id").alias("turn"), F.concat(F.lit("p"), F.col("id") % 3).alias("role"), F.concat(F.lit("t"), "id").alias("text"))
+    got = chat.rotate(rows, turns_per_chunk=10).orderBy("participant", "chunk").collect()
+    assert [(r["participant"], r["chunk"]) for r in got] == [(f"p{p}", c) for p in range(3) for c in range(300)]
+    for p in range(3):
+        said = re.findall(r"<\|im_start\|>(.*?)\n(t\d+)<\|im_end\|>", "".join(r["rendered"] for r in got if r["participant"] == f"p{p}"))
+        assert said == [("assistant" if i % 3 == p else f"user name=p{i % 3}", f"t{i}") for i in range(3000)]
+
+
 def test_keys_named_like_results_give_way(spark):
     """Repeated rows, a null text, an empty table, and keys that are named like results."""
     secret = "password = hunter2hunter2"
