@@ -113,3 +113,45 @@ def test_table_function_registers_of_any_number():
         got = [register_of(str(i), m) for i in range(20_000)]
         assert {b for b, _ in got} == set(range(m)) and min(r for _, r in got) == 1
         assert 0.45 < sum(r == 1 for _, r in got) / len(got) < 0.55
+
+
+def register_batches(n=6000, m=64):
+    rng = np.random.default_rng(8)
+    names, items = rng.zipf(1.3, n) % 997, rng.integers(0, 3000, n)
+    draws, buckets, ranks = 1 / rng.random(3000), rng.integers(0, m, 3000), rng.geometric(0.5, 3000).astype(np.uint8)
+    for a in range(0, n, 1500):
+        labels, codes = np.unique(names[a : a + 1500], return_inverse=True)
+        some = items[a : a + 1500]
+        yield [f"l{x}" for x in labels], codes, some, buckets[some], ranks[some], draws[some]
+
+
+def batches_walked(**options):
+    table = CounterTable(m=64, s=30, **options)
+    for labels, codes, items, buckets, ranks, draws in register_batches():
+        exact = table.counter == "exact"
+        table.consume(labels, codes, items.astype(str).astype(object) if exact else buckets, None if exact else ranks, draws)
+    return table
+
+
+@pytest.mark.parametrize("estimator", ["histogram", "classic"])
+@pytest.mark.parametrize("counter", ["registers", "exact"])
+@pytest.mark.parametrize("kind", ["offset", "recycled", "gated_eager", "gated"])
+def test_one_by_one_and_in_stretches_are_the_same(monkeypatch, kind, counter, estimator):
+    from tallywalk.operators import walk as module
+
+    got = []
+    for dense, search in ((0, "heap"), (10**9, "heap"), (10**9, "argmin"), (32, "heap")):
+        monkeypatch.setattr(module, "DENSE", dense)
+        table = batches_walked(kind=kind, counter=counter, estimator=estimator, min_search=search, dense=dense > 0)
+        got.append((table.counters(), table.meta()))
+    assert got[0] == got[1] == got[2] == got[3]
+    assert [c["estimate"] for c in table.counters(contents=False)] == [c["estimate"] for c in got[0][0]]
+    assert all(c["registers"] is None and c["items"] is None for c in table.counters(contents=False))
+
+
+@pytest.mark.parametrize("kind", ["offset", "recycled", "gated_eager"])
+def test_strange_labels_cost_no_look_at_all_counters(monkeypatch, kind):
+    calls, real = [], CounterTable.refresh
+    monkeypatch.setattr(CounterTable, "refresh", lambda table: calls.append(1) or real(table))
+    table = batches_walked(kind=kind)
+    assert table.min_scans > 1000 and len(calls) < 20
