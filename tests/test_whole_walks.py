@@ -171,3 +171,29 @@ def test_merge_of_walks_by_source_and_the_flagship(spark, sf, kind):
     assert [r["estimate"] for r in got] == pytest.approx([values[x] for x in best[:20]])
     kept = {r["label_key"]: r["registers"] for r in merged.counters.collect()}
     assert kept == {x: whole[x][1].tobytes() for x in best}
+
+
+@pytest.mark.parametrize("name, walks", [("gated_equals_eager_customer_parts", 2), ("gated_equals_eager_word_docs", 2), ("walk_offset_over_fraction", 1), ("pre_gated_walk_equals_walk", 2), ("walk_recycled", 1)])
+def test_no_walk_is_taken_twice(spark, sf, name, walks):
+    plan = QUERIES[name](spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("MapInArrow walk(") == walks
+
+
+def test_differing_rows_are_counted_with_repeats(spark):
+    from tallywalk.plans.queries import differing
+
+    a, b = (spark.createDataFrame(x, "k int, v string") for x in ([(1, "a"), (1, "a"), (2, None)], [(1, "a"), (2, None), (3, "c")]))
+    assert differing(a, b).first()["differences"] == 2 and differing(a, a).first()["differences"] == 0
+
+
+def test_blocks_keep_the_whole_stream_in_order(spark):
+    from tallywalk.operators.sketches import _blocks, _unpacked
+
+    rows = spark.range(50_000).select(F.col("id").cast("string").alias("label_key"), (F.col("id") * 7919 % 50_021).alias("a"), F.lit(None).cast("string").alias("x"))
+    got = _blocks(rows, ["a"])
+    assert got.rdd.getNumPartitions() == 1
+    import pyarrow as pa
+
+    table = pa.Table.from_batches([pa.record_batch([pa.array([bytes(r["block"]) for r in got.collect()], pa.binary())], names=["block"])])
+    labels = [x for b in _unpacked(table.to_batches()) for x in b.column(0).to_pylist()]
+    assert labels == [r["label_key"] for r in rows.orderBy("a").collect()]
