@@ -197,3 +197,19 @@ def test_blocks_keep_the_whole_stream_in_order(spark):
     table = pa.Table.from_batches([pa.record_batch([pa.array([bytes(r["block"]) for r in got.collect()], pa.binary())], names=["block"])])
     labels = [x for b in _unpacked(table.to_batches()) for x in b.column(0).to_pylist()]
     assert labels == [r["label_key"] for r in rows.orderBy("a").collect()]
+
+
+@pytest.mark.parametrize("name", ["heavy_entries_roomy", "sql_merged_registers", *(f"walk_{k}_unbounded" for k in WALKS)])
+def test_every_label_has_room(spark, tmp_path, name):
+    """More suppliers than any fixed room: the answer has all of them, and equals the query's SQL."""
+    import duckdb
+
+    from tallywalk.plans.queries import ORACLES
+
+    n = 5400
+    rows = spark.range(2 * n).select(F.col("id").alias("l_orderkey"), F.lit(1).alias("l_linenumber"), (F.col("id") % n).alias("l_suppkey"), (F.col("id") * 31 % 997).alias("l_partkey"))
+    rows.coalesce(1).write.parquet(f"{tmp_path}/lineitem.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM '{tmp_path}/lineitem.parquet/*.parquet'")
+    assert oracle.differences(spark, con, QUERIES[name], ORACLES[name], str(tmp_path)) == ""
+    assert QUERIES[name](spark, str(tmp_path)).count() == n
