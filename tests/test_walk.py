@@ -155,3 +155,31 @@ def test_strange_labels_cost_no_look_at_all_counters(monkeypatch, kind):
     monkeypatch.setattr(CounterTable, "refresh", lambda table: calls.append(1) or real(table))
     table = batches_walked(kind=kind)
     assert table.min_scans > 1000 and len(calls) < 20
+
+
+@pytest.mark.parametrize("kind", ["offset", "recycled"])
+@pytest.mark.parametrize("s", [1, 3, 40])
+def test_keys_walk_as_texts_do(kind, s):
+    """Entries by their own keys, numbers and strings mixed, take the steps of those by codes."""
+    rng = np.random.default_rng(s)
+    labels = [int(x) if x % 3 else f"0{x}" for x in np.minimum(rng.zipf(1.3, 4000), 300)]
+    items = [int(x) if x % 2 else f"i{x}" for x in rng.integers(0, 50, 4000)]
+    by_key, by_code = (CounterTable(kind=kind, s=s, counter="exact") for _ in range(2))
+    for a in range(0, 4000, 700):
+        by_key.consume_keys(labels[a : a + 700], items[a : a + 700])
+        texts = [str(x) for x in labels[a : a + 700]]
+        known = sorted(set(texts))
+        by_code.consume(known, np.array([known.index(x) for x in texts]), np.array([str(x) for x in items[a : a + 700]], object), None, np.ones(len(texts)))
+    assert by_key.counters() == by_code.counters() and by_key.meta() == by_code.meta()
+
+
+def test_keys_stay_what_they_are(spark):
+    """Texts that are read as the same number are labels and items of their own; numbers beyond 64 bits too."""
+    from tallywalk.operators.sketches import build_sketch
+
+    texts = ["7", "07", "+7", " 7", "7 ", "7.0", "-7", "", "x", "9" * 19, "9" * 40, "-0", "0"]
+    rows = [(a, b) for a in texts for b in texts]
+    pairs = spark.createDataFrame(rows, "label_key string, item_key string")
+    for streams in (1, "by_label"):
+        got = build_sketch(pairs, kind="recycled", s=100, counter="exact", streams=streams).counters.select("label_key", "items").collect()
+        assert {r["label_key"]: r["items"] for r in got} == {t: sorted(texts) for t in texts}
