@@ -183,3 +183,29 @@ def test_keys_stay_what_they_are(spark):
     for streams in (1, "by_label"):
         got = build_sketch(pairs, kind="recycled", s=100, counter="exact", streams=streams).counters.select("label_key", "items").collect()
         assert {r["label_key"]: r["items"] for r in got} == {t: sorted(texts) for t in texts}
+
+
+def test_table_function_takes_batches():
+    """Each batch whole, nulls and repeated or forgotten items included, as a walk over the rows' own hashes."""
+    import pyarrow as pa
+    import xxhash
+
+    from tallywalk.functions.hashing import HASH_BITS
+    from tallywalk.functions.sqlapi import HeavyLabels
+
+    rng, m = np.random.default_rng(5), 16
+    rows = [(int(a) or None, int(b) or None) for a, b in zip(rng.integers(0, 60, 6000), rng.integers(0, 900, 6000))]
+    made = HeavyLabels()
+    made.REMEMBERED = 300
+    for a in range(0, 6000, 500):
+        batch = pa.RecordBatch.from_pydict({"label": [r[0] for r in rows[a : a + 500]], "item": [r[1] for r in rows[a : a + 500]]})
+        made.eval(batch, pa.array([4]), pa.array([20]), pa.array([m]), pa.array(["gated"]))
+    (got,) = made.terminate()
+    plain, rest = CounterTable(kind="gated", s=20, m=m), HASH_BITS - 4
+    for a, b in rows:
+        if a is None or b is None:
+            continue
+        c, g = (xxhash.xxh64_intdigest(f"{t}|{b}") >> 12 for t in "cg")
+        plain.consume([str(a)], np.array([0]), np.array([c >> rest]), np.array([rest + 1 - (c & ((1 << rest) - 1)).bit_length()], np.uint8), np.array([2.0**HASH_BITS / (g + 0.5)]))
+    best = sorted(plain.counters(), key=lambda r: (-r["estimate"], r["label_key"]))[:4]
+    assert got.to_pylist() == [{"label": r["label_key"], "estimate": r["estimate"], "rank": i + 1} for i, r in enumerate(best)]
