@@ -60,3 +60,16 @@ def test_odd_documents(spark):
 
 def test_model_is_small():
     assert langid.LONGEST == 4
+
+
+def test_the_driver_gives_stretched_heap_back(spark, monkeypatch):
+    """Written tables look at the heap; garbage is collected where it has stretched, and not again before it has grown by a quarter."""
+    from tallywalk.llm import _frame
+
+    monkeypatch.setattr(_frame, "_left", [0])
+    assert not _frame.trim_driver(spark, share=2.0)
+    assert _frame.trim_driver(spark, share=0.0) and _frame._left[0] > 0
+    assert not _frame.trim_driver(spark, share=0.0)
+    seen = []
+    monkeypatch.setattr(_frame, "trim_driver", seen.append)
+    assert _frame.written(spark.range(3), "three").count() == 3 and seen == [spark]
